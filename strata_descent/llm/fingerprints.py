@@ -18,9 +18,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import documents, table, words_column
+from .common import checked, documents, saved, table, words_column
 
-K, S, ANCHORS, SLACK = 8, 2, 64, 64
+K, S, ANCHORS, SLACK = 8, 2, 48, 64
 
 
 def anchors(text: str) -> str:
@@ -79,16 +79,21 @@ def fingerprint_documents(docs: DataFrame) -> DataFrame:
 
 
 def against_edits(docs: DataFrame) -> DataFrame:
-    """Fingerprints of every text and of its edited text, and their likeness, per row of docs."""
-    marked = fingerprint_documents(docs)
-    links = next_ids(docs)
-    longest = marked.groupBy("doc_id").agg(F.max(F.expr("floor(n_chars / 4)")).alias("need"))
-    wanted = links.join(longest, "doc_id").groupBy("next_id").agg(F.collect_list(F.struct("doc_id", "need")).alias("owners"))
-    # an id has one predecessor, so owners has one entry
-    heads = marked.join(wanted, marked.doc_id == wanted.next_id)
-    heads = heads.select(F.col("owners")[0]["doc_id"].alias("doc_id"), F.expr("left(text, cast(owners[0].need as int))").alias("head"), "marks")
-    heads = heads.groupBy("doc_id").agg(F.min(F.struct("head", "marks")).alias("n")).select("doc_id", "n.head", F.col("n.marks").alias("next_marks"))
-    out = marked.join(heads, "doc_id", "left")
+    """Fingerprints of every text and of its edited text, and their likeness, per row of docs.
+
+    A text meets its next document by sending that one's first quarter and anchors, not its text; the
+    texts themselves move once.  Which quarter goes where is a few numbers per id: broadcast if there
+    are few, else joined by a second move of the texts.
+    """
+    needs = documents(docs).groupBy("doc_id").agg(F.max(F.floor(F.length("text") / 4)).cast("int").alias("need"))
+    wanted = saved(next_ids(docs).join(needs, "doc_id").select(F.col("doc_id").alias("owner"), "next_id", "need"))
+    heads = documents(docs).join(checked(wanted), F.col("doc_id") == F.col("next_id"))
+    heads = heads.select(F.col("owner").alias("doc_id"), F.expr("left(text, need)").alias("head"), F.expr(anchors("text")).alias("a"))
+    # two plain arrays take a third of the room of an array of structs
+    heads = heads.select("doc_id", "head", F.expr("transform(a, x -> x.h)").alias("hs"), F.expr("transform(a, x -> x.i)").alias("js"))
+    heads = heads.groupBy("doc_id").agg(F.min(F.struct("head", "hs", "js")).alias("n"))
+    out = documents(docs).join(heads, "doc_id", "left")
+    out = out.select("doc_id", "text", F.length("text").cast("bigint").alias("n_chars"), F.expr(anchors("text")).alias("marks"), F.col("n.head").alias("head"), F.expr("zip_with(n.hs, n.js, (h, i) -> struct(h as h, i as i))").alias("next_marks"))
     edited = F.expr("concat(left(text, cast(n_chars - floor(n_chars / 4) as int)), left(coalesce(head, ''), cast(floor(n_chars / 4) as int)))")
     out = out.withColumn("edited", edited).withColumn("edited_marks", F.expr(anchors("edited")))
     return out.select(
