@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from . import fingerprints, importance, mixing, ngram_join, personal_data, pieces, quality_rules, toxicity, url_filters
+from . import fingerprints, importance, mixing, ngram_join, personal_data, pieces, quality_rules, substring_dedup, toxicity, url_filters
 
-_MODULES = (fingerprints, importance, mixing, ngram_join, personal_data, pieces, quality_rules, toxicity, url_filters)
+_MODULES = (fingerprints, importance, mixing, ngram_join, personal_data, pieces, quality_rules, substring_dedup, toxicity, url_filters)
 QUERIES = {name: query for module in _MODULES for name, query in module.QUERIES.items()}
 ORACLES = {name: sql for module in _MODULES for name, sql in module.ORACLES.items()}
