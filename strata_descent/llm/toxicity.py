@@ -31,7 +31,7 @@ from . import words as kernel
 from .common import checked, documents, table
 
 #: Bits of the table of runs of so many bytes.
-BITS = {6: 21, 5: 20, 4: 19, 3: 18}
+BITS = {6: 20, 5: 19, 4: 18, 3: 17}
 WINDOW = 8
 #: Taken off every count, at the smaller class's size; what is left to share goes to the lower order.
 DISCOUNT = 2.0
