@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import documents, saved, table
+from .common import checked, documents, saved, table, words_column
 
 WEIGHTS = (3.0, 1.0, 2.0)
 SHARE = 1.5
@@ -203,6 +203,43 @@ def taken_words(docs: DataFrame) -> DataFrame:
     return out.select("doc_id", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("bigint").alias("taken"))
 
 
+def mixed_texts(docs: DataFrame) -> DataFrame:
+    """docs as the mix takes them: of each text the words taken, all other columns as they were.
+
+    A document's words are one stretch of its source's stream, so what is taken of it is its beginning:
+    a text taken whole once stays as it is, one taken in part ends after the last word taken, and what
+    is taken beyond a whole text follows on a new line.  Documents of which nothing is taken go, empty
+    ones included.  Rows that repeat an id and size share what is taken of them evenly, rounded up.
+    n_chars, where there is one, follows the text.
+    """
+    taken = taken_words(docs).where("taken > 0").groupBy("doc_id", "source", "size").agg(F.ceil(F.avg("taken")).alias("mix_taken"))
+    taken = saved(taken.select(*(F.col(c).alias(f"mix_{c}") for c in ("doc_id", "source", "size")), "mix_taken"))
+    counted = docs.withColumn("mix_words", F.size(F.expr(words_column("coalesce(text, '')"))).cast("bigint"))
+    same = docs["doc_id"].eqNullSafe(F.col("mix_doc_id")) & docs["source"].cast("string").eqNullSafe(F.col("mix_source")) & (F.col("mix_words") == F.col("mix_size"))
+    joined = counted.join(checked(taken), same).select(*docs.columns, "mix_taken")
+    text, count = joined.columns.index("text"), joined.columns.index("mix_taken")
+
+    def cut(batches):
+        for batch in batches:
+            texts: list[str] = []
+            wanted = batch.column(count).to_pylist()
+            for a, _, w in kernel.steps(batch):
+                raw = w.data.tobytes()
+                for i in range(w.rows):
+                    lo, n, take = int(w.row_words[i]), int(w.row_words[i + 1] - w.row_words[i]), wanted[a + i]
+                    begin, end = int(w.row_bytes[i]), int(w.row_bytes[i + 1])
+                    whole = raw[begin:end]
+                    again = max(0, take - n)
+                    first = whole if take >= n else raw[begin : int(w.ends[lo + take - 1])]
+                    parts = [first, *([whole] if again >= n else [raw[begin : int(w.ends[lo + again - 1])]] if again else [])]
+                    texts.append(b"\n".join(parts).decode())
+            columns = [pa.array(texts, pa.string()) if i == text else batch.column(i) for i in range(batch.num_columns)]
+            yield pa.RecordBatch.from_arrays(columns[:count] + columns[count + 1 :], batch.schema.names[:count] + batch.schema.names[count + 1 :])
+
+    out = joined.mapInArrow(cut, joined.drop("mix_taken").schema)
+    return out.withColumn("n_chars", F.length("text").cast("bigint")) if "n_chars" in docs.columns else out
+
+
 def op5_mixing(spark, sf_dir: str) -> DataFrame:
     return taken_words(table(spark, sf_dir, "documents")).drop("source")
 

@@ -304,14 +304,15 @@ def redact_text(text: str, weights: np.ndarray) -> str:
 
 
 def redact(docs: DataFrame, weights: np.ndarray | None = None) -> DataFrame:
-    """docs with personal data replaced in text, all other columns as they were; null texts stay null."""
+    """docs with personal data replaced in text and n_chars to match, all other columns as they were; null texts stay null."""
     weights = train(docs) if weights is None else weights
 
     @F.pandas_udf("string")
     def clean(texts):
         return texts.map(lambda t: None if t is None else redact_text(t, weights))
 
-    return docs.withColumn("text", clean("text"))
+    out = docs.withColumn("text", clean("text"))
+    return out.withColumn("n_chars", F.length("text").cast("bigint")) if "n_chars" in docs.columns else out
 
 
 def op6_personal_data(spark, sf_dir: str) -> DataFrame:
