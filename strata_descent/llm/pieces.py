@@ -31,13 +31,21 @@ from .common import documents, table
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
 TEMPERATURE = 0.01
 SEED = 4711
-LONGEST = 16  # bytes of a piece that the lattice uses
+LONGEST = 12  # bytes of a piece that the lattice uses
+TABLE_BITS = 16
 MARK = "▁"
-STEP_BYTES = 1 << 20
+STEP_BYTES = 1 << 21
 U64 = np.uint64
 _PRIME = U64(0x100000001B3)
 
 
+def _places(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Two places of a hash in a table of 2**TABLE_BITS."""
+    with np.errstate(over="ignore"):
+        g = (h ^ h >> U64(31)) * U64(0x9E3779B97F4A7C15)
+        return (g >> U64(64 - TABLE_BITS)).astype(np.int64), (g * U64(0xD6E8FEB86659FD93) >> U64(64 - TABLE_BITS)).astype(np.int64)
+
+
 @dataclass(frozen=True)
 class Vocabulary:
     """pieces: the bytes each id stands for, with the leading mark as a space; None: never in a lattice."""
@@ -67,24 +75,40 @@ class Vocabulary:
         return Vocabulary(tuple(pieces), scores, byte_ids, temperature)
 
     @cached_property
-    def index(self) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-        """By length 1 to LONGEST: sorted hashes of the pieces of so many bytes, their ids, their log weights."""
+    def index(self) -> list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray] | None]:
+        """By length 1 to LONGEST: a table of two places per hash, and by its entries hashes, ids and log weights."""
         out = []
         for n in range(1, LONGEST + 1):
             ids = np.array([i for i, p in enumerate(self.pieces) if p is not None and len(p) == n], dtype=np.int32)
+            if not len(ids):
+                out.append(None)
+                continue
             data = np.frombuffer(b"".join(self.pieces[i] for i in ids), dtype=np.uint8).reshape(len(ids), n)
             h = np.zeros(len(ids), dtype=U64)
             with np.errstate(over="ignore"):
                 for j in range(n):
                     h = (h + data[:, j].astype(U64) + U64(1)) * _PRIME
-            order = np.argsort(h)
-            out.append((h[order], ids[order], self.temperature * self.scores[ids[order]]))
+            places = np.full(1 << TABLE_BITS, 0, dtype=np.int32)
+            taken: dict[int, int] = {}
+            options = np.stack(_places(h), axis=1).tolist()
+            for i in range(len(ids)):
+                at, place = i, options[i][0]
+                for _ in range(64):  # an entry in the way moves to its other place
+                    if place not in taken:
+                        taken[place] = at
+                        break
+                    taken[place], at = at, taken[place]
+                    place = options[at][1] if place == options[at][0] else options[at][0]
+                else:
+                    raise ValueError("the piece table is too full")
+            places[list(taken)] = list(taken.values())
+            out.append((places, h, ids, self.temperature * self.scores[ids]))
         return out
 
     @cached_property
     def byte_weight(self) -> float:
         """Log weight of a byte piece: below every piece, so that bytes are used where nothing else fits."""
-        used = [self.scores[i] for i, p in enumerate(self.pieces) if p is not None]
+        used = [self.scores[i] for i, p in enumerate(self.pieces) if p is not None and self.scores[i] > -1e8]
         return self.temperature * float(min(used)) - 20.0
 
     @cached_property
@@ -140,46 +164,53 @@ def _lattice(vocabulary: Vocabulary, data: np.ndarray, at: np.ndarray, last: np.
     data: the chunks one after the other; at: their bounds; last: each byte's place in its chunk, from 0.
     """
     n = len(data)
-    weight = np.full((LONGEST, n), -np.inf)
-    ids = np.zeros((LONGEST, n), dtype=np.int32)
+    weight = np.full((n, LONGEST), -np.inf, dtype=np.float32)
+    ids = np.zeros((n, LONGEST), dtype=np.int32)
     wide = data.astype(U64) + U64(1)
-    h = np.zeros(n, dtype=U64)
-    # h[i] after round l: hash of the l bytes from i
+    h = np.zeros(n, dtype=U64)  # after each round: hashes of the so many bytes from here
+    end = np.arange(n)
     for size in range(1, LONGEST + 1):
-        live = n - size + 1
-        if live <= 0:
+        if size > 1:
+            end = end[last[end] >= size - 1]
+        if not len(end):
             break
+        begin = end - (size - 1)
         with np.errstate(over="ignore"):
-            h[:live] = (h[:live] + wide[size - 1 :]) * _PRIME
-        known, which, logs = vocabulary.index[size - 1]
-        if not len(known):
+            here = (h[begin] + wide[end]) * _PRIME
+        h[begin] = here
+        known = vocabulary.index[size - 1]
+        if known is None:
             continue
-        end = np.flatnonzero(last >= size - 1)
-        found = np.searchsorted(known, h[end - size + 1])
-        found[found == len(known)] = 0
-        hit = known[found] == h[end - size + 1]
-        weight[size - 1, end[hit]] = logs[found[hit]]
-        ids[size - 1, end[hit]] = which[found[hit]]
-    none = weight[0] == -np.inf
-    weight[0, none] = vocabulary.byte_weight
-    ids[0, none] = vocabulary.byte_ids[data[none]]
-    # forward filtering, one byte of all chunks at a time
-    total = np.zeros(n)
-    shares = np.zeros((n, LONGEST), dtype=np.float32)
+        places, hashes, which, logs = known
+        first, second = _places(here)
+        found = places[first]
+        hit = hashes[found] == here
+        miss = np.flatnonzero(~hit)
+        other = places[second[miss]]
+        again = hashes[other] == here[miss]
+        found[miss[again]] = other[again]
+        hit[miss[again]] = True
+        weight[end[hit], size - 1] = logs[found[hit]]
+        ids[end[hit], size - 1] = which[found[hit]]
+    none = weight[:, 0] == -np.inf
+    weight[none, 0] = vocabulary.byte_weight
+    ids[none, 0] = vocabulary.byte_ids[data[none]]
+    # forward filtering, one byte of all chunks at a time; total has a 0 in front of each chunk's first byte
+    chunks = len(at) - 1
+    shifted = np.arange(n) + np.repeat(np.arange(chunks), np.diff(at)) + 1
+    total = np.zeros(n + chunks, dtype=np.float32)
+    shares = np.full((n, LONGEST), 2.0, dtype=np.float32)
     order = np.argsort(last, kind="stable")
     bounds = np.searchsorted(last[order], np.arange(int(last.max(initial=-1)) + 2))
     for place in range(len(bounds) - 1):
         here = order[bounds[place] : bounds[place + 1]]
         sizes = min(place + 1, LONGEST)
-        logs = np.empty((sizes, len(here)))
-        for size in range(1, sizes + 1):
-            logs[size - 1] = weight[size - 1, here] + (total[here - size] if size <= place else 0.0)
-        most = logs.max(axis=0)
-        share = np.exp(logs - most)
-        sums = np.cumsum(share, axis=0)
-        total[here] = most + np.log(sums[-1])
-        shares[here, :sizes] = (sums / sums[-1]).T
-        shares[here, sizes:] = 2.0
+        logs = weight[here, :sizes] + total[shifted[here][:, None] - np.arange(1, sizes + 1)]
+        most = logs.max(axis=1)
+        share = np.exp(logs - most[:, None])
+        sums = np.cumsum(share, axis=1)
+        total[shifted[here]] = most + np.log(sums[:, -1])
+        shares[here, :sizes] = sums / sums[:, -1:]
     return shares, ids
 
 
@@ -206,7 +237,7 @@ def encode_rows(vocabulary: Vocabulary, data: np.ndarray, row_bytes: np.ndarray,
         size = np.minimum((shares[end[live]] <= u[:, None]).sum(axis=1), LONGEST - 1)
         # rounding may point past the last piece; go back to one that is there
         size = np.minimum(size, end[live] - begin[live])
-        got.append(ids[size, end[live]])
+        got.append(ids[end[live], size])
         who.append(live)
         end[live] -= size + 1
         where.append(end[live] - begin[live])
