@@ -7,9 +7,9 @@ sets share at least 1 + d of them; each set may then leave out its d most freque
 order for all, and still shares one.  That removes the passages that many documents hold in common,
 whatever their number, without losing a pair.  Only shingles that two classes post are candidates.
 
-Classes with candidates are gathered into blocks by a label spread over shared postings, so similar
-ones mostly meet in one block; blocks are bounded in rows and shingles.  A pair of blocks is a tile if
-the two share a posting.  A tile multiplies its two incidence matrices, accumulates overlap counts,
+Classes that postings tie together, directly or through others, are gathered into blocks; a block holds
+many small such sets, and a large one is split by size and hash, so blocks are bounded in rows and
+shingles.  A pair of blocks is a tile if the two share a posting.  A tile multiplies its two incidence matrices, accumulates overlap counts,
 drops pairs below the bound, and reports each class's links and a spanning forest.  Every pair is in
 one tile, so links are counted once.  Copies are never expanded, and no tile is larger than two blocks.
 
@@ -113,17 +113,19 @@ def candidates(docs: DataFrame, classes: DataFrame) -> DataFrame:
     shared = saved(posted.where("least != most").select("shingle", "key", "df"))
     shared = shared.groupBy("shingle", "key").agg(F.max("df").alias("df")).join(classes.select("key", "n"), "key")
     by_frequency = Window.partitionBy("key").orderBy(F.desc("df"), "shingle")
-    left = saved(shared.withColumn("place", F.row_number().over(by_frequency)).where(F.col("place") > spare(F.col("n"))).select("shingle", "key"))
-    several = left.groupBy("shingle").agg(F.count("*").alias("m")).where("m > 1").select("shingle")
-    return saved(left.join(several, "shingle"))
+    left = shared.withColumn("place", F.row_number().over(by_frequency)).where(F.col("place") > spare(F.col("n"))).select("shingle", "key")
+    of_left = Window.partitionBy("shingle")
+    left = left.withColumns({"m": F.count("*").over(of_left), "pivot": F.min("key").over(of_left)})
+    return saved(left.where("m > 1").select("shingle", "key", "pivot"))
 
 
-def blocks(left: DataFrame, classes: DataFrame, rounds: int = 2) -> DataFrame:
-    """(key, n, copies, block, band): band is a class's size step within a split label, else -1."""
-    label = left.groupBy("key").agg(F.min("shingle").alias("label"))
-    for _ in range(rounds):
-        spread = left.join(label, "key").groupBy("shingle").agg(F.min("label").alias("label"))
-        label = saved(left.join(spread, "shingle").groupBy("key").agg(F.min("label").alias("label")))
+def blocks(left: DataFrame, classes: DataFrame) -> DataFrame:
+    """(key, n, copies, block, band): band is a class's size step within a split label, else -1.
+
+    A label is a component of the graph that ties each class to the pivots of its postings.
+    """
+    roots = components(left.select(F.col("key").alias("a"), F.col("pivot").alias("b")))
+    label = roots.select(F.col("node").alias("key"), F.col("root").alias("label"))
     sized = label.join(classes, "key").withColumn("step", F.floor(F.log("n") / F.log(F.lit(100 / PERCENT))))
     need = lambda rows, shingles: F.ceil(F.greatest(rows / F.lit(BLOCK_ROWS), shingles / F.lit(BLOCK_SHINGLES)))
     whole = sized.groupBy("label").agg(need(F.count("*"), F.sum("n")).alias("parts"))
@@ -137,11 +139,16 @@ def blocks(left: DataFrame, classes: DataFrame, rounds: int = 2) -> DataFrame:
 
 
 def tiles(left: DataFrame, placed: DataFrame) -> DataFrame:
-    """(a, b): pairs of blocks, a <= b, of which members share a posting and sizes allow a link."""
-    at = left.join(placed.select("key", "block", "band"), "key").select("shingle", "block", "band").distinct()
+    """(a, b): pairs of blocks, a <= b, of which members share a posting and sizes allow a link.
+
+    A label that was not split shares postings with no other.
+    """
+    split = placed.where("band >= 0").select("key", "block", "band")
+    at = left.join(split, "key").select("shingle", "block", "band").distinct()
     other = at.select("shingle", F.col("block").alias("b"), F.col("band").alias("band_b"))
-    pairs = at.withColumnRenamed("block", "a").join(other, "shingle").where("a <= b and (band < 0 or band_b < 0 or abs(band - band_b) <= 1)")
-    return pairs.select("a", "b").distinct()
+    pairs = at.withColumnRenamed("block", "a").join(other, "shingle").where("a <= b and abs(band - band_b) <= 1")
+    whole = placed.where("band < 0").select(F.col("block").alias("a"), F.col("block").alias("b"))
+    return pairs.select("a", "b").unionByName(whole).distinct()
 
 
 def overlaps(one: tuple[np.ndarray, np.ndarray], two: tuple[np.ndarray, np.ndarray] | None, rows: tuple[int, int]) -> np.ndarray:
@@ -236,7 +243,8 @@ def class_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
 
     wanted = placed.join(classes.select("key", "doc_id"), "key").select("doc_id").distinct()
     rows = documents(docs).join(checked(wanted), "doc_id", "left_semi").mapInArrow(sets, "key bigint, shingles array<bigint>")
-    rows = rows.join(placed.select("key", "n", "copies", "block"), "key").join(sides, "block")
+    into = saved(placed.select("key", "n", "copies", "block").join(sides, "block").drop("block"))
+    rows = rows.join(checked(into), "key")
     return rows.select("tile", "side", "key", "n", "copies", "shingles").groupBy("tile").applyInArrow(_tile, "key bigint, root bigint, links bigint")
 
 
