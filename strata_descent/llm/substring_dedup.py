@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import BROADCAST_ROWS, at_most, documents, saved, table
+from .common import at_most, documents, saved, table
 
 WINDOW = 35
 PREFIX = 8
@@ -132,9 +132,7 @@ def surroundings(docs: DataFrame, chosen: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.bool_()), ids, pa.array(out[3], pa.int64()), pa.array(out[4], pa.int32()), pa.array(out[5], pa.int32()), pa.array(out[6], pa.binary()).cast(pa.string())], ["anchor", "hot", "doc_id", "row", "first", "windows", "words"])
 
     kept = documents(docs)
-    few = at_most(chosen.select(F.explode("picks")), 4 * BROADCAST_ROWS)  # tens of MB, looked up now
-    side = F.broadcast(chosen) if few else chosen
-    joined = kept.join(side, "doc_id").select("doc_id", "text", "picks", "row")
+    joined = kept.join(chosen, "doc_id").select("doc_id", "text", "picks", "row")
     key = kept.schema["doc_id"].dataType.simpleString()
     return joined.mapInArrow(found, f"anchor bigint, hot boolean, doc_id {key}, row bigint, first int, windows int, words string")
 
@@ -295,8 +293,7 @@ def with_ranges(docs: DataFrame, *more: str) -> DataFrame:
     """Rows of docs (doc_id, text, the named columns) with found: the ranges of each text of that id."""
     ranges = saved(repeated_ranges(docs))
     by_id = ranges.groupBy("doc_id").agg(F.collect_list(F.struct("row", "ranges")).alias("found"))
-    few = at_most(ranges.select(F.explode("ranges")), 2 * BROADCAST_ROWS)
-    return documents(docs, *more).join(F.broadcast(by_id) if few else by_id, "doc_id", "left")
+    return documents(docs, *more).join(by_id, "doc_id", "left")
 
 
 def kept_texts(batch: pa.RecordBatch, text: int, found: int):
