@@ -29,11 +29,11 @@ from . import words as kernel
 from .common import at_most, documents, saved, table
 
 WINDOW = 35
-PREFIX = 8
+PREFIX = 6
 GROUP_ROWS = 100_000
 #: Surroundings of one tree: a task's memory is bounded by this many, and by words.
-TREE_ROWS = 20_000
-TREE_WORDS = 1 << 20
+TREE_ROWS = 10_000
+TREE_WORDS = 1 << 19
 U64 = np.uint64
 
 
@@ -81,7 +81,7 @@ def anchor_places(w: kernel.Words, hashes: np.ndarray) -> tuple[np.ndarray, np.n
 
 
 def anchors(docs: DataFrame) -> DataFrame:
-    """(anchor, doc_id, row, place): every anchor of every text; place is its number in the text."""
+    """(anchor, doc_id, place): every anchor of every text; place is its number in the text."""
 
     def found(batches):
         for batch in batches:
@@ -90,24 +90,23 @@ def anchors(docs: DataFrame) -> DataFrame:
                 place, anchor, _, _ = anchor_places(w, h)
                 row = np.searchsorted(w.row_words, place, side="right") - 1
                 number = np.arange(len(place)) - np.searchsorted(row, row)
-                key = row_keys(w, h).view(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(anchor.view(np.int64)), batch.column(0).slice(a, z - a).take(pa.array(row)), pa.array(key[row]), pa.array(number.astype(np.int32))], ["anchor", "doc_id", "row", "place"])
+                yield pa.RecordBatch.from_arrays([pa.array(anchor.view(np.int64)), batch.column(0).slice(a, z - a).take(pa.array(row)), pa.array(number.astype(np.int32))], ["anchor", "doc_id", "place"])
 
     kept = documents(docs)
-    return kept.mapInArrow(found, f"anchor bigint, doc_id {kept.schema['doc_id'].dataType.simpleString()}, row bigint, place int")
+    return kept.mapInArrow(found, f"anchor bigint, doc_id {kept.schema['doc_id'].dataType.simpleString()}, place int")
 
 
 def surroundings(docs: DataFrame, chosen: DataFrame) -> DataFrame:
     """(anchor, hot, doc_id, row, first, windows, words) of the chosen anchors.
 
-    chosen: doc_id, row and picks, an array of (place, hot).  words: those of all windows of the anchor,
+    chosen: doc_id and picks, an array of (place, hot, mark); a pick whose mark is not the anchor's belongs
+    to another row of the same id.  words: those of all windows of the anchor,
     joined by spaces, from the word first on; a hot anchor has a row for each window.
     """
 
     def found(batches):
         for batch in batches:
             picks_of = batch.column(2)
-            wanted = batch.column(3).to_numpy()
             for a, z, w in kernel.steps(batch):
                 h = w.hashes()
                 place, anchor, begin, end = anchor_places(w, h)
@@ -119,10 +118,10 @@ def surroundings(docs: DataFrame, chosen: DataFrame) -> DataFrame:
                 raw = w.data.tobytes()
                 for i in range(w.rows):
                     picks = lists[i].as_py()
-                    if not picks or key[i] != wanted[a + i]:
-                        continue
-                    for p in picks:
+                    for p in picks or ():
                         g = bound[i] + p["place"]
+                        if g >= bound[i + 1] or int(anchor[g] & U64(0x7FFF)) != p["mark"]:
+                            continue
                         for lo, hi in [(begin[g], end[g])] if not p["hot"] else [(s, s) for s in range(begin[g], end[g] + 1)]:
                             s, e = w.starts[lo : hi + WINDOW], w.ends[lo : hi + WINDOW]
                             text = b" ".join([raw[x:y] for x, y in zip(s.tolist(), e.tolist(), strict=True)])
@@ -132,7 +131,7 @@ def surroundings(docs: DataFrame, chosen: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.bool_()), ids, pa.array(out[3], pa.int64()), pa.array(out[4], pa.int32()), pa.array(out[5], pa.int32()), pa.array(out[6], pa.binary()).cast(pa.string())], ["anchor", "hot", "doc_id", "row", "first", "windows", "words"])
 
     kept = documents(docs)
-    joined = kept.join(chosen, "doc_id").select("doc_id", "text", "picks", "row")
+    joined = kept.join(chosen, "doc_id").select("doc_id", "text", "picks")
     key = kept.schema["doc_id"].dataType.simpleString()
     return joined.mapInArrow(found, f"anchor bigint, hot boolean, doc_id {key}, row bigint, first int, windows int, words string")
 
@@ -268,9 +267,9 @@ def repeated_ranges(docs: DataFrame, group_rows: int = GROUP_ROWS) -> DataFrame:
     """(doc_id, row, ranges): for each text with repeated windows, (first word, word after the last) of the runs of them."""
     every = saved(anchors(docs))
     counts = every.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1").select("anchor", (F.col("n") > group_rows).alias("hot"))
-    chosen = every.join(counts, "anchor").select("doc_id", "row", F.struct("place", "hot").alias("pick"))
+    chosen = every.join(counts, "anchor").select("doc_id", F.struct("place", "hot", F.col("anchor").bitwiseAND(0x7FFF).cast("short").alias("mark")).alias("pick"))
     # rows that repeat a document share their picks
-    chosen = saved(chosen.groupBy("doc_id", "row").agg(F.collect_set("pick").alias("picks")))
+    chosen = saved(chosen.groupBy("doc_id").agg(F.collect_set("pick").alias("picks")))
     around = surroundings(docs, chosen)
     if not at_most(counts.where("hot"), 0):
         around = saved(around)
