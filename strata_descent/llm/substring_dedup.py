@@ -81,27 +81,29 @@ def anchor_places(w: kernel.Words, hashes: np.ndarray) -> tuple[np.ndarray, np.n
 
 
 def anchors(docs: DataFrame) -> DataFrame:
-    """(anchor, doc_id, place): every anchor of every text; place is its number in the text."""
+    """(anchor, doc_id, m): the distinct anchors of every text, with their occurrences in it."""
 
     def found(batches):
         for batch in batches:
             for a, z, w in kernel.steps(batch):
-                h = w.hashes()
-                place, anchor, _, _ = anchor_places(w, h)
+                place, anchor, _, _ = anchor_places(w, w.hashes())
                 row = np.searchsorted(w.row_words, place, side="right") - 1
-                number = np.arange(len(place)) - np.searchsorted(row, row)
-                yield pa.RecordBatch.from_arrays([pa.array(anchor.view(np.int64)), batch.column(0).slice(a, z - a).take(pa.array(row)), pa.array(number.astype(np.int32))], ["anchor", "doc_id", "place"])
+                order = np.lexsort((anchor, row))
+                row, anchor = row[order], anchor[order]
+                first = np.flatnonzero(np.concatenate([[True], (row[1:] != row[:-1]) | (anchor[1:] != anchor[:-1])])) if len(row) else np.zeros(0, dtype=np.int64)
+                m = np.diff(np.append(first, len(row)))
+                yield pa.RecordBatch.from_arrays([pa.array(anchor[first].view(np.int64)), batch.column(0).slice(a, z - a).take(pa.array(row[first])), pa.array(m.astype(np.int32))], ["anchor", "doc_id", "m"])
 
     kept = documents(docs)
-    return kept.mapInArrow(found, f"anchor bigint, doc_id {kept.schema['doc_id'].dataType.simpleString()}, place int")
+    return kept.mapInArrow(found, f"anchor bigint, doc_id {kept.schema['doc_id'].dataType.simpleString()}, m int")
 
 
 def surroundings(docs: DataFrame, chosen: DataFrame) -> DataFrame:
-    """(anchor, hot, doc_id, row, first, windows, words) of the chosen anchors.
+    """(anchor, hot, doc_id, row, firsts, windows, words) of the chosen anchors.
 
-    chosen: doc_id and picks, an array of (place, hot, mark); a pick whose mark is not the anchor's belongs
-    to another row of the same id.  words: those of all windows of the anchor,
-    joined by spaces, from the word first on; a hot anchor has a row for each window.
+    chosen: doc_id and picks, an array of (anchor, hot).  words: those of all windows of the anchor,
+    joined by spaces; firsts: where in the text they start, as a text that repeats them sends them once.
+    A hot anchor has a row for each window.
     """
 
     def found(batches):
@@ -114,26 +116,29 @@ def surroundings(docs: DataFrame, chosen: DataFrame) -> DataFrame:
                 bound = np.searchsorted(row, np.arange(w.rows + 1))
                 key = row_keys(w, h).view(np.int64)
                 lists = picks_of.slice(a, z - a)
-                out = [[], [], [], [], [], [], []]
+                out: list[list] = [[], [], [], [], [], [], []]
                 raw = w.data.tobytes()
                 for i in range(w.rows):
-                    picks = lists[i].as_py()
-                    for p in picks or ():
-                        g = bound[i] + p["place"]
-                        if g >= bound[i + 1] or int(anchor[g] & U64(0x7FFF)) != p["mark"]:
+                    hot = {p["anchor"]: p["hot"] for p in lists[i].as_py() or ()}
+                    same: dict[tuple[int, int, bytes], list[int]] = {}
+                    for g in range(bound[i], bound[i + 1]):
+                        name = int(anchor[g].view(np.int64))
+                        if name not in hot:
                             continue
-                        for lo, hi in [(begin[g], end[g])] if not p["hot"] else [(s, s) for s in range(begin[g], end[g] + 1)]:
+                        for lo, hi in [(begin[g], end[g])] if not hot[name] else [(s, s) for s in range(begin[g], end[g] + 1)]:
                             s, e = w.starts[lo : hi + WINDOW], w.ends[lo : hi + WINDOW]
                             text = b" ".join([raw[x:y] for x, y in zip(s.tolist(), e.tolist(), strict=True)])
-                            for column, value in zip(out, (int(anchor[g].view(np.int64)), p["hot"], a + i, int(key[i]), int(lo - w.row_words[i]), int(hi - lo + 1), text), strict=True):
-                                column.append(value)
+                            same.setdefault((name, int(hi - lo + 1), text), []).append(int(lo - w.row_words[i]))
+                    for (name, n, text), firsts in same.items():
+                        for column, value in zip(out, (name, hot[name], a + i, int(key[i]), firsts, n, text), strict=True):
+                            column.append(value)
                 ids = batch.column(0).take(pa.array(out[2], pa.int64()))
-                yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.bool_()), ids, pa.array(out[3], pa.int64()), pa.array(out[4], pa.int32()), pa.array(out[5], pa.int32()), pa.array(out[6], pa.binary()).cast(pa.string())], ["anchor", "hot", "doc_id", "row", "first", "windows", "words"])
+                yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.bool_()), ids, pa.array(out[3], pa.int64()), pa.array(out[4], pa.list_(pa.int32())), pa.array(out[5], pa.int32()), pa.array(out[6], pa.binary()).cast(pa.string())], ["anchor", "hot", "doc_id", "row", "firsts", "windows", "words"])
 
     kept = documents(docs)
     joined = kept.join(chosen, "doc_id").select("doc_id", "text", "picks")
     key = kept.schema["doc_id"].dataType.simpleString()
-    return joined.mapInArrow(found, f"anchor bigint, hot boolean, doc_id {key}, row bigint, first int, windows int, words string")
+    return joined.mapInArrow(found, f"anchor bigint, hot boolean, doc_id {key}, row bigint, firsts array<int>, windows int, words string")
 
 
 def suffix_tree(names: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -192,14 +197,16 @@ def repeated_windows(groups: np.ndarray, words: pa.Array, windows: np.ndarray, w
 
 
 def _tree_rows(batch: pa.Table):
-    """Repeated windows of whole groups: (row of the table, first repeated window, windows) runs."""
+    """Repeated windows of whole groups: (row of the table, first word of the run, windows) runs."""
     words = batch["words"].combine_chunks()
     anchor = batch["anchor"].to_numpy()
     windows = batch["windows"].to_numpy()
     w = kernel.split(*kernel._bytes_of(words))
     text_key = row_keys(w, w.hashes())
-    _, kind, back, weight = np.unique(np.stack([anchor.view(U64), text_key]), axis=1, return_index=True, return_inverse=True, return_counts=True)
+    _, kind, back = np.unique(np.stack([anchor.view(U64), text_key]), axis=1, return_index=True, return_inverse=True)
     back = back.ravel()
+    starts = batch["firsts"].combine_chunks().to_pylist()
+    weight = np.bincount(back, weights=[len(x) for x in starts], minlength=len(kind))
     flags = repeated_windows(anchor[kind], words.take(pa.array(kind)), windows[kind], weight)
     bound = np.concatenate([[0], np.cumsum(windows[kind])])
     change = np.flatnonzero(np.diff(np.concatenate([[0], flags.astype(np.int8), [0]])))
@@ -216,9 +223,10 @@ def _tree_rows(batch: pa.Table):
     rows, first, length = [], [], []
     for r, i in enumerate(back.tolist()):
         for f, n in by_kind.get(i, ()):
-            rows.append(r)
-            first.append(f)
-            length.append(n)
+            for start in starts[r]:
+                rows.append(r)
+                first.append(start + f)
+                length.append(n)
     return np.array(rows, dtype=np.int64), np.array(first, dtype=np.int64), np.array(length, dtype=np.int64)
 
 
@@ -232,8 +240,7 @@ def repeats_of_partitions(around: DataFrame) -> DataFrame:
         def emit(rows: pa.Table):
             at, first, n = _tree_rows(rows)
             part = rows.take(pa.array(at))
-            begin = part["first"].to_numpy() + first
-            return pa.Table.from_arrays([part["doc_id"], part["row"], pa.array(begin.astype(np.int32)), pa.array(n.astype(np.int32))], names).combine_chunks().to_batches()
+            return pa.Table.from_arrays([part["doc_id"], part["row"], pa.array(first.astype(np.int32)), pa.array(n.astype(np.int32))], names).combine_chunks().to_batches()
 
         for batch in batches:
             for piece in (batch.slice(i, TREE_ROWS) for i in range(0, batch.num_rows, TREE_ROWS)):
@@ -258,17 +265,17 @@ def repeats_of_partitions(around: DataFrame) -> DataFrame:
 
 def repeats_of_split_groups(around: DataFrame) -> DataFrame:
     """(doc_id, row, first, windows) of the windows of hot anchors whose WINDOW words start elsewhere too."""
-    hot = around.where("hot").select("doc_id", "row", "first", "windows", F.sha2("words", 256).alias("node"))
-    leaves = hot.groupBy("node").agg(F.count("*").alias("n")).where("n > 1").select("node")
-    return hot.join(leaves, "node").select("doc_id", "row", "first", "windows")
+    hot = around.where("hot").select("doc_id", "row", "firsts", "windows", F.sha2("words", 256).alias("node"))
+    leaves = hot.groupBy("node").agg(F.sum(F.size("firsts")).alias("n")).where("n > 1").select("node")
+    return hot.join(leaves, "node").select("doc_id", "row", F.explode("firsts").alias("first"), "windows")
 
 
 def repeated_ranges(docs: DataFrame, group_rows: int = GROUP_ROWS) -> DataFrame:
     """(doc_id, row, ranges): for each text with repeated windows, (first word, word after the last) of the runs of them."""
     every = saved(anchors(docs))
-    counts = every.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1").select("anchor", (F.col("n") > group_rows).alias("hot"))
-    chosen = every.join(counts, "anchor").select("doc_id", F.struct("place", "hot", F.col("anchor").bitwiseAND(0x7FFF).cast("short").alias("mark")).alias("pick"))
-    # rows that repeat a document share their picks
+    counts = every.groupBy("anchor").agg(F.sum("m").alias("n")).where("n > 1").select("anchor", (F.col("n") > group_rows).alias("hot"))
+    chosen = every.join(counts, "anchor").select("doc_id", F.struct("anchor", "hot").alias("pick"))
+    # rows that repeat an id share their picks; those that a text does not have mean nothing to it
     chosen = saved(chosen.groupBy("doc_id").agg(F.collect_set("pick").alias("picks")))
     around = surroundings(docs, chosen)
     if not at_most(counts.where("hot"), 0):
