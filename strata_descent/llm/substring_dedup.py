@@ -136,6 +136,9 @@ def surroundings(docs: DataFrame, chosen: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.bool_()), ids, pa.array(out[3], pa.int64()), pa.array(out[4], pa.list_(pa.int32())), pa.array(out[5], pa.int32()), pa.array(out[6], pa.binary()).cast(pa.string())], ["anchor", "hot", "doc_id", "row", "firsts", "windows", "words"])
 
     kept = documents(docs)
+    ids = chosen.select("doc_id")
+    if at_most(ids):  # few enough to keep the other texts from moving
+        kept = kept.join(F.broadcast(ids), "doc_id", "left_semi")
     joined = kept.join(chosen, "doc_id").select("doc_id", "text", "picks")
     key = kept.schema["doc_id"].dataType.simpleString()
     return joined.mapInArrow(found, f"anchor bigint, hot boolean, doc_id {key}, row bigint, firsts array<int>, windows int, words string")
@@ -299,7 +302,13 @@ def with_ranges(docs: DataFrame, *more: str) -> DataFrame:
     """Rows of docs (doc_id, text, the named columns) with found: the ranges of each text of that id."""
     ranges = saved(repeated_ranges(docs))
     by_id = ranges.groupBy("doc_id").agg(F.collect_list(F.struct("row", "ranges")).alias("found"))
-    return documents(docs, *more).join(by_id, "doc_id", "left")
+    kept, ids = documents(docs, *more), ranges.select("doc_id").distinct()
+    if not at_most(ids):
+        return kept.join(by_id, "doc_id", "left")
+    # few enough to keep texts without repeats from moving
+    moved = kept.join(F.broadcast(ids), "doc_id", "left_semi").join(by_id, "doc_id")
+    rest = kept.join(F.broadcast(ids), "doc_id", "left_anti").withColumn("found", F.lit(None).cast(by_id.schema["found"].dataType))
+    return moved.unionByName(rest)
 
 
 def kept_texts(batch: pa.RecordBatch, text: int, found: int):
