@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 #: A side of at most this many rows of a few numbers (tens of MB) may be broadcast.
 BROADCAST_ROWS = 1_000_000
+BATCH_ROWS = 1000
 SPACE = r"[\x20\x09-\x0D]+"
 
 
@@ -35,8 +36,16 @@ def saved(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Arrow batches of at most BATCH_ROWS texts, so that a batch of long ones fits into a task; a setting of the running session."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
 def documents(docs: DataFrame, *more: str) -> DataFrame:
     """doc_id and text (null: empty), and no other column unless named; extra columns never clash."""
+    small_batches(docs.sparkSession)
     return docs.select(F.col("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), *more)
 
 

@@ -34,7 +34,7 @@ SPARE = 0.15
 BLOCK_ROWS = 256
 BLOCK_SHINGLES = 1 << 17
 #: Classes whose postings a task has just sent are not sent again while they are among so many.
-REMEMBERED = 200_000
+REMEMBERED = 100_000
 U64 = np.uint64
 
 
@@ -266,7 +266,8 @@ def join_documents(docs: DataFrame) -> DataFrame:
 def keep_one(docs: DataFrame) -> DataFrame:
     """docs without those that belong to another document's component; of rows that repeat an id one stays."""
     joined = join_documents(docs)
-    kept = docs.join(saved(joined.where("doc_id = component_id").select("doc_id").distinct()), "doc_id", "left_semi")
+    ids = saved(joined.where("doc_id = component_id").select("doc_id").distinct())
+    kept = docs.join(checked(ids), "doc_id", "left_semi")
     repeated = docs.groupBy("doc_id").count().where("count > 1").limit(1).count()
     return kept.dropDuplicates(["doc_id"]) if repeated else kept
 

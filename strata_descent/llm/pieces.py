@@ -34,7 +34,7 @@ SEED = 4711
 LONGEST = 12  # bytes of a piece that the lattice uses
 TABLE_BITS = 16
 MARK = "▁"
-STEP_BYTES = 1 << 21
+STEP_BYTES = 1 << 19
 U64 = np.uint64
 _PRIME = U64(0x100000001B3)
 
