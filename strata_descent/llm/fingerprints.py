@@ -1,12 +1,12 @@
 """Document fingerprints from closed syncmers, by DataFrame functions only.
 
-A text is a sequence of words, a text of fewer than ``SHORT`` characters one of its characters.  A run of K of
-them is a closed syncmer if the least hash among its inner runs of S stands at its first or last
-place.  Whether a run is chosen depends on that run alone, so an edit elsewhere never moves an
-anchor.  The fingerprint keeps the ``ANCHORS`` anchors of least hash, each with its place, so its
-size is bounded whatever the text; a sequence shorter than K is one anchor, an empty text has
-none.  Likeness compares two fingerprints place by place: anchors of equal hash vote for a shift, and
-only those within ``SLACK`` places of the median shift count, over the anchors of the merged sketch.
+A text of any size is a sequence of words.  A run of K of them is a closed syncmer if the least hash
+among its inner runs of S stands at its first or last place.  Whether a run is chosen depends on that
+run alone, so an edit elsewhere never moves an anchor.  The fingerprint keeps the ``ANCHORS`` distinct
+anchors of least hash, each with its least place, so its size is bounded whatever the text and copies
+of a passage take no room; a sequence shorter than K is one anchor, an empty text has none.  Likeness
+compares two fingerprints place by place: anchors of equal hash vote for a shift, and only those within
+``SLACK`` places of the median shift count, over the anchors of the merged sketch.
 
 Null texts are empty.  Two empty fingerprints have likeness 1, one empty fingerprint 0.  Rows that
 repeat a doc_id each get a result; as someone's next document such an id stands for the row of least first quarter.
@@ -21,8 +21,6 @@ from pyspark.sql import functions as F
 from .common import checked, documents, saved, table, words_column
 
 K, S, ANCHORS, SLACK = 8, 2, 48, 64
-#: Texts of fewer characters are taken as a sequence of characters.
-SHORT = 512
 
 
 def anchors(text: str) -> str:
@@ -32,11 +30,11 @@ def anchors(text: str) -> str:
     middle = ", ".join(f"s[i + {j}]" for j in range(1, last))
     chosen = f"""filter(sequence(0, size(s) - {last + 1}), i -> least(s[i], s[i + {last}]) <= least({middle}))"""
     hashed = f"""transform({chosen}, i -> struct(xxhash64({', '.join(f's[i + {j}]' for j in range(0, last + 1, S))}) as h, i as i))"""
-    long = f"transform(array({inner}), s -> slice(array_sort({hashed}), 1, {4 * ANCHORS}))[0]"
+    long = f"transform(array({inner}), s -> array_sort({hashed}))[0]"
     whole = "array(struct(xxhash64(concat_ws(' ', t)) as h, 0 as i))"
-    some = f"transform(array(if(length({text}) >= {SHORT}, words, split({text}, ''))), t -> case when {text} = '' then array() when size(t) < {K} then {whole} else {long} end)[0]"
+    some = f"case when {text} = '' then array() when size(t) < {K} then {whole} else {long} end"
     firsts = f"transform(array({some}), a -> filter(a, (x, k) -> k = 0 or a[k - 1].h != x.h))[0]"
-    return f"transform(array({words_column(text)}), words -> slice({firsts}, 1, {ANCHORS}))[0]"
+    return f"transform(array({words_column(text)}), t -> slice({firsts}, 1, {ANCHORS}))[0]"
 
 
 def likeness(a: str, b: str) -> str:

@@ -201,6 +201,18 @@ def test_syncmers_by_hand(spark):
     assert {x.i for x in got} <= chosen and len(got) == min(len(chosen), fingerprints.ANCHORS)
 
 
+def test_repeats_take_no_anchors(spark):
+    """A repeated passage neither crowds out distinct anchors nor counts twice, and size changes no text's kind."""
+    plain, passage = text_of(78, 400), text_of(79, 24)
+    mixed = plain + " " + " ".join([passage] * 300)
+    short = text_of(80, 60)
+    assert len(short) < 512
+    rows = spark.createDataFrame([(1, plain), (2, plain + " " + passage + " " + passage), (3, mixed), (4, short), (5, short + " " + text_of(81, 120))], "i int, text string")
+    got = {r.i: r.a for r in rows.select("i", F.expr(fingerprints.anchors("text")).alias("a")).collect()}
+    assert len(got[3]) == len({x.h for x in got[3]}) == fingerprints.ANCHORS and got[3] == got[2]
+    assert len({x.h for x in got[4]} & {x.h for x in got[5]}) > 0
+
+
 def test_mixing(docs, corpus):
     rows = mixing.taken_words(docs).collect()
     again = mixing.taken_words(docs.repartition(5)).collect()
