@@ -1,9 +1,10 @@
 """URL filters: host and path rules first, then pattern rules found through their rarest literal token.
 
-Every pattern rule needs some literal tokens (runs of letters and digits) to be in a URL.  A rule is
-indexed by that of its tokens which the fewest of the given URLs hold; the tokens of a URL fetch its
-candidate rules by an equi-join and only those run their regular expression.  All of it is DataFrame
-work; work is done once per distinct URL, so a URL that holds a third of all rows costs as one.
+A pattern rule lists sets of literal tokens (whole runs of letters and digits), one set for each way in
+which it can match: every URL that it matches holds all tokens of some set.  Each set is indexed by that
+of its tokens which the fewest of the given URLs hold; the tokens of a URL fetch its candidate rules by
+an equi-join and only those run their regular expression.  All of it is DataFrame work; work is done
+once per distinct URL, so a URL that holds a third of all rows costs as one.
 
 Null or unparsable URLs have an empty host and path, match no host rule, and are allowed unless a
 pattern fits.  Repeated rows give repeated results.  An empty table gives an empty result.
@@ -28,10 +29,10 @@ class HostRule:
 
 @dataclass(frozen=True)
 class PatternRule:
-    """tokens: lower-case literal tokens, all of which a lower-cased URL must hold for pattern to match."""
+    """tokens: sets of lower-case tokens; a lower-cased URL that pattern matches holds all tokens of at least one set."""
 
     pattern: str
-    tokens: tuple[str, ...]
+    tokens: tuple[tuple[str, ...], ...]
     verdict: str = "block"
 
 
@@ -45,20 +46,20 @@ HOST_RULES = (
 )
 #: Production pattern rules: advertising, gambling, drugs, adult pages, session and archive traps.
 PATTERN_RULES = (
-    PatternRule(r"[/.]cheap-(pills|meds|viagra)[./-]", ("cheap",)),
-    PatternRule(r"[/.-]casino(s)?-?(bonus|online)[./?-]", ("casino",)),
-    PatternRule(r"[/.-]online-?casino[./?-]", ("online", "casino")),
-    PatternRule(r"[/.-]free-?spins[./?-]", ("free", "spins")),
-    PatternRule(r"[/.-]payday-?loans?[./?-]", ("payday",)),
-    PatternRule(r"[/.-]replica-watch(es)?[./?-]", ("replica", "watch")),
-    PatternRule(r"[/.-]buy-(viagra|cialis|tramadol)[./?-]", ("buy",)),
-    PatternRule(r"[/.-]porn[./?-]", ("porn",)),
-    PatternRule(r"[/.-]xxx[./?-]", ("xxx",)),
-    PatternRule(r"[?&](phpsessid|jsessionid)=[0-9a-f]{8,}", ("phpsessid",)),
-    PatternRule(r"/wp-(login|admin)(\.php|/)", ("wp",)),
-    PatternRule(r"/calendar/[0-9]{4}/[0-9]{2}/[0-9]{2}", ("calendar",)),
-    PatternRule(r"[?&]add-to-cart=[0-9]+", ("add", "to", "cart")),
-    PatternRule(r"[/.-]mirror[0-9]*\.[^/]*/pub/", ("pub",)),
+    PatternRule(r"[/.]cheap-(pills|meds|viagra)[./-]", (("cheap", "pills"), ("cheap", "meds"), ("cheap", "viagra"))),
+    PatternRule(r"[/.-]casino(s)?-?(bonus|online)[./?-]", (("casino", "bonus"), ("casino", "online"), ("casinos", "bonus"), ("casinos", "online"), ("casinobonus",), ("casinoonline",), ("casinosbonus",), ("casinosonline",))),
+    PatternRule(r"[/.-]online-?casino[./?-]", (("online", "casino"), ("onlinecasino",))),
+    PatternRule(r"[/.-]free-?spins[./?-]", (("free", "spins"), ("freespins",))),
+    PatternRule(r"[/.-]payday-?loans?[./?-]", (("payday", "loan"), ("payday", "loans"), ("paydayloan",), ("paydayloans",))),
+    PatternRule(r"[/.-]replica-watch(es)?[./?-]", (("replica", "watch"), ("replica", "watches"))),
+    PatternRule(r"[/.-]buy-(viagra|cialis|tramadol)[./?-]", (("buy", "viagra"), ("buy", "cialis"), ("buy", "tramadol"))),
+    PatternRule(r"[/.-]porn[./?-]", (("porn",),)),
+    PatternRule(r"[/.-]xxx[./?-]", (("xxx",),)),
+    PatternRule(r"[?&](phpsessid|jsessionid)=[0-9a-f]{8,}", (("phpsessid",), ("jsessionid",))),
+    PatternRule(r"/wp-(login|admin)(\.php|/)", (("wp", "login"), ("wp", "admin"))),
+    PatternRule(r"/calendar/[0-9]{4}/[0-9]{2}/[0-9]{2}", (("calendar",),)),
+    PatternRule(r"[?&]add-to-cart=[0-9]+", (("add", "to", "cart"),)),
+    PatternRule(r"[/.-]mirror[0-9]*\.[^/]*/pub/", (("pub",),)),
 )
 
 
@@ -71,17 +72,18 @@ def split_url(url: str = "url") -> tuple[str, str]:
 
 
 def index_rules(urls: DataFrame, rules: tuple[PatternRule, ...]) -> DataFrame:
-    """(rule, pattern, verdict, token): each rule with the one of its tokens that the fewest URLs hold.
+    """(rule, pattern, verdict, token): for each set of a rule that one of its tokens that the fewest URLs hold.
 
     The rule list is a parameter, not data, so broadcasting it is bounded.
     """
     spark = urls.sparkSession
-    rows = [(i, r.pattern, r.verdict, list(r.tokens)) for i, r in enumerate(rules)]
-    listed = spark.createDataFrame(rows, "rule int, pattern string, verdict string, tokens array<string>")
+    rows = [(i, r.pattern, r.verdict, k, list(tokens)) for i, r in enumerate(rules) for k, tokens in enumerate(r.tokens)]
+    listed = spark.createDataFrame(rows, "rule int, pattern string, verdict string, way int, tokens array<string>")
     wanted = F.broadcast(listed.select(F.explode("tokens").alias("token")).distinct())
     held = urls.select(F.explode("tokens").alias("token")).join(wanted, "token").groupBy("token").agg(F.count("*").alias("n"))
-    each = listed.select("rule", "pattern", "verdict", F.explode("tokens").alias("token")).join(held, "token", "left")
-    return each.groupBy("rule", "pattern", "verdict").agg(F.min_by("token", F.struct(F.coalesce("n", F.lit(0)), "token")).alias("token"))
+    each = listed.select("rule", "pattern", "verdict", "way", F.explode("tokens").alias("token")).join(held, "token", "left")
+    rarest = each.groupBy("rule", "pattern", "verdict", "way").agg(F.min_by("token", F.struct(F.coalesce("n", F.lit(0)), "token")).alias("token"))
+    return rarest.drop("way").distinct()  # sets of a rule may share their rarest token
 
 
 def pattern_verdicts(pages: DataFrame, rules: tuple[PatternRule, ...] = PATTERN_RULES) -> DataFrame:

@@ -374,6 +374,23 @@ def test_url_filters(spark):
     assert got[10][2:] == ("example.com/en/", "block") and got[11][0] == "q.org"
 
 
+def test_url_index_finds_what_all_patterns_find(spark):
+    """Every way in which a pattern can match is fetched: the verdicts are those of all patterns run on all URLs."""
+    bits = [
+        "cheap-pills", "cheap-meds", "cheap-viagra", "casino-bonus", "casinos-online", "casinobonus", "casinosonline", "casinoonline", "casinosbonus", "online-casino", "onlinecasino", "free-spins", "freespins",
+        "payday-loan", "payday-loans", "paydayloan", "paydayloans", "replica-watch", "replica-watches", "buy-viagra", "buy-cialis", "buy-tramadol", "porn", "xxx", "wp-login", "wp-admin", "calendar/2024/01/02",
+        "watch", "casino", "online", "bonus", "free", "payday", "loans", "replica", "jsessionid",
+    ]
+    urls = [f"http://h.org/{b}{end}" for b in bits for end in ("/", ".php", "?x", "y/", "")]
+    urls += [f"http://h.org/{b.upper()}/" for b in bits] + [f"http://h.org/a{mark}{key}=0123456789ab" for mark in "?&" for key in ("phpsessid", "jsessionid", "JSESSIONID", "sessionid")]
+    urls += ["http://h.org/?add-to-cart=7", "http://mirror12.h.org/pub/x", "http://a.mirror.org/pub/", "http://h.org/mirror3.x/pub/"]
+    urls += [f"http://h.org/replica/{i}" for i in range(40)]  # so that the other token is the rarer one
+    pages = spark.createDataFrame([(u,) for u in urls], "url string")
+    found = {r.url: r.pattern_verdict for r in url_filters.pattern_verdicts(pages).collect()}
+    fit = [r for u in set(urls) for r in [(u, next((r.verdict for r in url_filters.PATTERN_RULES if re.search(r.pattern, u.lower())), None))] if r[1]]
+    assert found == dict(fit) and len(fit) > 60
+
+
 def test_empty_tables(spark, empty):
     labels = spark.createDataFrame([], "doc_id bigint, quality int, toxic int")
     frames = [
