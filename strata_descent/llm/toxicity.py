@@ -9,10 +9,14 @@ neither.  A text's evidence is the largest, over its windows of ``WINDOW`` bytes
 ratio divided by the window's length, so one expression in a long text shows.  A logistic curve,
 fitted on training rows that the models have not seen, turns evidence into a score.
 
-Byte runs are hashed into tables of fixed size and distinct neighbours counted by 64-bit linear
-counting, so the model is the same few tens of MB whatever the corpus; its counts are over all training
-rows.  Only the curve's two numbers are fitted on at most ``CURVE_ROWS`` rows.  Training rows:
-labelled, with crc32(doc_id as text) mod 5 other than 0; 1 to 3 train the models, 4 the curve.
+Runs of six bytes are counted exactly, as rows of a table that grows with the distinct runs of the
+training rows; the counts of shorter runs, of distinct neighbours, and all probabilities come from that
+table by shuffled aggregates and joins.  A byte's log ratio is a function of the six bytes that end with
+it, and a run that no class has more often than DISCOUNT has the ratio of its last four bytes, or of none.
+So what scoring needs is the ratios of the other runs: their number follows the training rows too, and
+they are looked up by the whole run.  Only the curve's two numbers are fitted on at most ``CURVE_ROWS``
+rows.  Training rows: labelled, with crc32(doc_id as text) mod 5 other than 0; 1 to 3 train the models,
+4 the curve.
 
 Null and empty texts have evidence 0.  Without toxic or without ordinary training rows every score is
 0.  Rows that repeat a doc_id are scored one by one; labels that repeat one count as toxic if any does.
@@ -28,29 +32,55 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import checked, documents, table
+from .common import checked, documents, saved, table
 
-#: Bits of the table of runs of so many bytes.
-BITS = {6: 20, 5: 19, 4: 18, 3: 17}
 WINDOW = 8
 #: Taken off every count, at the smaller class's size; what is left to share goes to the lower order.
 DISCOUNT = 2.0
 CURVE_ROWS = 20_000
+MERGE_RUNS = 1 << 20  # runs that a task holds before equal ones are added up
 U64 = np.uint64
-_BASE = dict(zip(BITS, np.cumsum([0, *(1 << b for b in BITS.values())]).tolist(), strict=False))
-_SLOTS = sum(1 << b for b in BITS.values())
+_NONE = U64(2**64 - 1)  # no run has this code
 _FOLD = np.arange(256, dtype=np.uint8)
 _FOLD[65:91] += 32
 _FOLD[[*range(0x09, 0x0E)]] = 0x20
 
 
-def _slot(codes: np.ndarray, n: int) -> np.ndarray:
-    """Slots of runs of n bytes; codes hold a run's bytes in their low bits."""
-    with np.errstate(over="ignore"):
-        h = (codes + U64(n)) * U64(0x9E3779B97F4A7C15)
-        h ^= h >> U64(29)
-        h *= U64(0xBF58476D1CE4E5B9)
-    return (h >> U64(64 - BITS[n])).astype(np.int64) + _BASE[n]
+@dataclass
+class Ratios:
+    """Log ratios by run, in a table of twice the places at least; the run itself is kept, so none stands for another."""
+
+    codes: np.ndarray
+    logs: np.ndarray
+
+    @staticmethod
+    def of(codes: np.ndarray, logs: np.ndarray) -> Ratios:
+        places = 1 << max(4, (2 * len(codes)).bit_length())
+        out = Ratios(np.full(places, _NONE), np.zeros(places, dtype=np.float32))
+        rest, at = np.arange(len(codes)), out.first(codes)
+        while len(rest):
+            free = out.codes[at] == _NONE
+            out.codes[at[free]] = codes[rest[free]]
+            done = out.codes[at] == codes[rest]
+            out.logs[at[done]] = logs[rest[done]]
+            rest, at = rest[~done], (at[~done] + 1) & (places - 1)
+        return out
+
+    def first(self, codes: np.ndarray) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            h = (codes ^ codes >> U64(23)) * U64(0x9E3779B97F4A7C15)
+        return (h >> U64(65 - len(self.codes).bit_length())).astype(np.int64)
+
+    def find(self, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(log ratio of each run, 0 if it is not there; the runs that are not there)."""
+        at = self.first(codes)
+        found = self.codes[at]
+        rest = np.flatnonzero((found != codes) & (found != _NONE))
+        while len(rest):
+            at[rest] = (at[rest] + 1) & (len(self.codes) - 1)
+            found = self.codes[at[rest]]
+            rest = rest[(found != codes[rest]) & (found != _NONE)]
+        return self.logs[at], np.flatnonzero(self.codes[at] == _NONE)
 
 
 @dataclass
@@ -75,35 +105,17 @@ class Runs:
             codes[j:] |= wide[: len(padded) - j] << U64(8 * j)
         return Runs(codes[real], w.row_bytes)
 
-    def run(self, n: int, back: int = 0) -> np.ndarray:
-        """Codes of the n bytes that end so many bytes before each byte."""
-        return self.codes >> U64(8 * back) & U64((1 << 8 * n) - 1)
-
-    def slots(self, n: int, back: int = 0) -> np.ndarray:
-        return _slot(self.run(n, back), n)
-
 
 @dataclass
 class Model:
-    """counts: class 0 ordinary, 1 toxic, by slot, at the smaller class's size; backoff: by slot of a history."""
-
-    counts: np.ndarray
-    backoff: np.ndarray
-    before: np.ndarray  # by slot of a trigram: distinct bytes before it
-    spread: np.ndarray  # by two bytes: the sum of before over what may follow
+    six: Ratios
+    four: Ratios
 
     def ratios(self, runs: Runs) -> np.ndarray:
         """Log of toxic over ordinary probability of each byte given those before it."""
-        shared = (self.before[runs.slots(3) - _BASE[3]] + 0.1) / self.spread[runs.run(2, 1).astype(np.int64)]
-        lower = [shared, shared]
-        for n, history in ((4, 3), (6, 5)):
-            run, past = runs.slots(n), runs.slots(history, 1)
-            weight = self.backoff[past]
-            for c in (0, 1):
-                seen = self.counts[c][past]
-                kept = np.maximum(np.minimum(self.counts[c][run], seen) - DISCOUNT, 0)
-                lower[c] = (1 - weight) * kept / np.maximum(seen, 1) + weight * lower[c]
-        return np.log(lower[1]) - np.log(lower[0])
+        out, rest = self.six.find(runs.codes)
+        out[rest] = self.four.find(runs.codes[rest] & U64(0xFFFFFFFF))[0]
+        return out
 
     def evidence(self, w: kernel.Words) -> np.ndarray:
         """The largest window mean of each row; 0 for an empty row."""
@@ -124,64 +136,82 @@ class Model:
         return out
 
 
-def _distinct(bits: np.ndarray) -> np.ndarray:
-    """Linear counting from 64 bits; a full word of bits stands for 64 ln 64."""
-    return -64.0 * np.log(np.maximum(64.0 - np.bitwise_count(bits.view(np.uint64)), 1.0) / 64.0)
+def _merged(parts: list[np.ndarray]) -> list[np.ndarray]:
+    """Rows of (run, ordinary count, toxic count) with equal runs added up, by run."""
+    code, n0, n1 = (np.concatenate(x) for x in zip(*parts, strict=True))
+    order = np.argsort(code)
+    code = code[order]
+    first = np.flatnonzero(np.append(True, code[1:] != code[:-1])) if len(code) else np.zeros(0, dtype=np.int64)
+    return [code[first], *(np.add.reduceat(n[order], first) if len(code) else n for n in (n0, n1))]
 
 
 def gather(train: DataFrame) -> DataFrame:
-    """slot, n0, n1, bits over train (text, toxic).
+    """code, n0, n1: how often each run of six bytes is in ordinary and in toxic texts of train (text, toxic)."""
 
-    Bits are of the distinct bytes before a trigram (slots of 3 and, shifted, those after a history).
-    """
+    def rows(found: list[np.ndarray]):
+        for at in range(0, len(found[0]), 1 << 16):
+            code, n0, n1 = (x[at : at + (1 << 16)] for x in found)
+            yield pa.RecordBatch.from_arrays([pa.array(code.view(np.int64)), pa.array(n0), pa.array(n1)], ["code", "n0", "n1"])
 
     def counted(batches):
-        n = np.zeros((2, _SLOTS), dtype=np.int64)
-        before, after = np.zeros(_SLOTS, dtype=U64), np.zeros(_SLOTS, dtype=U64)
+        parts: list[list[np.ndarray]] = []
         for batch in batches:
             toxic = np.asarray(batch.column(1).to_numpy(zero_copy_only=False), dtype=np.int64)
             for a, z, w in kernel.steps(batch):
-                runs = Runs.of(w)
-                label = np.repeat(toxic[a:z], np.diff(w.row_bytes))
-                for k in BITS:
-                    slot = runs.slots(k)
-                    for c in (0, 1):
-                        np.add.at(n[c], slot[label == c], 1)
-                one = lambda x: U64(1) << (kernel.mix(x) & U64(63))
-                np.bitwise_or.at(before, runs.slots(3), one(runs.run(1, 3)))
-                for k in (3, 5):
-                    np.bitwise_or.at(after, runs.slots(k, 1), one(runs.run(1)))
-        used = np.flatnonzero(n[0] + n[1] + (after != 0))
-        for at in range(0, len(used), 1 << 16):
-            s = used[at : at + (1 << 16)]
-            yield pa.RecordBatch.from_arrays([pa.array(s.astype(np.int32)), pa.array(n[0][s]), pa.array(n[1][s]), pa.array(before[s].view(np.int64)), pa.array(after[s].view(np.int64))], ["slot", "n0", "n1", "before", "after"])
-
-    rows = train.select("text", "toxic").mapInArrow(counted, "slot int, n0 bigint, n1 bigint, before bigint, after bigint")
-    return rows.groupBy("slot").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"), F.bit_or("before").alias("before"), F.bit_or("after").alias("after"))
+                label = np.repeat(toxic[a:z], np.diff(w.row_bytes)).astype(U64)
+                both, n = np.unique(Runs.of(w).codes << U64(1) | label, return_counts=True)
+                one = (both & U64(1)).astype(np.int64)
+                parts.append([both >> U64(1), n * (1 - one), n * one])
+                if sum(len(p[0]) for p in parts) > MERGE_RUNS:
+                    parts = [_merged(parts)]
+                    if len(parts[0][0]) > MERGE_RUNS // 2:
+                        yield from rows(parts.pop())
+        if parts:
+            yield from rows(_merged(parts))
+
+    found = train.select("text", "toxic").mapInArrow(counted, "code bigint, n0 bigint, n1 bigint")
+    return found.groupBy("code").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
+
+
+def _backed_off(runs: DataFrame, lower: tuple[str, str]) -> DataFrame:
+    """runs (code, n0, n1 and the lower order's columns) with p0 and p1, interpolated with the lower order; n0, n1 at the smaller class's size."""
+    history = runs.groupBy(F.shiftright("code", 8).alias("history")).agg(F.sum("n0").alias("s0"), F.sum("n1").alias("s1"), F.count("*").alias("followers"))
+    out = runs.withColumn("history", F.shiftright("code", 8)).join(history, "history")
+    # n0 and n1 are whole numbers until here, so that sums do not depend on their order
+    seen = {c: F.col(f"s{c}") * F.col(f"scale{c}") for c in (0, 1)}
+    left = DISCOUNT * F.col("followers")
+    weight = F.greatest(left / (left + F.least(seen[0], seen[1]) + 1e-9), F.lit(0.02))
+    kept = {c: F.greatest(F.col(f"n{c}") * F.col(f"scale{c}") - DISCOUNT, F.lit(0.0)) for c in (0, 1)}
+    return out.withColumns({f"p{c}": (1 - weight) * kept[c] / F.greatest(seen[c], F.lit(1.0)) + weight * F.col(lower[c]) for c in (0, 1)})
+
+
+def ratios(train: DataFrame) -> tuple[DataFrame, DataFrame] | None:
+    """(ratios of runs of six bytes, of four): code, log of each run that a class has more than DISCOUNT times; None if a class has no text."""
+    six = saved(gather(train))
+    size = six.agg(F.sum("n0"), F.sum("n1")).first()
+    if not size[0] or not size[1]:
+        return None
+    scales = {f"scale{c}": F.lit(min(size) / size[c]) for c in (0, 1)}
+    four = saved(six.groupBy(F.col("code").bitwiseAND(0xFFFFFFFF).alias("code")).agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1")))
+    three = four.groupBy(F.col("code").bitwiseAND(0xFFFFFF).alias("last")).agg(F.count("*").alias("before"))
+    pairs = three.groupBy(F.shiftright("last", 8).alias("pair")).agg(F.sum("before").alias("all_before"))
+    three = three.withColumn("pair", F.shiftright("last", 8)).join(F.broadcast(pairs), "pair")  # 65,536 rows at most
+    three = three.select("last", ((F.col("before") + 0.1) / (F.col("all_before") + 25.6)).alias("shared"))
+    four = four.withColumns({"last": F.col("code").bitwiseAND(0xFFFFFF), **scales}).join(three, "last")
+    four = saved(_backed_off(four, ("shared", "shared")).select("code", "n0", "n1", "p0", "p1"))
+    lower = four.select(F.col("code").alias("last"), F.col("p0").alias("q0"), F.col("p1").alias("q1"))
+    six = _backed_off(six.withColumns({"last": F.col("code").bitwiseAND(0xFFFFFFFF), **scales}).join(lower, "last"), ("q0", "q1"))
+    more = (F.col("n0") * scales["scale0"] > DISCOUNT) | (F.col("n1") * scales["scale1"] > DISCOUNT)
+    return tuple(runs.where(more).select("code", F.log(F.col("p1") / F.col("p0")).cast("float").alias("log")) for runs in (six, four))
 
 
 def fit(train: DataFrame) -> Model | None:
-    """The model of train (text, toxic); None if a class has no text.  What is collected has a row per slot at most."""
-    got = gather(train).toArrow()
-    slot = got["slot"].to_numpy()
-    n = np.zeros((2, _SLOTS))
-    for c in (0, 1):
-        n[c][slot] = got[f"n{c}"].to_numpy()
-    size = n[:, _BASE[3] :].sum(axis=1)
-    if not size.all():
+    """The model of train (text, toxic); None if a class has no text.  What is collected grows with the runs seen more than DISCOUNT times."""
+    found = ratios(train)
+    if found is None:
         return None
-    bits = np.zeros((2, _SLOTS), dtype=np.int64)
-    bits[0][slot], bits[1][slot] = got["before"].to_numpy(), got["after"].to_numpy()
-    counts = n * (size.min() / size)[:, None]
-    followers = DISCOUNT * _distinct(bits[1])
-    backoff = np.clip(followers / (followers + counts.min(axis=0) + 1e-9), 0.02, 1.0)
-    backoff[bits[1] == 0] = 1.0
-    before = _distinct(bits[0][_BASE[3] :])
-    spread = np.empty(1 << 16)
-    for first in range(256):  # the trigrams of each first byte
-        codes = np.arange(first << 16, (first + 1) << 16, dtype=np.uint64)
-        spread[first << 8 : (first + 1) << 8] = (before[_slot(codes, 3) - _BASE[3]] + 0.1).reshape(256, 256).sum(axis=1)
-    return Model(*(x.astype(np.float32) for x in (counts, backoff, before, spread)))
+    got = [runs.toArrow() for runs in found]
+    return Model(*(Ratios.of(g["code"].to_numpy().view(U64), g["log"].to_numpy()) for g in got))
 
 
 def with_evidence(docs: DataFrame, model: Model | None, *more: str) -> DataFrame:
@@ -189,7 +219,7 @@ def with_evidence(docs: DataFrame, model: Model | None, *more: str) -> DataFrame
     kept = docs.select("doc_id", *more, "text")
     if model is None:
         return kept.drop("text").withColumn("evidence", F.lit(0.0))
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # fixed size: see WORD_BITS and PAIR_BITS
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # grows with the runs seen more than DISCOUNT times
     names = ["doc_id", *more]
 
     def scored(batches):

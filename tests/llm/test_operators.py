@@ -349,6 +349,45 @@ def test_toxicity_learns_stems(spark):
     assert all(r.score == 0 for r in none)
 
 
+def test_toxicity_counts_are_exact(spark):
+    """Every byte's ratio is that of a plain Kneser-Ney model with counts of whole runs."""
+    rng = np.random.default_rng(9)
+    words = text_of(900, 60).split()
+    train = [(" ".join(rng.choice(words, 200)) + (" Grumblo\tx" * 3 if i % 3 == 0 else ""), int(i % 3 == 0)) for i in range(30)]
+    fold = lambda t: re.sub(rb"[\x09-\x0D]", b" ", t.encode().lower())
+    n, six, four = [0, 0], Counter(), Counter()
+    for t, c in train:
+        b = b"     " + fold(t)
+        for i in range(6, len(b) + 1):
+            six[b[i - 6 : i], c] += 1
+            four[b[i - 4 : i], c] += 1
+            n[c] += 1
+    before, after = {}, {}
+    for r, _ in four:
+        before.setdefault(r[1:], set()).add(r[0])
+    seen = Counter()
+    for counts in (six, four):
+        for (r, c), k in counts.items():
+            seen[r[:-1], c] += k
+            after.setdefault(r[:-1], set()).add(r[-1])
+
+    def ratio(run):
+        follow = sum(len(before.get(run[-3:-1] + bytes([x]), ())) for x in range(256)) + 25.6
+        p = [(len(before.get(run[-3:], ())) + 0.1) / follow] * 2
+        for counts, r in ((four, run[-4:]), (six, run)):
+            s = [seen[r[:-1], c] * min(n) / n[c] for c in (0, 1)]
+            left = toxicity.DISCOUNT * len(after.get(r[:-1], ()))
+            w = max(left / (left + min(s) + 1e-9), 0.02) if left else 1.0
+            p = [(1 - w) * max(counts[r, c] * min(n) / n[c] - toxicity.DISCOUNT, 0) / max(s[c], 1) + w * p[c] for c in (0, 1)]
+        return np.log(p[1] / p[0])
+
+    model = toxicity.fit(spark.createDataFrame(train, "text string, toxic int"))
+    text = train[0][0] + " never seen: zq9 " + words[3]
+    b = b"     " + fold(text)
+    got = model.ratios(toxicity.Runs.of(kernel.Words(np.frombuffer(text.encode(), dtype=np.uint8), np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64), np.zeros(2, dtype=np.int64), np.array([0, len(text)]))))
+    assert got == pytest.approx([ratio(b[i - 6 : i]) for i in range(6, len(b) + 1)], abs=1e-5)
+
+
 def test_importance_sample(spark, docs, corpus):
     rng = np.random.default_rng(3)
     good = [(i, text_of(i, 60), "a") for i in range(60)]
