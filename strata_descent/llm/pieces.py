@@ -5,7 +5,8 @@ that match inside a chunk span its lattice, and bytes stand in for characters th
 Forward filtering sums, for each place of a chunk, the weights exp(temperature * score) of all
 segmentations up to it; backward sampling then walks from the chunk's end, taking each piece with its
 share of that sum.  Random numbers are a hash of seed, row key and place, so a row gets the same
-segmentation wherever and however often it is computed.  All chunks of a batch walk together.
+segmentation wherever and however often it is computed.  All chunks of a batch walk together.  The
+lattice takes pieces of every length that the vocabulary has.
 
 Decoding joins the pieces, a space for each leading mark and a byte for each byte piece: it gives back
 every text exactly, marks that the text itself holds included, as those are encoded as bytes.
@@ -31,7 +32,8 @@ from .common import documents, table
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
 TEMPERATURE = 0.01
 SEED = 4711
-LONGEST = 12  # bytes of a piece that the lattice uses
+LONGEST = 512  # bytes of a chunk, so also of a piece in a lattice
+DENSE = 12  # pieces of up to so many bytes have a column of the lattice each; longer ones touch few places and are listed
 TABLE_BITS = 16
 MARK = "▁"
 STEP_BYTES = 1 << 19
@@ -74,11 +76,16 @@ class Vocabulary:
         scores = np.array([model.get_score(i) for i in range(len(pieces))], dtype=np.float64)
         return Vocabulary(tuple(pieces), scores, byte_ids, temperature)
 
+    @cached_property
+    def longest(self) -> int:
+        """Bytes of the longest piece that fits into a chunk."""
+        return max((len(p) for p in self.pieces if p is not None and len(p) <= LONGEST), default=0)
+
     @cached_property
     def index(self) -> list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray] | None]:
-        """By length 1 to LONGEST: a table of two places per hash, and by its entries hashes, ids and log weights."""
+        """By length, from 1 to the longest: a table of two places per hash, and by its entries hashes, ids and log weights."""
         out = []
-        for n in range(1, LONGEST + 1):
+        for n in range(1, self.longest + 1):
             ids = np.array([i for i, p in enumerate(self.pieces) if p is not None and len(p) == n], dtype=np.int32)
             if not len(ids):
                 out.append(None)
@@ -137,11 +144,11 @@ def _chunks(data: np.ndarray, row_bytes: np.ndarray) -> tuple[np.ndarray, np.nda
     inner = row_bytes[:-1][row_bytes[:-1] < row_bytes[1:]]
     cut[inner] = True
     starts = np.flatnonzero(cut)
-    # a longer chunk is cut again at every 512th byte, so that no table depends on how a text is spaced
+    # a longer chunk is cut again at every LONGEST-th byte, so that no table depends on how a text is spaced
     ends = np.append(starts[1:], len(data))
-    long = np.flatnonzero(ends - starts > 512)
+    long = np.flatnonzero(ends - starts > LONGEST)
     if len(long):
-        more = np.concatenate([np.arange(starts[i] + 512, ends[i], 512) for i in long])
+        more = np.concatenate([np.arange(starts[i] + LONGEST, ends[i], LONGEST) for i in long])
         while True:  # not inside a character
             inside = (data[more] & 0xC0) == 0x80
             if not inside.any():
@@ -158,18 +165,38 @@ def _distinct(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[n
     return first, kind
 
 
-def _lattice(vocabulary: Vocabulary, data: np.ndarray, at: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For each byte end of the distinct chunks: cumulative shares and ids of the pieces that end there, by length.
+@dataclass
+class Long:
+    """Pieces of more than DENSE bytes in a lattice, by the byte end they end at and by size; share: cumulative, after the dense ones."""
+
+    end: np.ndarray
+    size: np.ndarray
+    ids: np.ndarray
+    share: np.ndarray
+
+    def draw(self, end: np.ndarray, u: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(size, id) of the piece that u falls on at each of some byte ends that have long pieces."""
+        k, stop = np.searchsorted(self.end, end, side="left"), np.searchsorted(self.end, end, side="right")
+        while True:
+            on = (k + 1 < stop) & (self.share[k] <= u)
+            if not on.any():
+                return self.size[k], self.ids[k]
+            k[on] += 1
+
+
+def _lattice(vocabulary: Vocabulary, data: np.ndarray, at: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray, Long]:
+    """For each byte end of the distinct chunks: cumulative shares and ids of the pieces that end there, by length; those of long pieces.
 
     data: the chunks one after the other; at: their bounds; last: each byte's place in its chunk, from 0.
     """
     n = len(data)
-    weight = np.full((n, LONGEST), -np.inf, dtype=np.float32)
-    ids = np.zeros((n, LONGEST), dtype=np.int32)
+    weight = np.full((n, DENSE), -np.inf, dtype=np.float32)
+    ids = np.zeros((n, DENSE), dtype=np.int32)
+    listed = [(np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int32), np.zeros(0))]
     wide = data.astype(U64) + U64(1)
     h = np.zeros(n, dtype=U64)  # after each round: hashes of the so many bytes from here
     end = np.arange(n)
-    for size in range(1, LONGEST + 1):
+    for size in range(1, vocabulary.longest + 1):
         if size > 1:
             end = end[last[end] >= size - 1]
         if not len(end):
@@ -190,28 +217,51 @@ def _lattice(vocabulary: Vocabulary, data: np.ndarray, at: np.ndarray, last: np.
         again = hashes[other] == here[miss]
         found[miss[again]] = other[again]
         hit[miss[again]] = True
+        if size > DENSE:
+            listed.append((end[hit], np.full(int(hit.sum()), size), which[found[hit]], logs[found[hit]]))
+            continue
         weight[end[hit], size - 1] = logs[found[hit]]
         ids[end[hit], size - 1] = which[found[hit]]
     none = weight[:, 0] == -np.inf
     weight[none, 0] = vocabulary.byte_weight
     ids[none, 0] = vocabulary.byte_ids[data[none]]
+    long_end, long_size, long_ids, long_logs = (np.concatenate(x) for x in zip(*listed, strict=True))
+    by = np.lexsort((long_size, long_end))
+    long = Long(long_end[by], long_size[by], long_ids[by], np.zeros(len(by), dtype=np.float32))
+    long_logs = long_logs[by].astype(np.float32)
+    long_order = np.argsort(last[long.end], kind="stable")
     # forward filtering, one byte of all chunks at a time; total has a 0 in front of each chunk's first byte
     chunks = len(at) - 1
     shifted = np.arange(n) + np.repeat(np.arange(chunks), np.diff(at)) + 1
     total = np.zeros(n + chunks, dtype=np.float32)
-    shares = np.full((n, LONGEST), 2.0, dtype=np.float32)
+    shares = np.full((n, DENSE), 2.0, dtype=np.float32)
     order = np.argsort(last, kind="stable")
     bounds = np.searchsorted(last[order], np.arange(int(last.max(initial=-1)) + 2))
+    long_bounds = np.searchsorted(last[long.end[long_order]], np.arange(len(bounds)))
     for place in range(len(bounds) - 1):
         here = order[bounds[place] : bounds[place + 1]]
-        sizes = min(place + 1, LONGEST)
+        sizes = min(place + 1, DENSE)
         logs = weight[here, :sizes] + total[shifted[here][:, None] - np.arange(1, sizes + 1)]
         most = logs.max(axis=1)
+        more = long_order[long_bounds[place] : long_bounds[place + 1]]
+        if len(more):
+            ends = long.end[more]
+            rows = np.searchsorted(here, ends)
+            more_logs = long_logs[more] + total[shifted[ends] - long.size[more]]
+            np.maximum.at(most, rows, more_logs)
         share = np.exp(logs - most[:, None])
         sums = np.cumsum(share, axis=1)
-        total[shifted[here]] = most + np.log(sums[:, -1])
-        shares[here, :sizes] = sums / sums[:, -1:]
-    return shares, ids
+        whole = sums[:, -1]
+        if len(more):
+            more_share = np.exp(more_logs - most[rows])
+            before = np.concatenate([[0], np.cumsum(more_share, dtype=np.float64)])
+            upto = whole[rows] + before[1:] - before[np.searchsorted(rows, rows)]
+            whole = whole.copy()
+            np.add.at(whole, rows, more_share)
+            long.share[more] = upto / whole[rows]
+        total[shifted[here]] = most + np.log(whole)
+        shares[here, :sizes] = sums / whole[:, None]
+    return shares, ids, long
 
 
 def encode_rows(vocabulary: Vocabulary, data: np.ndarray, row_bytes: np.ndarray, keys: np.ndarray, seed: int = SEED) -> tuple[np.ndarray, np.ndarray]:
@@ -224,7 +274,7 @@ def encode_rows(vocabulary: Vocabulary, data: np.ndarray, row_bytes: np.ndarray,
     length = (ends - starts)[first]
     at = np.concatenate([[0], np.cumsum(length)])
     last = np.arange(at[-1]) - np.repeat(at[:-1], length)
-    shares, ids = _lattice(vocabulary, data[np.repeat(starts[first], length) + last], at, last)
+    shares, ids, long = _lattice(vocabulary, data[np.repeat(starts[first], length) + last], at, last)
     row = np.searchsorted(row_bytes, starts, side="right") - 1
     random = kernel.mix(keys[row] ^ kernel.mix((starts - row_bytes[row]).astype(U64), seed))
     end = at[1:][kind] - 1  # last byte not yet covered, among the distinct chunks
@@ -234,10 +284,15 @@ def encode_rows(vocabulary: Vocabulary, data: np.ndarray, row_bytes: np.ndarray,
     while len(live):
         random[live] = kernel.mix(random[live], 1)
         u = ((random[live] >> U64(40)).astype(np.float32) + np.float32(0.5)) / np.float32(1 << 24)
-        size = np.minimum((shares[end[live]] <= u[:, None]).sum(axis=1), LONGEST - 1)
-        # rounding may point past the last piece; go back to one that is there
-        size = np.minimum(size, end[live] - begin[live])
-        got.append(ids[end[live], size])
+        u = np.minimum(u, np.nextafter(np.float32(1), np.float32(0)))  # it may be rounded to 1, past the last piece
+        size = (shares[end[live]] <= u[:, None]).sum(axis=1)
+        past = np.flatnonzero(size == DENSE)
+        size[past] = 0
+        piece = ids[end[live], size]
+        if len(past):
+            drawn, piece[past] = long.draw(end[live[past]], u[past])
+            size[past] = drawn - 1
+        got.append(piece)
         who.append(live)
         end[live] -= size + 1
         where.append(end[live] - begin[live])

@@ -329,6 +329,32 @@ def test_piece_shares_follow_the_lattice():
         assert abs(seen[path] / n - p) < 5 * np.sqrt(p * (1 - p) / n) + 0.01
 
 
+def test_pieces_of_every_length_are_sampled():
+    """Shares of all segmentations of a chunk, pieces of more than DENSE bytes and the longest included, are those of the lattice."""
+    whole = pieces.Vocabulary.read()
+    long = [p for p in whole.pieces if p is not None and len(p) > 12]
+    assert len(long) > 300 and whole.longest == max(map(len, long))
+    for seed, chunk in enumerate((b" internationalisation", max(long, key=len))):
+        parts = sorted({chunk[a:z] for a in range(len(chunk)) for z in (a + 1, a + 5, a + 13, a + 14, len(chunk)) if z <= len(chunk)})
+        vocabulary = pieces.Vocabulary(tuple(parts), np.array([8.0 * (len(p) > 12) + 0.1 * (i % 7) for i, p in enumerate(parts)]), np.arange(256, dtype=np.int32), 0.7)
+        into = [1.0] + [0.0] * len(chunk)
+        for z in range(1, len(chunk) + 1):
+            into[z] = sum(into[z - len(p)] * np.exp(0.7 * vocabulary.scores[i]) for i, p in enumerate(parts) if chunk[:z].endswith(p))
+        last = {p: into[len(chunk) - len(p)] * np.exp(0.7 * vocabulary.scores[i]) / into[-1] for i, p in enumerate(parts) if chunk.endswith(p)}
+        n = 20_000
+        data = np.frombuffer(chunk * n, dtype=np.uint8)
+        ids, rows = pieces.encode_rows(vocabulary, data, np.arange(n + 1) * len(chunk), np.arange(n, dtype=np.uint64), seed)
+        assert b"".join(parts[i] for i in ids) == chunk * n
+        found = Counter(parts[i] for i in ids[rows[1:] - 1])
+        assert sum(share for p, share in last.items() if len(p) > 12) > 0.1
+        for p, share in last.items():
+            assert found[p] / n == pytest.approx(share, abs=0.015)
+    for p in long[:40]:
+        alone = pieces.Vocabulary(whole.pieces, np.where([q == p for q in whole.pieces], 9e3, whole.scores), whole.byte_ids, whole.temperature)
+        ids, _ = pieces.encode_rows(alone, np.frombuffer(p, dtype=np.uint8), np.array([0, len(p)]), np.zeros(1, dtype=np.uint64))
+        assert [whole.pieces[i] for i in ids] == [p]
+
+
 def test_toxicity_learns_stems(spark):
     rng = np.random.default_rng(8)
     rows, labels = [], []
