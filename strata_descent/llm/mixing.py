@@ -5,8 +5,8 @@ through ``MAX_EPOCHS`` times, is cut into blocks of B words, and a source gives
 its first ``target`` words.  Slot i of the mix looks at the point frac(i * golden ratio): the source
 whose interval of cumulative target weight holds it gets the slot.  Its rank among its source's slots
 picks the block, through an affine shuffle of the source's blocks; slots past a source's last block
-are dropped, so every source gives exactly its target, rounded to words, and no document is taken
-more than MAX_EPOCHS times.
+are dropped, and blocks that the points have not served follow after the last slot, so every source
+gives exactly its target, rounded to words, and no document is taken more than MAX_EPOCHS times.
 
 Per-source work is split: documents into hash buckets, slots into chunks, with prefix sums over
 bucket and chunk totals, so a source with a third of all rows is no single task.  The source list
@@ -131,7 +131,7 @@ def schedule(spark, listed: list[Share]) -> DataFrame:
         return spark.createDataFrame([], "slot bigint, number int, rank bigint, block bigint")
     total = sum(s.n_blocks for s in live)
     edges = np.cumsum([s.n_blocks for s in live])[:-1] / total
-    # the sequence's discrepancy is of the order of log(n)/n, so a few slots more serve every source in full
+    # the sequence's discrepancy is of the order of log(n)/n, so a few slots more serve nearly all blocks; unserved() gives the rest
     slots = total + 8 * len(live) * (2 + total.bit_length())
     chunks = -(-slots // CHUNK)
     steps = [(_stride(s.n_blocks), s.n_blocks, s.number) for s in live]
@@ -171,7 +171,22 @@ def schedule(spark, listed: list[Share]) -> DataFrame:
     over = Window.partitionBy("live").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
     starts = counts.select("chunk", "live", F.coalesce(F.sum("n").over(over), F.lit(0)).alias("n"))
     starts = starts.groupBy("chunk").agg(F.collect_list(F.struct("live", "n")).alias("before"))  # an entry per source
-    return starts.mapInArrow(served, "slot bigint, number int, rank bigint, block bigint")
+    by_points = starts.mapInArrow(served, "slot bigint, number int, rank bigint, block bigint")
+    given = {r.live: r.n for r in counts.groupBy("live").agg(F.sum("n").alias("n")).collect()}  # a row per source
+    return by_points.unionByName(unserved(spark, live, [given.get(i, 0) for i in range(len(live))], slots))
+
+
+def unserved(spark, live: list[Share], given: list[int], slots: int) -> DataFrame:
+    """Slots, from the given one on, for the blocks of sources that have been given fewer slots than they have blocks."""
+    rows, slot = [], slots
+    for s, n in zip(live, given, strict=True):
+        if n < s.n_blocks:
+            rows.append((slot - n, s.number, n, s.n_blocks, _stride(s.n_blocks)))
+            slot += s.n_blocks - n
+    out = spark.createDataFrame(rows, "base bigint, number int, given bigint, n_blocks bigint, step bigint")
+    out = out.withColumn("rank", F.explode(F.expr("sequence(given, n_blocks - 1)")))
+    # products of large numbers need decimals
+    return out.select((F.col("base") + F.col("rank")).alias("slot"), "number", "rank", F.expr("cast(cast(rank as decimal(18, 0)) * cast(step as decimal(18, 0)) % n_blocks as bigint)").alias("block"))
 
 
 def mix_documents(docs: DataFrame, block: int = BLOCK_WORDS, seed: int = SEED) -> tuple[DataFrame, DataFrame, list[Share]]:

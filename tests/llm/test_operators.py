@@ -255,6 +255,16 @@ def test_schedule_serves_sources_evenly(spark):
     assert np.abs(at - np.arange(1, len(rows) + 1) / 4).max() < 6
 
 
+def test_schedule_serves_small_sources_in_full(spark):
+    """Every block of every source has one slot, also where the points miss a small source."""
+    for blocks in ([2, 185184, 3, 1, 2, 1, 192620, 73101, 5], [112127, 5, 5, 2, 5, 1, 24960], [1, 1, 1]):
+        listed = [mixing.Share(str(i), i, n, float(n), n) for i, n in enumerate(blocks)]
+        plan = mixing.schedule(spark, listed)
+        per = {r.number: (r.rows, r.blocks, r.least, r.most) for r in plan.groupBy("number").agg(F.count("*").alias("rows"), F.count_distinct("block").alias("blocks"), F.min("block").alias("least"), F.max("block").alias("most")).collect()}
+        assert per == {i: (n, n, 0, n - 1) for i, n in enumerate(blocks)}
+        assert plan.select("slot").distinct().count() == sum(blocks)
+
+
 def test_personal_data(docs, corpus):
     text = "write a.b@mail.example.com or 10.0.0.255 and 999.1.1.1, card 4111 1111 1111 1111 5500-0000-0000-0004, tel +1 (555) 010-9999 x@y z@@q.w 1.2.3.4.5"
     spans = personal_data.base_spans(text)
