@@ -172,6 +172,19 @@ def test_quality_verdicts(spark):
     assert none.where("kept = base_failed").count() == 0
 
 
+def test_quality_scores_words_and_pairs(spark):
+    """Words garbled between clean edges, and good words in another order, score lower than the text they come from."""
+    words = [f"abc{a}{b}xyz" for a in "defgh" for b in "klmno"]
+    good = " ".join(words * 4)
+    garbled = " ".join(w[:3] + "qj" + w[5:] for w in words * 4)
+    order = np.random.default_rng(5).permutation(len(words))
+    salad = " ".join([words[i] for i in order] * 4)
+    docs = make(spark, [(i, good, "a") for i in range(5)] + [(10, garbled, "a"), (11, salad, "a")] + [(20 + i, text_of(700 + i, 100), "a") for i in range(5)])
+    labels = spark.createDataFrame([(i, 1, 0) for i in range(5)], "doc_id bigint, quality int, toxic int")
+    score = {r.doc_id: r.score for r in quality_rules.judge_quality(docs, labels).collect()}
+    assert score[10] < score[0] - 0.01 and score[11] < score[0] - 0.01
+
+
 def test_fingerprints(docs, corpus):
     rows = {}
     for r in fingerprints.against_edits(docs).collect():
