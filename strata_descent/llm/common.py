@@ -6,12 +6,16 @@ import tempfile
 import uuid
 from pathlib import Path
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: A side of at most this many rows of a few numbers (tens of MB) may be broadcast.
 BROADCAST_ROWS = 1_000_000
 BATCH_ROWS = 1000
+#: A set of keys that tells which texts move is 2**MARK_BITS bits (16 MB) at every size.
+MARK_BITS = 27
 SPACE = r"[\x20\x09-\x0D]+"
 
 
@@ -19,10 +23,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_written: list[str] = []
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """A new folder below spark.checkpoint.dir; a local one only where none is set, as in tests."""
+    """A new folder below spark.checkpoint.dir; only a session on one machine may do without, as in tests."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         root = Path(tempfile.mkdtemp(prefix="shared-")).as_uri()
         spark.sparkContext.setCheckpointDir(root)
     return f"{root.rstrip('/')}/{uuid.uuid4().hex}"
@@ -33,9 +42,19 @@ def saved(df: DataFrame) -> DataFrame:
     spark = df.sparkSession
     path = shared_dir(spark)
     df.write.parquet(path)
+    _written.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def clear(spark: SparkSession, *keep: DataFrame) -> None:
+    """Delete the tables that saved() has written, but for those that keep reads; for callers that are done with their results."""
+    left = {f.rsplit("/", 1)[0].rsplit("/", 1)[-1] for df in keep for f in df.inputFiles()}
+    for path in [p for p in _written if p.rsplit("/", 1)[-1] not in left]:
+        where = spark._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+        _written.remove(path)
+
+
 def small_batches(spark: SparkSession) -> None:
     """Arrow batches of at most BATCH_ROWS texts, so that a batch of long ones fits into a task; a setting of the running session."""
     name = "spark.sql.execution.arrow.maxRecordsPerBatch"
@@ -62,3 +81,34 @@ def checked(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
 def words_column(text: str = "text") -> str:
     """SQL for the array of words of a text."""
     return rf"filter(split({text}, '[\\x20\\x09-\\x0D]+'), w -> w != '')"
+
+
+def row_key() -> Column:
+    """A hash that stands for a row in joins: rows without an id have one too, and rows of one id and text share it."""
+    return F.xxhash64(F.col("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")))
+
+
+def marks(keys: DataFrame, key: str = "rid"):
+    """A broadcast bitmap of the hashes in keys; its size is fixed, whatever their number, and so is what the driver gets."""
+    place = F.shiftrightunsigned(key, 64 - MARK_BITS)
+    words = keys.select(place.alias("place")).groupBy(F.shiftright("place", 6).cast("int").alias("at")).agg(F.expr("bit_or(shiftleft(1L, cast(place & 63 as int)))").alias("bits"))
+    got = words.toArrow()
+    out = np.zeros(1 << (MARK_BITS - 6), dtype=np.uint64)
+    out[got["at"].to_numpy()] = got["bits"].to_numpy().view(np.uint64)
+    return keys.sparkSession.sparkContext.broadcast(out)
+
+
+def is_marked(bits: np.ndarray, key: np.ndarray) -> np.ndarray:
+    """True for every hash that is in the bitmap, and for few others while it is sparse."""
+    place = key.view(np.uint64) >> np.uint64(64 - MARK_BITS)
+    return (bits[place >> np.uint64(6)] >> (place & np.uint64(63)) & np.uint64(1)).astype(bool)
+
+
+def marked(bits, key: str = "rid") -> Column:
+    """is_marked of a column: a filter before an exact join, which keeps most other texts from moving."""
+
+    @F.pandas_udf("boolean")
+    def there(keys: pd.Series) -> pd.Series:
+        return pd.Series(is_marked(bits.value, keys.to_numpy()))
+
+    return there(F.col(key))

@@ -13,8 +13,14 @@ shingles.  A pair of blocks is a tile if the two share a posting.  A tile multip
 drops pairs below the bound, and reports each class's links and a spanning forest.  Every pair is in
 one tile, so links are counted once.  Copies are never expanded, and no tile is larger than two blocks.
 
+A shingle that very many classes post is dealt over several tasks by class; which ones are, a sample of
+the rows tells, and that changes no result.
+
 Shingles are 64-bit hashes of lower-cased words.  Null and empty texts have no shingles and link with
-nothing.  Rows that repeat a document are copies of it.  An empty table gives an empty result.
+nothing.  Rows are told apart by a hash of id and text: rows that repeat a document are copies of it, and
+so are rows without an id, which link like others; component_id is the least id that a component has, null
+if none of its rows has one.  Columns other than doc_id and text are not looked at.  An empty table gives
+an empty result.
 """
 
 from __future__ import annotations
@@ -25,7 +31,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import checked, documents, saved, table
+from .common import at_most, checked, documents, marked, marks, row_key, saved, table
 from .components import components
 
 N = 5
@@ -35,6 +41,8 @@ BLOCK_ROWS = 256
 BLOCK_SHINGLES = 1 << 17
 #: Classes whose postings a task has just sent are not sent again while they are among so many.
 REMEMBERED = 100_000
+#: A shingle that has more than one in HOT_SHARE of a sample's postings, and more than HOT_LEAST of them, is dealt over SALTS tasks.
+SAMPLE, HOT_SHARE, HOT_LEAST, SALTS = 1 / 64, 100_000, 64, 64
 U64 = np.uint64
 
 
@@ -64,17 +72,17 @@ def _class_keys(rows: int, row: np.ndarray, shingle: np.ndarray) -> tuple[np.nda
 
 
 def heads(docs: DataFrame) -> DataFrame:
-    """doc_id, n, key for every row of docs."""
+    """doc_id, rid, n, key for every row of docs."""
 
     def found(batches):
         for batch in batches:
             parts = [_class_keys(w.rows, *shingle_sets(w)) for _, _, w in kernel.steps(batch)]
             n = np.concatenate([p[0] for p in parts]) if parts else np.zeros(0, dtype=np.int64)
             key = np.concatenate([p[1] for p in parts]) if parts else np.zeros(0, dtype=U64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n.astype(np.int64)), pa.array(key.view(np.int64))], ["doc_id", "n", "key"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(n.astype(np.int64)), pa.array(key.view(np.int64))], ["doc_id", "rid", "n", "key"])
 
-    kept = documents(docs)
-    return kept.mapInArrow(found, f"doc_id {kept.schema['doc_id'].dataType.simpleString()}, n bigint, key bigint")
+    kept = documents(docs).select("doc_id", row_key().alias("rid"), "text")
+    return kept.mapInArrow(found, f"doc_id {kept.schema['doc_id'].dataType.simpleString()}, rid bigint, n bigint, key bigint")
 
 
 def spare(n: np.ndarray | F.Column):
@@ -106,34 +114,50 @@ def postings(docs: DataFrame) -> DataFrame:
     return documents(docs).mapInArrow(found, "shingle bigint, key bigint")
 
 
+def hot_shingles(docs: DataFrame) -> DataFrame:
+    """(shingle, hot): at most HOT_SHARE shingles that far more postings have than others, by a sample of the rows."""
+    counts = saved(postings(docs.sample(SAMPLE, seed=7)).groupBy("shingle").count())
+    total = counts.agg(F.sum("count")).first()[0] or 0
+    return counts.where(F.col("count") > max(HOT_LEAST, total // HOT_SHARE)).select("shingle", F.lit(True).alias("hot"))
+
+
 def candidates(docs: DataFrame, classes: DataFrame) -> DataFrame:
-    """(shingle, key) of the postings that are left: those that classes share, less what each may leave out."""
-    of_shingle = Window.partitionBy("shingle")
-    posted = postings(docs).withColumns({"df": F.count("*").over(of_shingle), "least": F.min("key").over(of_shingle), "most": F.max("key").over(of_shingle)})
-    shared = saved(posted.where("least != most").select("shingle", "key", "df"))
-    shared = shared.groupBy("shingle", "key").agg(F.max("df").alias("df")).join(classes.select("key", "n"), "key")
+    """(shingle, key, salt, pivot) of the postings that are left: those that classes share, less what each may leave out.
+
+    salt: null but for the parts of a hot shingle; pivot: the least class of the shingle, or of the part.
+    The order by which postings are left out is the same for all: hot shingles first, then by frequency.
+    """
+    salt = F.when(F.col("hot"), F.pmod("key", F.lit(SALTS))).alias("salt")
+    posted = postings(docs).join(F.broadcast(saved(hot_shingles(docs))), "shingle", "left").select("shingle", "key", salt)
+    of_shingle = Window.partitionBy("shingle", "salt")
+    posted = posted.withColumns({"df": F.count("*").over(of_shingle), "least": F.min("key").over(of_shingle), "most": F.max("key").over(of_shingle)})
+    shared = saved(posted.where("salt is not null or least != most").select("shingle", "key", "salt", F.when(F.col("salt").isNull(), F.col("df")).otherwise(1 << 62).alias("df")))
+    shared = shared.groupBy("shingle", "key", "salt").agg(F.max("df").alias("df")).join(classes.select("key", "n"), "key")
     by_frequency = Window.partitionBy("key").orderBy(F.desc("df"), "shingle")
-    left = shared.withColumn("place", F.row_number().over(by_frequency)).where(F.col("place") > spare(F.col("n"))).select("shingle", "key")
-    of_left = Window.partitionBy("shingle")
-    left = left.withColumns({"m": F.count("*").over(of_left), "pivot": F.min("key").over(of_left)})
-    return saved(left.where("m > 1").select("shingle", "key", "pivot"))
+    left = shared.withColumn("place", F.row_number().over(by_frequency)).where(F.col("place") > spare(F.col("n"))).select("shingle", "key", "salt")
+    left = left.withColumns({"m": F.count("*").over(of_shingle), "pivot": F.min("key").over(of_shingle)})
+    return saved(left.where("salt is not null or m > 1").select("shingle", "key", "salt", "pivot"))
 
 
 def blocks(left: DataFrame, classes: DataFrame) -> DataFrame:
     """(key, n, copies, block, band): band is a class's size step within a split label, else -1.
 
-    A label is a component of the graph that ties each class to the pivots of its postings.
+    A label is a component of the graph that ties each class to the pivots of its postings, and the
+    pivots of a hot shingle's parts to each other.
     """
-    roots = components(left.select(F.col("key").alias("a"), F.col("pivot").alias("b")))
+    parts = left.where("salt is not null").select("shingle", "pivot").distinct()
+    ties = parts.select(F.col("pivot").alias("a"), F.min("pivot").over(Window.partitionBy("shingle")).alias("b"))  # SALTS rows of a shingle
+    roots = components(left.select(F.col("key").alias("a"), F.col("pivot").alias("b")).unionByName(ties))
     label = roots.select(F.col("node").alias("key"), F.col("root").alias("label"))
-    sized = label.join(classes, "key").withColumn("step", F.floor(F.log("n") / F.log(F.lit(100 / PERCENT))))
+    sized = saved(label.join(classes, "key").withColumn("step", F.floor(F.log("n") / F.log(F.lit(100 / PERCENT)))))
     need = lambda rows, shingles: F.ceil(F.greatest(rows / F.lit(BLOCK_ROWS), shingles / F.lit(BLOCK_SHINGLES)))
-    whole = sized.groupBy("label").agg(need(F.count("*"), F.sum("n")).alias("parts"))
-    banded = sized.groupBy("label", "step").agg(need(F.count("*"), F.sum("n")).alias("band_parts"))
+    banded = sized.groupBy("label", "step").agg(F.count("*").alias("rows"), F.sum("n").alias("shingles"))
+    whole = banded.groupBy("label").agg(need(F.sum("rows"), F.sum("shingles")).alias("parts")).where("parts > 1").select("label")
+    banded = saved(banded.join(whole, "label").select("label", "step", need(F.col("rows"), F.col("shingles")).alias("band_parts")))
     total = sized.agg(need(F.count("*"), F.sum("n"))).first()[0] or 1
     # a label that fits into a block shares one with others; a larger one is split by size and then by hash
-    sized = sized.join(whole, "label").join(banded, ["label", "step"])
-    alone = F.col("parts") > 1
+    sized = sized.join(checked(banded), ["label", "step"], "left")
+    alone = F.col("band_parts").isNotNull()
     block = F.when(alone, F.xxhash64("label", "step", F.pmod(F.xxhash64("key"), "band_parts"))).otherwise(F.pmod(F.xxhash64("label"), F.lit(total)))
     return sized.select("key", "n", "copies", block.alias("block"), F.when(alone, F.col("step")).otherwise(-1).alias("band"))
 
@@ -225,8 +249,8 @@ def _tile(rows: pa.Table) -> pa.Table:
     return pa.table({"key": pa.array(names[has]), "root": pa.array(names[root[has]]), "links": pa.array(links[has].astype(np.int64))})
 
 
-def class_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
-    """(key, root, links), a row for each tile in which a class has links."""
+def class_links(docs: DataFrame, classes: DataFrame, repeated: bool = True) -> DataFrame:
+    """(key, root, links), a row for each tile in which a class has links; repeated: whether rows may repeat id and text."""
     left = candidates(docs, classes)
     placed = saved(blocks(left, classes))
     pairs = saved(tiles(left, placed))
@@ -235,41 +259,63 @@ def class_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
 
     def sets(batches):
         for batch in batches:
-            for _, _, w in kernel.steps(batch):
+            for a, z, w in kernel.steps(batch):
                 row, shingle = shingle_sets(w)
                 n, key = _class_keys(w.rows, row, shingle)
                 at = np.concatenate([[0], np.cumsum(n)]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.ListArray.from_arrays(pa.array(at), pa.array(shingle.view(np.int64)))], ["key", "shingles"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, z - a), pa.array(key.view(np.int64)), pa.ListArray.from_arrays(pa.array(at), pa.array(shingle.view(np.int64)))], ["rid", "key", "shingles"])
 
-    wanted = placed.join(classes.select("key", "doc_id"), "key").select("doc_id").distinct()
-    rows = documents(docs).join(checked(wanted), "doc_id", "left_semi").mapInArrow(sets, "key bigint, shingles array<bigint>")
-    into = saved(placed.select("key", "n", "copies", "block").join(sides, "block").drop("block"))
-    rows = rows.join(checked(into), "key")
+    into = saved(placed.join(classes.select("key", "rid"), "key").select("key", "rid", "n", "copies", "block").join(sides, "block").drop("block"))
+    # only the row that stands for its class sends the set; what the bitmap lets through beyond that, the join drops
+    rows = documents(docs).select(row_key().alias("rid"), "text").where(marked(marks(into))).mapInArrow(sets, "rid bigint, key bigint, shingles array<bigint>")
+    rows = (rows.dropDuplicates(["rid", "key"]) if repeated else rows).join(checked(into), ["rid", "key"])
     return rows.select("tile", "side", "key", "n", "copies", "shingles").groupBy("tile").applyInArrow(_tile, "key bigint, root bigint, links bigint")
 
 
-def join_documents(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, component_id, n_links (other rows that the row links with) for every row of docs."""
+def classes_of(head: DataFrame) -> DataFrame:
+    """(key, n, copies, doc_id, rid): the classes of equal sets, with the row of least id that stands for each."""
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "rid"))
+    found = head.where("n > 0").groupBy("key").agg(F.max("n").alias("n"), F.count("*").alias("copies"), first.alias("first"))
+    return found.select("key", "n", "copies", "first.doc_id", "first.rid")
+
+
+def components_of(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(heads, classes): a head for every row; for each class its component's least doc_id and the rid of that row, and n_links."""
     head = saved(heads(docs))
-    classes = saved(head.where("n > 0").groupBy("key").agg(F.max("n").alias("n"), F.count("*").alias("copies"), F.min("doc_id").alias("doc_id")))
-    found = saved(class_links(docs, classes))
+    classes = saved(classes_of(head))
+    repeated = not at_most(head.where("n > 0").groupBy("rid").count().where("count > 1"), 0)
+    found = saved(class_links(docs, classes, repeated))
     links = found.groupBy("key").agg(F.sum("links").alias("links"))
     roots = components(found.select(F.col("key").alias("a"), F.col("root").alias("b")))
     member = classes.join(roots.withColumnRenamed("node", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
-    least = member.groupBy("root").agg(F.min("doc_id").alias("component_id"))
+    least = member.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "rid")).alias("first"))
     of_class = member.join(least, "root").join(links, "key", "left")
-    of_class = of_class.select("key", "component_id", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
+    return head, of_class.select("key", F.col("first.doc_id").alias("component_id"), F.col("first.rid").alias("first_rid"), (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
+
+
+def join_documents(docs: DataFrame) -> DataFrame:
+    """doc_id, n_shingles, component_id, n_links (other rows that the row links with) for every row of docs."""
+    head, of_class = components_of(docs)
     out = head.join(of_class, (head.key == of_class.key) & (head.n > 0), "left")
-    return out.select(head.doc_id, head.n.alias("n_shingles"), F.coalesce("component_id", head.doc_id).alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("bigint").alias("n_links"))
+    component = F.when(of_class.key.isNull(), head.doc_id).otherwise(F.col("component_id"))
+    return out.select(head.doc_id, head.n.alias("n_shingles"), component.alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("bigint").alias("n_links"))
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """docs without those that belong to another document's component; of rows that repeat an id one stays."""
-    joined = join_documents(docs)
-    ids = saved(joined.where("doc_id = component_id").select("doc_id").distinct())
-    kept = docs.join(checked(ids), "doc_id", "left_semi")
-    repeated = docs.groupBy("doc_id").count().where("count > 1").limit(1).count()
-    return kept.dropDuplicates(["doc_id"]) if repeated else kept
+    """One row of each component, the one of least id (rows without one come last), and all rows without words.
+
+    A bitmap of the rows that have to be looked up keeps the texts of the others from moving.
+    """
+    head, of_class = components_of(docs)
+    name, first = "row key", "row first"  # no operator's and hardly a table's column names
+    rows = head.where("n > 0").join(of_class, "key").groupBy(F.col("rid").alias(name)).agg(F.count("*").alias("times"), F.max(F.col("rid") == F.col("first_rid")).alias(first))
+    looked = saved(rows.where(f"times > 1 or not `{first}`").select(name, first))
+    named, there = docs.withColumn(name, row_key()), marked(marks(looked, name), name)
+    found = named.where(there).join(looked, name, "left")
+    out = named.where(~there).unionByName(found.where(F.col(first).isNull()).drop(first))
+    if not at_most(looked.where(f"`{first}`"), 0):  # rows that repeat id and text
+        out = out.unionByName(found.where(F.col(first)).drop(first).dropDuplicates([name]))
+    return out.drop(name)
 
 
 def op1_ngram_join(spark, sf_dir: str) -> DataFrame:

@@ -8,12 +8,17 @@ surroundings are merged, and a suffix tree is built over the suffixes of the res
 doubling on word numbers (of 64-bit word hashes), with longest common prefixes of neighbours.  Leaves below an internal
 node of depth WINDOW or more are windows that start elsewhere too.
 
-Partitions have a bounded size.  An anchor of more than ``GROUP_ROWS`` occurrences is split by longer
-prefixes: each of its windows is then a suffix of its own, partitioned by all its WINDOW words, where
-one tree node is left and counting its leaves replaces the tree.  So no group is collected whole.
-
-Windows are judged on the input.  Null texts have no words; texts of fewer than WINDOW words lose
-none.  Rows that repeat a document repeat its windows.  An empty table gives an empty result.
+Prefixes are of variable length, so partitions have a bounded size: the occurrences of an anchor that
+stands more than ``GROUP_ROWS`` times become one suffix for each of their windows, partitioned by the
+first ``LONGER[0]`` words of the window, those groups that are still too large by more words, and so on;
+where a prefix is a whole window its suffix tree is one node, and counting its leaves replaces the tree.
+So no group is collected whole.
+
+Rows are told apart by a hash of id and text, so that those without an id count like others and equal
+rows share their result; a bitmap of fixed size keeps most texts without repeats from moving.  Windows
+are judged on the input.  Null texts have no words; texts of fewer than WINDOW words lose none.  Rows
+that repeat a document, with its id or without any, repeat its windows.  Columns other than doc_id and
+text are not looked at.  An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -26,11 +31,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import at_most, documents, saved, table
+from .common import at_most, documents, marked, marks, row_key, saved, table
 
 WINDOW = 35
 PREFIX = 6
 GROUP_ROWS = 100_000
+#: Words of the prefixes of the windows of an anchor that is too frequent, one after the other.
+LONGER = (12, 20, 28)
 #: Surroundings of one tree: a task's memory is bounded by this many, and by words.
 TREE_ROWS = 10_000
 TREE_WORDS = 1 << 19
@@ -80,8 +87,13 @@ def anchor_places(w: kernel.Words, hashes: np.ndarray) -> tuple[np.ndarray, np.n
     return first[order[begin]], least[begin], start[begin], start[end]
 
 
-def anchors(docs: DataFrame) -> DataFrame:
-    """(anchor, doc_id, m): the distinct anchors of every text, with their occurrences in it."""
+def keyed(docs: DataFrame) -> DataFrame:
+    """doc_id, text, rid (hash of both) for every row of docs."""
+    return documents(docs).withColumn("rid", row_key())
+
+
+def anchors(rows: DataFrame) -> DataFrame:
+    """(anchor, rid, m): the distinct anchors of every text of rows (rid, text), with their occurrences in it."""
 
     def found(batches):
         for batch in batches:
@@ -92,16 +104,15 @@ def anchors(docs: DataFrame) -> DataFrame:
                 row, anchor = row[order], anchor[order]
                 first = np.flatnonzero(np.concatenate([[True], (row[1:] != row[:-1]) | (anchor[1:] != anchor[:-1])])) if len(row) else np.zeros(0, dtype=np.int64)
                 m = np.diff(np.append(first, len(row)))
-                yield pa.RecordBatch.from_arrays([pa.array(anchor[first].view(np.int64)), batch.column(0).slice(a, z - a).take(pa.array(row[first])), pa.array(m.astype(np.int32))], ["anchor", "doc_id", "m"])
+                yield pa.RecordBatch.from_arrays([pa.array(anchor[first].view(np.int64)), batch.column(0).slice(a, z - a).take(pa.array(row[first])), pa.array(m.astype(np.int32))], ["anchor", "rid", "m"])
 
-    kept = documents(docs)
-    return kept.mapInArrow(found, f"anchor bigint, doc_id {kept.schema['doc_id'].dataType.simpleString()}, m int")
+    return rows.select("rid", "text").mapInArrow(found, "anchor bigint, rid bigint, m int")
 
 
-def surroundings(docs: DataFrame, chosen: DataFrame) -> DataFrame:
-    """(anchor, hot, doc_id, row, firsts, windows, words) of the chosen anchors.
+def surroundings(rows: DataFrame, chosen: DataFrame) -> DataFrame:
+    """(anchor, hot, rid, row, firsts, windows, words) of the chosen anchors.
 
-    chosen: doc_id and picks, an array of (anchor, hot).  words: those of all windows of the anchor,
+    chosen: rid and picks, an array of (anchor, hot).  words: those of all windows of the anchor,
     joined by spaces; firsts: where in the text they start, as a text that repeats them sends them once.
     A hot anchor has a row for each window.
     """
@@ -133,15 +144,11 @@ def surroundings(docs: DataFrame, chosen: DataFrame) -> DataFrame:
                         for column, value in zip(out, (name, hot[name], a + i, int(key[i]), firsts, n, text), strict=True):
                             column.append(value)
                 ids = batch.column(0).take(pa.array(out[2], pa.int64()))
-                yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.bool_()), ids, pa.array(out[3], pa.int64()), pa.array(out[4], pa.list_(pa.int32())), pa.array(out[5], pa.int32()), pa.array(out[6], pa.binary()).cast(pa.string())], ["anchor", "hot", "doc_id", "row", "firsts", "windows", "words"])
+                yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.bool_()), ids, pa.array(out[3], pa.int64()), pa.array(out[4], pa.list_(pa.int32())), pa.array(out[5], pa.int32()), pa.array(out[6], pa.binary()).cast(pa.string())], ["anchor", "hot", "rid", "row", "firsts", "windows", "words"])
 
-    kept = documents(docs)
-    ids = chosen.select("doc_id")
-    if at_most(ids):  # few enough to keep the other texts from moving
-        kept = kept.join(F.broadcast(ids), "doc_id", "left_semi")
-    joined = kept.join(chosen, "doc_id").select("doc_id", "text", "picks")
-    key = kept.schema["doc_id"].dataType.simpleString()
-    return joined.mapInArrow(found, f"anchor bigint, hot boolean, doc_id {key}, row bigint, firsts array<int>, windows int, words string")
+    some = rows.select("rid", "text").where(marked(marks(chosen)))
+    joined = some.join(chosen, "rid").select("rid", "text", "picks")
+    return joined.mapInArrow(found, "anchor bigint, hot boolean, rid bigint, row bigint, firsts array<int>, windows int, words string")
 
 
 def suffix_tree(names: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -175,10 +182,11 @@ def suffix_tree(names: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.nda
     return order, common
 
 
-def repeated_windows(groups: np.ndarray, words: pa.Array, windows: np.ndarray, weight: np.ndarray) -> np.ndarray:
-    """For the windows of the surroundings one after the other: whether a second occurrence is in the tree of its group.
+def repeated_windows(words: pa.Array, windows: np.ndarray, weight: np.ndarray) -> np.ndarray:
+    """For the windows of the surroundings one after the other: whether a second occurrence is in the tree.
 
-    weight: occurrences that have the very same surroundings.
+    weight: occurrences that have the very same surroundings.  Groups may stand together: a deep node
+    holds equal windows, which are of one group.
     """
     w = kernel.split(*kernel._bytes_of(words))
     h = w.hashes()
@@ -187,7 +195,6 @@ def repeated_windows(groups: np.ndarray, words: pa.Array, windows: np.ndarray, w
     place = np.arange(len(h)) - w.row_words[:-1][owner]
     last = w.row_words[1:][owner]
     order, common = suffix_tree(names, last)
-    # suffixes of another group do not count: anchors partition the tree, deep nodes never span two
     starts = place < windows[owner]
     deep = common >= WINDOW
     node = np.cumsum(~deep)  # leaves below one deep node stand together
@@ -210,7 +217,7 @@ def _tree_rows(batch: pa.Table):
     back = back.ravel()
     starts = batch["firsts"].combine_chunks().to_pylist()
     weight = np.bincount(back, weights=[len(x) for x in starts], minlength=len(kind))
-    flags = repeated_windows(anchor[kind], words.take(pa.array(kind)), windows[kind], weight)
+    flags = repeated_windows(words.take(pa.array(kind)), windows[kind], weight)
     bound = np.concatenate([[0], np.cumsum(windows[kind])])
     change = np.flatnonzero(np.diff(np.concatenate([[0], flags.astype(np.int8), [0]])))
     runs: list[tuple[int, int, int]] = []
@@ -234,8 +241,8 @@ def _tree_rows(batch: pa.Table):
 
 
 def repeats_of_partitions(around: DataFrame) -> DataFrame:
-    """(doc_id, row, first, windows): runs of repeated windows, from the trees of the partitions."""
-    names = ["doc_id", "row", "first", "windows"]
+    """(rid, row, first, windows): runs of repeated windows, from the trees of the partitions of around, by anchor."""
+    names = ["rid", "row", "first", "windows"]
 
     def found(batches):
         held: list[pa.RecordBatch] = []
@@ -243,7 +250,7 @@ def repeats_of_partitions(around: DataFrame) -> DataFrame:
         def emit(rows: pa.Table):
             at, first, n = _tree_rows(rows)
             part = rows.take(pa.array(at))
-            return pa.Table.from_arrays([part["doc_id"], part["row"], pa.array(first.astype(np.int32)), pa.array(n.astype(np.int32))], names).combine_chunks().to_batches()
+            return pa.Table.from_arrays([part["rid"], part["row"], pa.array(first.astype(np.int32)), pa.array(n.astype(np.int32))], names).combine_chunks().to_batches()
 
         for batch in batches:
             for piece in (batch.slice(i, TREE_ROWS) for i in range(0, batch.num_rows, TREE_ROWS)):
@@ -262,32 +269,49 @@ def repeats_of_partitions(around: DataFrame) -> DataFrame:
             if len(rows):
                 yield from emit(rows)
 
-    ordered = around.where("not hot").repartition(F.col("anchor")).sortWithinPartitions("anchor")
-    return ordered.mapInArrow(found, f"doc_id {around.schema['doc_id'].dataType.simpleString()}, row bigint, first int, windows int")
-
+    ordered = around.select("anchor", "rid", "row", "firsts", "windows", "words").repartition(F.col("anchor")).sortWithinPartitions("anchor")
+    return ordered.mapInArrow(found, "rid bigint, row bigint, first int, windows int")
 
-def repeats_of_split_groups(around: DataFrame) -> DataFrame:
-    """(doc_id, row, first, windows) of the windows of hot anchors whose WINDOW words start elsewhere too."""
-    hot = around.where("hot").select("doc_id", "row", "firsts", "windows", F.sha2("words", 256).alias("node"))
-    leaves = hot.groupBy("node").agg(F.sum(F.size("firsts")).alias("n")).where("n > 1").select("node")
-    return hot.join(leaves, "node").select("doc_id", "row", F.explode("firsts").alias("first"), "windows")
 
+def repeats_of_split_groups(left: DataFrame, group_rows: int) -> DataFrame:
+    """(rid, row, first, windows) of the windows of left, rows of one window each, that start elsewhere too.
 
-def repeated_ranges(docs: DataFrame, group_rows: int = GROUP_ROWS) -> DataFrame:
-    """(doc_id, row, ranges): for each text with repeated windows, (first word, word after the last) of the runs of them."""
-    every = saved(anchors(docs))
+    Windows are partitioned by ever longer prefixes; a prefix that stands once is no repeat's.
+    """
+    found = []
+    for length in LONGER:
+        named = left.withColumn("anchor", F.xxhash64(F.substring_index("words", " ", length)))
+        counts = named.groupBy("anchor").agg(F.sum(F.size("firsts")).alias("n")).where("n > 1")
+        named = saved(named.join(counts, "anchor"))
+        found.append(repeats_of_partitions(named.where(F.col("n") <= group_rows)))
+        left = named.where(F.col("n") > group_rows).drop("n")
+        if at_most(left, 0):
+            break
+    else:
+        nodes = left.select("rid", "row", "firsts", "windows", F.sha2("words", 256).alias("node"))
+        leaves = nodes.groupBy("node").agg(F.sum(F.size("firsts")).alias("n")).where("n > 1").select("node")
+        found.append(nodes.join(leaves, "node").select("rid", "row", F.explode("firsts").alias("first"), "windows"))
+    out = found[0]
+    for more in found[1:]:
+        out = out.unionByName(more)
+    return out
+
+
+def repeated_ranges(rows: DataFrame, group_rows: int = GROUP_ROWS) -> DataFrame:
+    """(rid, row, ranges): for each text of rows (rid, text) with repeated windows, (first word, word after the last) of the runs of them."""
+    every = saved(anchors(rows))
     counts = every.groupBy("anchor").agg(F.sum("m").alias("n")).where("n > 1").select("anchor", (F.col("n") > group_rows).alias("hot"))
-    chosen = every.join(counts, "anchor").select("doc_id", F.struct("anchor", "hot").alias("pick"))
-    # rows that repeat an id share their picks; those that a text does not have mean nothing to it
-    chosen = saved(chosen.groupBy("doc_id").agg(F.collect_set("pick").alias("picks")))
-    around = surroundings(docs, chosen)
+    chosen = every.join(counts, "anchor").select("rid", F.struct("anchor", "hot").alias("pick"))
+    # no more picks than the text has anchors: equal rows share them
+    chosen = saved(chosen.groupBy("rid").agg(F.collect_set("pick").alias("picks")))
+    around = surroundings(rows, chosen)
     if not at_most(counts.where("hot"), 0):
         around = saved(around)
-        runs = repeats_of_partitions(around).unionByName(repeats_of_split_groups(around))
+        runs = repeats_of_partitions(around.where("not hot")).unionByName(repeats_of_split_groups(around.where("hot"), group_rows))
     else:
         runs = repeats_of_partitions(around)
-    ranges = runs.select("doc_id", "row", F.struct(F.col("first").alias("a"), (F.col("first") + F.col("windows") + F.lit(WINDOW - 1)).alias("z")).alias("range"))
-    return ranges.groupBy("doc_id", "row").agg(F.collect_set("range").alias("ranges"))
+    ranges = runs.select("rid", "row", F.struct(F.col("first").alias("a"), (F.col("first") + F.col("windows") + F.lit(WINDOW - 1)).alias("z")).alias("range"))
+    return ranges.groupBy("rid", "row").agg(F.collect_set("range").alias("ranges"))
 
 
 def _covered(n: int, ranges: list[dict]) -> np.ndarray:
@@ -298,17 +322,14 @@ def _covered(n: int, ranges: list[dict]) -> np.ndarray:
     return np.cumsum(cover[:-1]) > 0
 
 
-def with_ranges(docs: DataFrame, *more: str) -> DataFrame:
-    """Rows of docs (doc_id, text, the named columns) with found: the ranges of each text of that id."""
-    ranges = saved(repeated_ranges(docs))
-    by_id = ranges.groupBy("doc_id").agg(F.collect_list(F.struct("row", "ranges")).alias("found"))
-    kept, ids = documents(docs, *more), ranges.select("doc_id").distinct()
-    if not at_most(ids):
-        return kept.join(by_id, "doc_id", "left")
-    # few enough to keep texts without repeats from moving
-    moved = kept.join(F.broadcast(ids), "doc_id", "left_semi").join(by_id, "doc_id")
-    rest = kept.join(F.broadcast(ids), "doc_id", "left_anti").withColumn("found", F.lit(None).cast(by_id.schema["found"].dataType))
-    return moved.unionByName(rest)
+def with_ranges(docs: DataFrame) -> DataFrame:
+    """doc_id, text, found (ranges of texts of the row's key) for every row of docs."""
+    rows = keyed(docs)
+    ranges = saved(repeated_ranges(rows))
+    by_row = ranges.groupBy("rid").agg(F.collect_list(F.struct("row", "ranges")).alias("found"))
+    there = marked(marks(ranges))
+    moved = rows.where(there).join(by_row, "rid", "left").select("doc_id", "text", "found")
+    return moved.unionByName(rows.where(~there).select("doc_id", "text", F.lit(None).cast(by_row.schema["found"].dataType).alias("found")))
 
 
 def kept_texts(batch: pa.RecordBatch, text: int, found: int):
@@ -336,7 +357,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
             rows = list(kept_texts(batch, 1, 2))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.binary()).cast(pa.string())], ["doc_id", "n_words", "n_removed", "kept"])
 
-    joined = with_ranges(docs).select("doc_id", "text", "found")
+    joined = with_ranges(docs)
     return joined.mapInArrow(cut, f"doc_id {joined.schema['doc_id'].dataType.simpleString()}, n_words bigint, n_removed bigint, kept string")
 
 

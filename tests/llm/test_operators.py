@@ -37,6 +37,7 @@ def corpus():
         (1, base, "a"), (2, base.upper(), "a"), (3, near, "b"), (4, None, "b"), (5, "", None), (6, " \t\n ", None), (7, "one two three", "c"), (8, "one  two\nthree", "c"),
         (9, text_of(3, 80) + " " + passage + " " + text_of(4, 30), "a"), (10, passage + "\n" + text_of(5, 60), "a"), (11, text_of(6, 5000), "a"), (12, "the " * 90, "b"),
         (13, base, "a"), (13, base, "a"), (14, "ÄÖ 日本語 " * 30 + "mail x.y@example.com now", "d"),
+        (None, near + " more", "a"), (None, text_of(7, 70), "b"), (None, text_of(7, 70), "b"), (None, text_of(6, 5000)[:9000], "c"), (None, None, None), (15, "x" * 30_000 + " " + "7" * 9_000, "d"),
     ]
     return rows
 
@@ -71,8 +72,8 @@ def join_by_hand(rows):
             new = [j for j in range(len(rows)) if link[at][j] and j not in seen]
             seen |= set(new)
             todo += new
-        out.append((doc, len(sets[i]), min(rows[j][0] for j in seen), sum(link[i])))
-    return sorted(out)
+        out.append((doc, len(sets[i]), min((rows[j][0] for j in seen if rows[j][0] is not None), default=None), sum(link[i])))
+    return sorted(out, key=repr)
 
 
 def test_word_kernel(corpus):
@@ -88,7 +89,30 @@ def test_word_kernel(corpus):
 
 
 def test_ngram_join(docs, corpus):
-    assert sorted(tuple(r) for r in ngram_join.join_documents(docs).collect()) == join_by_hand(corpus)
+    assert sorted((tuple(r) for r in ngram_join.join_documents(docs).collect()), key=repr) == join_by_hand(corpus)
+
+
+def test_ngram_join_keeps_one_row_of_each_group(docs, corpus):
+    wanted = []
+    sets = [sets_of(t) for _, t, _ in corpus]
+    for doc, text, source in corpus:
+        near = [r for r, s in zip(corpus, sets, strict=True) if s and len(s & sets_of(text)) * 100 >= 75 * len(s | sets_of(text))]
+        if not near or (doc, text) == min(((r[0], r[1]) for r in near), key=lambda r: (r[0] is None, r[0] or 0)):
+            wanted.append((doc, text, source))
+    wanted = [r for i, r in enumerate(wanted) if not sets_of(r[1]) or r not in wanted[:i]]
+    got = ngram_join.keep_one(docs)
+    assert got.columns == docs.columns
+    assert sorted(((r.doc_id, r.text, r.source) for r in got.collect()), key=repr) == sorted(wanted, key=repr)
+
+
+def test_ngram_join_deals_hot_shingles(spark, monkeypatch):
+    """Every shared shingle taken for a hot one: the parts are tied together again."""
+    rng = np.random.default_rng(12)
+    common = text_of(11, 40).split()
+    rows = [(i, " ".join([*common, *text_of(50 + i % 30, 8 + i % 9).split()[: int(rng.integers(6, 12))]]), "a") for i in range(60)]
+    monkeypatch.setattr(ngram_join, "SAMPLE", 1.0)
+    monkeypatch.setattr(ngram_join, "HOT_LEAST", 1)
+    assert sorted((tuple(r) for r in ngram_join.join_documents(make(spark, rows)).collect()), key=repr) == join_by_hand(rows)
 
 
 def test_ngram_join_of_many_near_copies(spark, monkeypatch):
@@ -103,7 +127,7 @@ def test_ngram_join_of_many_near_copies(spark, monkeypatch):
             w[at] = f"edit{rng.integers(0, 9)}"
         rows.append((i, " ".join(w[: rng.integers(50, 61)]), "a"))
     rows += [(100 + i, " ".join([*common, *text_of(50 + i, rng.integers(4, 60)).split()]), "a") for i in range(40)]
-    assert sorted(tuple(r) for r in ngram_join.join_documents(make(spark, rows)).collect()) == join_by_hand(rows)
+    assert sorted((tuple(r) for r in ngram_join.join_documents(make(spark, rows)).collect()), key=repr) == join_by_hand(rows)
 
 
 def test_overlap_product():
@@ -119,21 +143,27 @@ def test_overlap_product():
     assert (ngram_join.overlaps((one[0], one[1]), (two[0], two[1]), (30, 9)) == a @ b.T).all()
 
 
-def test_substring_dedup(docs, corpus, monkeypatch):
+def dedup_by_hand(rows):
     windows = Counter()
-    for _, t, _ in corpus:
+    for _, t, _ in rows:
         w = WORD.findall(t or "")
         windows.update(tuple(w[i : i + 35]) for i in range(len(w) - 34))
-    wanted = []
-    for doc, t, _ in corpus:
+    out = []
+    for doc, t, _ in rows:
         w = WORD.findall(t or "")
         gone = {j for i in range(len(w) - 34) if windows[tuple(w[i : i + 35])] > 1 for j in range(i, i + 35)}
-        wanted.append((doc, len(w), len(gone), " ".join(x for i, x in enumerate(w) if i not in gone)))
-    assert sorted(tuple(r) for r in substring_dedup.remove_repeats(docs).collect()) == sorted(wanted)
-    # every group split by the longest prefix
+        out.append((doc, len(w), len(gone), " ".join(x for i, x in enumerate(w) if i not in gone)))
+    return sorted(out, key=repr)
+
+
+def test_substring_dedup(docs, corpus, monkeypatch):
+    wanted = dedup_by_hand(corpus)
+    assert sorted((tuple(r) for r in substring_dedup.remove_repeats(docs).collect()), key=repr) == wanted
+    # every group split by longer prefixes, some of them down to whole windows
     ranges = substring_dedup.repeated_ranges
-    monkeypatch.setattr(substring_dedup, "repeated_ranges", lambda d: ranges(d, group_rows=1))
-    assert sorted(tuple(r) for r in substring_dedup.remove_repeats(docs).collect()) == sorted(wanted)
+    for most in (1, 3):
+        monkeypatch.setattr(substring_dedup, "repeated_ranges", lambda d, most=most: ranges(d, group_rows=most))
+        assert sorted((tuple(r) for r in substring_dedup.remove_repeats(docs).collect()), key=repr) == wanted
 
 
 def test_suffix_tree_is_a_sorted_array_with_its_prefixes():
