@@ -1,25 +1,28 @@
 """Toxicity by class-conditional Kneser-Ney language models over characters.
 
 Two models, one of toxic and one of ordinary training texts, predict each UTF-8 byte (A-Z lowered,
-white space as one byte) from the five before it, interpolated with a prediction from three, and from
-there with one shared distribution: how many distinct bytes go before a trigram, over both classes.
-Counts are taken at the smaller class's size, discounted alike, and what that leaves to the lower order
-weighs the same in both classes, so an expression too rare to tell the classes apart counts for
-neither.  A text's evidence is the largest, over its windows of ``WINDOW`` bytes, of the log-likelihood
-ratio divided by the window's length, so one expression in a long text shows.  A logistic curve,
-fitted on training rows that the models have not seen, turns evidence into a score.
+white space as one byte) from the five before it.  Each takes DISCOUNT off its counts of runs of six bytes
+and gives what that frees to a lower order: its own counts of the distinct runs of six that end with a run
+of four, discounted alike.  What these free goes to one backoff distribution that both models share, of
+continuation counts of runs of three and of two bytes over both classes, discounted by BACKOFF, and from
+there to all bytes alike.  Counts are taken at the smaller class's size.  So the probabilities of each model
+add up to one after every history, and an expression too rare to tell the classes apart gets the shared
+probability in both.  A text's evidence is the difference of its log-likelihoods divided by its length, and
+the largest such mean of its windows of ``WINDOW`` bytes, so that one expression in a long text shows.  A
+logistic curve, fitted on training rows that the models have not seen, turns both into a score.
 
 Runs of six bytes are counted exactly, as rows of a table that grows with the distinct runs of the
-training rows; the counts of shorter runs, of distinct neighbours, and all probabilities come from that
-table by shuffled aggregates and joins.  A byte's log ratio is a function of the six bytes that end with
-it, and a run that no class has more often than DISCOUNT has the ratio of its last four bytes, or of none.
-So what scoring needs is the ratios of the other runs: their number follows the training rows too, and
-they are looked up by the whole run.  Only the curve's two numbers are fitted on at most ``CURVE_ROWS``
-rows.  Training rows: labelled, with crc32(doc_id as text) mod 5 other than 0; 1 to 3 train the models,
-4 the curve.
-
-Null and empty texts have evidence 0.  Without toxic or without ordinary training rows every score is
-0.  Rows that repeat a doc_id are scored one by one; labels that repeat one count as toxic if any does.
+training rows; continuation counts and all probabilities come from that table by shuffled aggregates and
+joins.  What scoring needs is, of each order, the log ratio of the runs that a class has more than DISCOUNT
+times, and for other bytes, whose lower probabilities are looked up next or cancel, the ratio of what both
+classes free after their history, if it differs: these tables' size follows the training rows too.  Only the
+curve's numbers are fitted on at most ``CURVE_ROWS`` rows.  Training rows: labelled, with crc32(doc_id as
+text) mod 5 other than 0; 1 to 3 train the models, 4 the curve.
+
+Null and empty texts have evidence 0.  Without toxic or without ordinary training rows every score is 0.
+Rows that repeat a doc_id are scored one by one, rows without one too, as held_out by the empty id; labels
+that repeat an id count as toxic if any does, those without an id or label do not count.  Columns other than
+doc_id and text are not looked at.  An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -37,6 +40,7 @@ from .common import checked, documents, saved, table
 WINDOW = 8
 #: Taken off every count, at the smaller class's size; what is left to share goes to the lower order.
 DISCOUNT = 2.0
+BACKOFF = 0.75  # taken off the shared continuation counts
 CURVE_ROWS = 20_000
 MERGE_RUNS = 1 << 20  # runs that a task holds before equal ones are added up
 U64 = np.uint64
@@ -108,18 +112,25 @@ class Runs:
 
 @dataclass
 class Model:
+    """Of runs of six and of four bytes: their log ratios, and those of any other byte after a history of five or three."""
+
     six: Ratios
+    after_five: Ratios
     four: Ratios
+    after_three: Ratios
 
     def ratios(self, runs: Runs) -> np.ndarray:
         """Log of toxic over ordinary probability of each byte given those before it."""
         out, rest = self.six.find(runs.codes)
-        out[rest] = self.four.find(runs.codes[rest] & U64(0xFFFFFFFF))[0]
+        ends = runs.codes[rest] & U64(0xFFFFFFFF)
+        lower, other = self.four.find(ends)
+        lower[other] = self.after_three.find(ends[other] >> U64(8))[0]
+        out[rest] = self.after_five.find(runs.codes[rest] >> U64(8))[0] + lower
         return out
 
     def evidence(self, w: kernel.Words) -> np.ndarray:
-        """The largest window mean of each row; 0 for an empty row."""
-        out = np.zeros(w.rows)
+        """(mean over the text, largest mean of a window) of each row; 0 for an empty row."""
+        out = np.zeros((w.rows, 2))
         runs = Runs.of(w)
         n = len(runs.codes)
         if not n:
@@ -127,12 +138,13 @@ class Model:
         sums = np.zeros(n + 1)
         np.cumsum(self.ratios(runs), out=sums[1:])
         length = np.diff(runs.at)
-        last = np.repeat(runs.at[1:], length)
-        end = np.minimum(np.arange(n) + WINDOW, last)
-        mean = (sums[end] - sums[:-1]) / WINDOW
-        mean[(end - np.arange(n) < WINDOW) & (np.arange(n) != np.repeat(runs.at[:-1], length))] = -np.inf
         has = length > 0
-        out[has] = np.maximum.reduceat(mean, runs.at[:-1][has])
+        out[has, 0] = (sums[runs.at[1:]] - sums[runs.at[:-1]])[has] / length[has]
+        end = np.minimum(np.arange(n) + WINDOW, np.repeat(runs.at[1:], length))
+        size = end - np.arange(n)
+        mean = (sums[end] - sums[:-1]) / size
+        mean[(size < WINDOW) & (np.arange(n) != np.repeat(runs.at[:-1], length))] = -np.inf
+        out[has, 1] = np.maximum.reduceat(mean, runs.at[:-1][has])
         return out
 
 
@@ -173,79 +185,110 @@ def gather(train: DataFrame) -> DataFrame:
     return found.groupBy("code").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
 
 
-def _backed_off(runs: DataFrame, lower: tuple[str, str]) -> DataFrame:
-    """runs (code, n0, n1 and the lower order's columns) with p0 and p1, interpolated with the lower order; n0, n1 at the smaller class's size."""
-    history = runs.groupBy(F.shiftright("code", 8).alias("history")).agg(F.sum("n0").alias("s0"), F.sum("n1").alias("s1"), F.count("*").alias("followers"))
-    out = runs.withColumn("history", F.shiftright("code", 8)).join(history, "history")
-    # n0 and n1 are whole numbers until here, so that sums do not depend on their order
-    seen = {c: F.col(f"s{c}") * F.col(f"scale{c}") for c in (0, 1)}
-    left = DISCOUNT * F.col("followers")
-    weight = F.greatest(left / (left + F.least(seen[0], seen[1]) + 1e-9), F.lit(0.02))
-    kept = {c: F.greatest(F.col(f"n{c}") * F.col(f"scale{c}") - DISCOUNT, F.lit(0.0)) for c in (0, 1)}
-    return out.withColumns({f"p{c}": (1 - weight) * kept[c] / F.greatest(seen[c], F.lit(1.0)) + weight * F.col(lower[c]) for c in (0, 1)})
+def _ends(runs: DataFrame, mask: int) -> DataFrame:
+    """(code, n, history, all, kinds, end) of the runs that the given ones end with, n of them; all and kinds: of their history; end: the next shorter run."""
+    ends = runs.groupBy(F.col("code").bitwiseAND(mask).alias("code")).agg(F.count("*").alias("n")).withColumn("history", F.shiftright("code", 8))
+    whole = ends.groupBy("history").agg(F.sum("n").alias("all"), F.count("*").alias("kinds"))
+    return ends.join(whole, "history").withColumn("end", F.col("code").bitwiseAND(mask >> 8))
+
 
+def backoff(four: DataFrame) -> DataFrame:
+    """(code, shared): the shared probability of a byte after two, for every run of three bytes that one of four ends with."""
+    share = lambda lower: (F.greatest(F.col("n") - BACKOFF, F.lit(0.0)) + BACKOFF * F.col("kinds") * lower) / F.col("all")
+    three = saved(_ends(four, 0xFFFFFF))
+    two = _ends(three, 0xFFFF).select(F.col("code").alias("end"), share(F.lit(1 / 256)).alias("lower"))  # 65,536 rows at most
+    return three.join(F.broadcast(two), "end").select("code", share(F.col("lower")).alias("shared"))
 
-def ratios(train: DataFrame) -> tuple[DataFrame, DataFrame] | None:
-    """(ratios of runs of six bytes, of four): code, log of each run that a class has more than DISCOUNT times; None if a class has no text."""
-    six = saved(gather(train))
-    size = six.agg(F.sum("n0"), F.sum("n1")).first()
-    if not size[0] or not size[1]:
+
+@dataclass
+class Order:
+    """Counts of an order (code, n0, n1): runs with their history, and what each class frees after a history."""
+
+    runs: DataFrame
+    histories: DataFrame
+    scale: list[float]
+
+    @staticmethod
+    def of(counts: DataFrame) -> Order | None:
+        size = counts.agg(F.sum("n0"), F.sum("n1")).first()
+        if not size[0] or not size[1]:
+            return None
+        scale = [min(size) / x for x in size]
+        more = [F.col(f"n{c}") * F.lit(scale[c]) > DISCOUNT for c in (0, 1)]
+        runs = counts.withColumns({"history": F.shiftright("code", 8), "more": more[0] | more[1]})
+        # sums of whole numbers, so that they do not depend on their order
+        sums = [a for c in (0, 1) for a in (F.sum(f"n{c}").alias(f"s{c}"), F.sum(F.when(more[c], F.col(f"n{c}")).otherwise(0)).alias(f"k{c}"), F.count_if(more[c]).alias(f"r{c}"))]
+        freed = [F.when(F.col(f"s{c}") == 0, 1.0).otherwise(1 - (F.col(f"k{c}") * scale[c] - DISCOUNT * F.col(f"r{c}")) / (F.col(f"s{c}") * scale[c])).alias(f"left{c}") for c in (0, 1)]
+        return Order(runs, saved(runs.groupBy("history").agg(*sums).select("history", "s0", "s1", *freed)), scale)
+
+    def probabilities(self, runs: DataFrame, lower: tuple[str, str]) -> DataFrame:
+        """runs, some of this order's with columns of lower probabilities, with p0 and p1."""
+        p = {f"p{c}": F.greatest(F.col(f"n{c}") * self.scale[c] - DISCOUNT, F.lit(0.0)) / F.greatest(F.col(f"s{c}") * self.scale[c], F.lit(1e-300)) + F.col(f"left{c}") * F.col(lower[c]) for c in (0, 1)}
+        return runs.join(self.histories, "history").withColumns(p)
+
+    def others(self) -> DataFrame:
+        """(code, log) by history: the log ratio of what the classes free, where it differs."""
+        return self.histories.where("left0 != left1").select(F.col("history").alias("code"), F.log(F.col("left1") / F.col("left0")).cast("float").alias("log"))
+
+
+def probabilities(train: DataFrame) -> tuple[Order, DataFrame, Order, DataFrame] | None:
+    """(order of six, its runs seen more than DISCOUNT times with p0 and p1, order of four, all its runs with p0 and p1); None if a class has no text."""
+    six = Order.of(saved(gather(train)))
+    if six is None:
         return None
-    scales = {f"scale{c}": F.lit(min(size) / size[c]) for c in (0, 1)}
-    four = saved(six.groupBy(F.col("code").bitwiseAND(0xFFFFFFFF).alias("code")).agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1")))
-    three = four.groupBy(F.col("code").bitwiseAND(0xFFFFFF).alias("last")).agg(F.count("*").alias("before"))
-    pairs = three.groupBy(F.shiftright("last", 8).alias("pair")).agg(F.sum("before").alias("all_before"))
-    three = three.withColumn("pair", F.shiftright("last", 8)).join(F.broadcast(pairs), "pair")  # 65,536 rows at most
-    three = three.select("last", ((F.col("before") + 0.1) / (F.col("all_before") + 25.6)).alias("shared"))
-    four = four.withColumns({"last": F.col("code").bitwiseAND(0xFFFFFF), **scales}).join(three, "last")
-    four = saved(_backed_off(four, ("shared", "shared")).select("code", "n0", "n1", "p0", "p1"))
-    lower = four.select(F.col("code").alias("last"), F.col("p0").alias("q0"), F.col("p1").alias("q1"))
-    six = _backed_off(six.withColumns({"last": F.col("code").bitwiseAND(0xFFFFFFFF), **scales}).join(lower, "last"), ("q0", "q1"))
-    more = (F.col("n0") * scales["scale0"] > DISCOUNT) | (F.col("n1") * scales["scale1"] > DISCOUNT)
-    return tuple(runs.where(more).select("code", F.log(F.col("p1") / F.col("p0")).cast("float").alias("log")) for runs in (six, four))
+    ends = six.runs.groupBy(F.col("code").bitwiseAND(0xFFFFFFFF).alias("code"))
+    four = Order.of(saved(ends.agg(F.count_if(F.col("n0") > 0).alias("n0"), F.count_if(F.col("n1") > 0).alias("n1"))))
+    shared = backoff(four.runs).withColumnRenamed("code", "last")
+    of_four = saved(four.probabilities(four.runs.withColumn("last", F.col("code").bitwiseAND(0xFFFFFF)).join(shared, "last"), ("shared", "shared")).select("code", "more", "p0", "p1"))
+    lower = of_four.select(F.col("code").alias("last"), F.col("p0").alias("q0"), F.col("p1").alias("q1"))
+    of_six = six.probabilities(six.runs.where("more").withColumn("last", F.col("code").bitwiseAND(0xFFFFFFFF)).join(lower, "last"), ("q0", "q1"))
+    return six, of_six, four, of_four
 
 
 def fit(train: DataFrame) -> Model | None:
     """The model of train (text, toxic); None if a class has no text.  What is collected grows with the runs seen more than DISCOUNT times."""
-    found = ratios(train)
+    found = probabilities(train)
     if found is None:
         return None
-    got = [runs.toArrow() for runs in found]
+    six, of_six, four, of_four = found
+    log = F.log(F.col("p1") / F.col("p0")).cast("float").alias("log")
+    # a history that frees all of both classes has no row, so these are no more than the runs
+    got = [t.toArrow() for t in (of_six.select("code", log), six.others(), of_four.where("more").select("code", log), four.others())]
     return Model(*(Ratios.of(g["code"].to_numpy().view(U64), g["log"].to_numpy()) for g in got))
 
 
 def with_evidence(docs: DataFrame, model: Model | None, *more: str) -> DataFrame:
-    """doc_id, the named columns, and evidence for every row of docs (doc_id, text, the named columns)."""
+    """doc_id, the named columns, evidence and peak (the largest window mean) for every row of docs (doc_id, text, the named columns)."""
     kept = docs.select("doc_id", *more, "text")
     if model is None:
-        return kept.drop("text").withColumn("evidence", F.lit(0.0))
+        return kept.drop("text").withColumns({"evidence": F.lit(0.0), "peak": F.lit(0.0)})
     shared = docs.sparkSession.sparkContext.broadcast(model)  # grows with the runs seen more than DISCOUNT times
     names = ["doc_id", *more]
 
     def scored(batches):
         for batch in batches:
-            found = [shared.value.evidence(w) for _, _, w in kernel.steps(batch)]
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(names))), pa.array(np.concatenate(found) if found else np.zeros(0))], [*names, "evidence"])
+            found = np.concatenate([np.zeros((0, 2)), *(shared.value.evidence(w) for _, _, w in kernel.steps(batch))])
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(names))), *(pa.array(np.ascontiguousarray(found[:, i])) for i in (0, 1))], [*names, "evidence", "peak"])
 
     schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in kept.schema if f.name != "text")
-    return kept.mapInArrow(scored, f"{schema}, evidence double")
+    return kept.mapInArrow(scored, f"{schema}, evidence double, peak double")
 
 
-def fit_curve(evidence: np.ndarray, label: np.ndarray) -> tuple[float, float]:
-    """Slope and offset of a logistic curve by Newton's method, with a light ridge."""
+def fit_curve(evidence: np.ndarray, label: np.ndarray) -> tuple[list[float], float]:
+    """Slopes and offset of a logistic curve over the columns of evidence by Newton's method, with a light ridge."""
     if not len(label) or label.min() == label.max():
-        return 4.0, -2.0
-    mid, scale = float(evidence.mean()), float(evidence.std()) or 1.0
-    x = np.stack([(evidence - mid) / scale, np.ones(len(evidence))], axis=1)
-    w = np.zeros(2)
+        return [0.0, 4.0], -2.0
+    mid, scale = evidence.mean(axis=0), evidence.std(axis=0)
+    scale[scale == 0] = 1.0
+    x = np.concatenate([(evidence - mid) / scale, np.ones((len(evidence), 1))], axis=1)
+    w = np.zeros(x.shape[1])
     for _ in range(50):
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        g = x.T @ (p - label) + 1e-2 * w
-        step = np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + 1e-2 * np.eye(2), g)
+        step = np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + 1e-2 * np.eye(len(w)), x.T @ (p - label) + 1e-2 * w)
         w -= np.clip(step, -2, 2)
         if np.abs(step).max() < 1e-8:
             break
-    return float(w[0] / scale), float(w[1] - w[0] * mid / scale)
+    return (w[:-1] / scale).tolist(), float(w[-1] - (w[:-1] * mid / scale).sum())
 
 
 def fold(column: str = "doc_id") -> F.Column:
@@ -259,14 +302,14 @@ def score_toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
     labelled = labelled.withColumn("fold", fold()).where("fold != 0")
     model = fit(texts.join(checked(labelled.where("fold <= 3")), "doc_id"))
     curve = labelled.where("fold = 4").orderBy(F.xxhash64("doc_id"), "doc_id").limit(CURVE_ROWS)
-    slope, offset = 0.0, -1e3
+    slopes, offset = [0.0, 0.0], -1e3
     if model is not None:
-        seen = with_evidence(texts.join(F.broadcast(curve), "doc_id"), model, "toxic").select("evidence", "toxic").toArrow()  # CURVE_ROWS rows
-        slope, offset = fit_curve(seen["evidence"].to_numpy(), seen["toxic"].to_numpy().astype(float))
+        seen = with_evidence(texts.join(F.broadcast(curve), "doc_id"), model, "toxic").select("evidence", "peak", "toxic").orderBy("evidence", "peak", "toxic").toArrow()  # CURVE_ROWS rows
+        slopes, offset = fit_curve(np.stack([seen["evidence"].to_numpy(), seen["peak"].to_numpy()], axis=1), seen["toxic"].to_numpy().astype(float))
     found = with_evidence(texts, model)
-    score = 1 / (1 + F.exp(-(F.col("evidence") * slope + offset)))
-    out = found.select("doc_id", (fold() == 0).alias("held_out"), score.alias("score"), "evidence")
-    return out.select("doc_id", "held_out", "score", F.when(F.col("score") >= 0.5, 1).otherwise(0).alias("predicted"), "evidence")
+    score = 1 / (1 + F.exp(-(F.col("evidence") * slopes[0] + F.col("peak") * slopes[1] + offset)))
+    out = found.select("doc_id", (fold() == 0).alias("held_out"), score.alias("score"), "evidence", "peak")
+    return out.select("doc_id", "held_out", "score", F.when(F.col("score") >= 0.5, 1).otherwise(0).alias("predicted"), "evidence", "peak")
 
 
 def op3_toxicity(spark, sf_dir: str) -> DataFrame:
