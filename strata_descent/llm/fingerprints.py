@@ -8,19 +8,27 @@ of a passage take no room; a sequence shorter than K is one anchor, an empty tex
 compares two fingerprints place by place: anchors of equal hash vote for a shift, and only those within
 ``SLACK`` places of the median shift count, over the anchors of the merged sketch.
 
+Texts are dealt once, by ranges of ids, and a text meets the next one as its neighbour in the order of
+its range; the first text of a range goes to the end of the range before it too.  The ranges' bounds are
+approximate quantiles of the ids, so no task sees more than some ranges, and nothing is broadcast.
+
 Null texts are empty.  Two empty fingerprints have likeness 1, one empty fingerprint 0.  Rows that
-repeat a doc_id each get a result; as someone's next document such an id stands for the row of least first quarter.
+repeat a doc_id each get a result; as someone's next document such an id stands for its row of least text.
 Rows without a doc_id have no next document and are nobody's.  Equal texts have equal fingerprints.
+Columns other than doc_id and text are not looked at.  An empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checked, documents, saved, table, words_column
+from .common import at_most, checked, documents, saved, table, words_column
 
 K, S, ANCHORS, SLACK = 8, 2, 48, 64
+RANGES = 4  # of ids, for each shuffle partition
 
 
 def anchors(text: str) -> str:
@@ -54,47 +62,54 @@ def as_text(a: str) -> str:
     return f"concat_ws(',', transform({a}, x -> concat(lower(hex(x.h)), ':', x.i)))"
 
 
-def next_ids(docs: DataFrame) -> DataFrame:
-    """(doc_id, next_id) for the distinct ids, in ascending order and round to the first.
-
-    Ids are cut into ranges at approximate quantiles, so that no task sees more than a range; only
-    the first id of each range meets the others.
-    """
-    ids = docs.where("doc_id is not null").select("doc_id").distinct()
-    spark = ids.sparkSession
-    ranges = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    bounds = ids.agg(F.percentile_approx("doc_id", [i / ranges for i in range(1, ranges)] or [0.5], 10_000)).first()[0] or []
-    cut = F.lit(sorted(set(bounds))) if bounds else F.array().cast("array<bigint>")
-    placed = ids.withColumn("part", F.size(F.filter(cut, lambda b: b <= F.col("doc_id"))))
-    inside = placed.withColumn("next_id", F.lead("doc_id").over(Window.partitionBy("part").orderBy("doc_id")))
-    firsts = placed.groupBy("part").agg(F.min("doc_id").alias("first"))
-    over = Window.orderBy("part")  # a row per range
-    firsts = firsts.withColumn("after", F.coalesce(F.lead("first").over(over), F.first("first").over(over.rowsBetween(Window.unboundedPreceding, 0))))
-    return inside.join(F.broadcast(firsts), "part").select("doc_id", F.coalesce("next_id", "after").alias("next_id"))
-
-
 def fingerprint_documents(docs: DataFrame) -> DataFrame:
     """doc_id, text, n_chars, marks: one row per row of docs."""
     return documents(docs).withColumns({"n_chars": F.length("text").cast("bigint"), "marks": F.expr(anchors("text"))})
 
 
+def in_ranges(chain: DataFrame) -> DataFrame:
+    """chain (distinct doc_id, text, more) dealt by part, a range of ids; rows with ghost repeat the first row of the next range, after all others."""
+    spark = chain.sparkSession
+    n = RANGES * max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    least, cuts = chain.agg(F.min("doc_id"), F.percentile_approx("doc_id", [i / n for i in range(1, n)] or [0.5], max(10_000, 10 * n))).first()
+    cuts = sorted({c for c in cuts or () if c > least})  # quantiles are ids themselves, so each is the first of its range
+    group = max(1, math.isqrt(len(cuts)))
+    bounds = F.split(F.lit(",".join(map(str, cuts))), ",").cast("array<bigint>") if cuts else F.array().cast("array<bigint>")
+    tops = F.split(F.lit(",".join(map(str, cuts[::group]))), ",").cast("array<bigint>") if cuts else bounds
+    below = lambda array: F.size(F.filter(array, lambda c: c <= F.col("doc_id")))
+    placed = chain.withColumn("top", below(tops))
+    placed = placed.withColumn("part", F.when(F.col("top") == 0, 0).otherwise((F.col("top") - 1) * group + below(F.slice(bounds, (F.col("top") - 1) * group + 1, group)))).drop("top")
+    first = (F.col("doc_id") == F.lit(least)) | F.coalesce(F.get(bounds, F.col("part") - 1) == F.col("doc_id"), F.lit(False))
+    before = F.pmod(F.col("part") - 1, F.lit(len(cuts) + 1))
+    home = F.struct(F.col("part").alias("part"), F.lit(False).alias("ghost"))
+    there = F.when(first, F.array(home, F.struct(before.alias("part"), F.lit(True).alias("ghost")))).otherwise(F.array(home))
+    return placed.withColumn("there", F.explode(there)).drop("part").select("*", "there.part", "there.ghost").drop("there").repartition("part")
+
+
+def with_next(chain: DataFrame) -> DataFrame:
+    """chain with marks, next_text and next_marks: those of the row of the next greater id, round to the first."""
+    order = Window.partitionBy("part").orderBy("ghost", "doc_id")
+    rows = in_ranges(chain).withColumn("marks", F.expr(anchors("text")))
+    return rows.withColumns({"next_text": F.lead("text").over(order), "next_marks": F.lead("marks").over(order)}).where("not ghost").drop("part", "ghost")
+
+
 def against_edits(docs: DataFrame) -> DataFrame:
-    """Fingerprints of every text and of its edited text, and their likeness, per row of docs.
-
-    A text meets its next document by sending that one's first quarter and anchors, not its text; the
-    texts themselves move once.  Which quarter goes where is a few numbers per id: broadcast if there
-    are few, else joined by a second move of the texts.
-    """
-    needs = documents(docs).groupBy("doc_id").agg(F.max(F.floor(F.length("text") / 4)).cast("int").alias("need"))
-    wanted = saved(next_ids(docs).join(needs, "doc_id").select(F.col("doc_id").alias("owner"), "next_id", "need"))
-    heads = documents(docs).join(checked(wanted), F.col("doc_id") == F.col("next_id"))
-    heads = heads.select(F.col("owner").alias("doc_id"), F.expr("left(text, need)").alias("head"), F.expr(anchors("text")).alias("a"))
-    # two plain arrays take a third of the room of an array of structs
-    heads = heads.select("doc_id", "head", F.expr("transform(a, x -> x.h)").alias("hs"), F.expr("transform(a, x -> x.i)").alias("js"))
-    heads = heads.groupBy("doc_id").agg(F.min(F.struct("head", "hs", "js")).alias("n"))
-    out = documents(docs).join(heads, "doc_id", "left")
-    out = out.select("doc_id", "text", F.length("text").cast("bigint").alias("n_chars"), F.expr(anchors("text")).alias("marks"), F.col("n.head").alias("head"), F.expr("zip_with(n.hs, n.js, (h, i) -> struct(h as h, i as i))").alias("next_marks"))
-    edited = F.expr("concat(left(text, cast(n_chars - floor(n_chars / 4) as int)), left(coalesce(head, ''), cast(floor(n_chars / 4) as int)))")
+    """Fingerprints of every text and of its edited text, and their likeness, per row of docs."""
+    rows = documents(docs)
+    named, unnamed = rows.where("doc_id is not null"), rows.where("doc_id is null")
+    repeated = saved(named.groupBy("doc_id").count().where("count > 1").select("doc_id"))
+    columns = ["doc_id", "text", "marks", "next_text", "next_marks"]
+    alone = unnamed.withColumn("marks", F.expr(anchors("text"))).select("doc_id", "text", "marks", F.lit(None).cast("string").alias("next_text"), F.expr("if(false, marks, null)").alias("next_marks"))
+    if at_most(repeated, 0):
+        out = with_next(named).select(*columns)
+    else:  # such an id has one place in the order, and its rows get what follows that
+        several = named.join(checked(repeated), "doc_id", "left_semi")
+        stand_in = several.groupBy("doc_id").agg(F.min("text").alias("text"), F.lit(True).alias("several"))
+        chain = with_next(named.join(checked(repeated), "doc_id", "left_anti").withColumn("several", F.lit(False)).unionByName(stand_in))
+        follows = chain.where("several").select("doc_id", "next_text", "next_marks")
+        out = chain.where("not several").select(*columns).unionByName(several.join(follows, "doc_id").withColumn("marks", F.expr(anchors("text"))).select(*columns))
+    out = out.unionByName(alone).withColumn("n_chars", F.length("text").cast("bigint"))
+    edited = F.expr("concat(left(text, cast(n_chars - floor(n_chars / 4) as int)), left(coalesce(next_text, ''), cast(floor(n_chars / 4) as int)))")
     out = out.withColumn("edited", edited).withColumn("edited_marks", F.expr(anchors("edited")))
     return out.select(
         "doc_id",
