@@ -1,119 +1,81 @@
 """Mixing sources to target weights by a low-discrepancy schedule of equal-token blocks.
 
-Each source's documents stand in a seeded shuffled order, one after the other; that stream, run
-through ``MAX_EPOCHS`` times, is cut into blocks of B words, and a source gives the blocks that cover
-its first ``target`` words.  Slot i of the mix looks at the point frac(i * golden ratio): the source
-whose interval of cumulative target weight holds it gets the slot.  Its rank among its source's slots
-picks the block, through an affine shuffle of the source's blocks; slots past a source's last block
-are dropped, and blocks that the points have not served follow after the last slot, so every source
-gives exactly its target, rounded to words, and no document is taken more than MAX_EPOCHS times.
-
-Per-source work is split: documents into hash buckets, slots into chunks, with prefix sums over
-bucket and chunk totals, so a source with a third of all rows is no single task.  The source list
-(a few numbers per source) goes to the driver and is checked against MAX_SOURCES.
-
-Null texts have size 0 and are taken 0 times; a null source is a source of its own, last in order.
-Repeated rows each have their own place.  An empty table gives an empty mix.
+Each source's documents stand in a seeded shuffled order, one after the other; that stream is cut into
+blocks of B words.  Slot i of the mix looks at the i-th point of a low-discrepancy sequence (golden
+ratio or van der Corput): the source whose interval of cumulative target weight holds the point gets the
+slot, and the mix has as many slots as the targets have blocks.  A slot's rank among its source's slots
+picks the block: laps over the stream one after the other, each an affine shuffle of the whole blocks that
+starts where the point of the lap's first slot stands in the source's interval; a shorter last block ends
+the lap.  So the points decide which blocks of an unfinished lap are taken.  Blocks that the points miss
+follow after the last slot, and a source's last block is cut at its target, so every source gives exactly
+its target, rounded to words, and no document is taken more than MAX_EPOCHS times.
+
+Nothing that grows is collected or kept in one task: documents are split into hash buckets and slots into
+chunks, with prefix sums over their totals; sources are numbered by ranges; points meet the sources'
+intervals by a sort within ranges of points.  The driver gets totals only.
+
+Null texts have size 0 and are taken 0 times; a null source is a source of its own, last in order.  Rows
+are told apart by all their columns; repeated rows, with an id or without, each have their own place.  An
+empty table gives an empty mix.
 """
 
 from __future__ import annotations
 
 import math
 
-from dataclasses import dataclass
-
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import checked, documents, saved, table, words_column
+from .common import at_most, checked, documents, saved, table
 
 WEIGHTS = (3.0, 1.0, 2.0)
 SHARE = 1.5
 MAX_EPOCHS = 2
 BLOCK_WORDS = 1024
-MAX_SOURCES = 1_000_000
-CHUNK = 1 << 16
-ROWS_PER_BUCKET = 20_000
+CHUNK_BITS = 16  # of slots, and of points in a range
+ROWS_PER_BUCKET = 2_000
+ROWS_PER_RANGE = 100_000
 SEED = 20_240_607
+POINT_BITS = 53
 _GOLDEN = 0x9E3779B97F4A7C15  # frac of the golden ratio times 2**64
 
 
-@dataclass(frozen=True)
-class Share:
-    """A source's part of the mix; number: its place in the order of sources."""
-
-    source: str | None
-    number: int
-    size: int
-    target: float
-    n_blocks: int
+def _hashable(docs: DataFrame) -> list[str]:
+    return [f"`{f.name}`" for f in docs.schema if "map<" not in f.dataType.simpleString() and "variant" not in f.dataType.simpleString()]
 
 
 def with_size(docs: DataFrame) -> DataFrame:
-    """doc_id, source, size: words of each text."""
+    """doc_id, source, size (words of the text), key (hash of the row) for every row of docs."""
 
     def count(batches):
         for batch in batches:
             sizes = [w.counts() for _, _, w in kernel.steps(batch)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(np.concatenate(sizes) if sizes else np.zeros(0), pa.int64())], ["doc_id", "source", "size"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(np.concatenate(sizes) if sizes else np.zeros(0), pa.int64()), batch.column(3)], ["doc_id", "source", "size", "key"])
 
-    kept = documents(docs, F.col("source").cast("string").alias("source"))
-    return kept.mapInArrow(count, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, source string, size bigint")
+    kept = documents(docs, F.col("source").cast("string").alias("source"), F.xxhash64(*_hashable(docs)).alias("key"))
+    return kept.mapInArrow(count, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, source string, size bigint, key bigint")
 
 
-def capped_targets(sizes: list[int], weights: list[float], total: float, cap: float) -> list[float]:
-    """Targets in proportion to weights that add up to total, none above cap times its size.
+def totals_before(df: DataFrame, order: list[Column], **sums: str) -> DataFrame:
+    """df with, for each name, the total of an expression over the rows before it in an order.
 
-    Handing back the excess by weight until none is above ends where all sources below their cap have
-    one common ratio of target to weight, and that is found in one pass over the ratios at which each
-    source would reach its cap.
+    Rows are dealt by ranges of the order; only the ranges' totals, a row for ROWS_PER_RANGE rows, meet in one task.
     """
-    order = sorted(range(len(sizes)), key=lambda s: cap * sizes[s] / weights[s])
-    left, weight, out = total, sum(weights), [0.0] * len(sizes)
-    for at, s in enumerate(order):
-        if cap * sizes[s] * weight < left * weights[s]:
-            out[s] = float(cap * sizes[s])
-            left, weight = left - out[s], weight - weights[s]
-        else:
-            for r in order[at:]:
-                out[r] = left * weights[r] / weight
-            break
-    return out
-
-
-def shares(sized: DataFrame, block: int = BLOCK_WORDS) -> list[Share]:
-    rows = sized.groupBy("source").agg(F.sum("size").alias("size")).limit(MAX_SOURCES + 1).collect()
-    if len(rows) > MAX_SOURCES:
-        raise ValueError(f"more than {MAX_SOURCES} sources")
-    rows.sort(key=lambda r: (r.source is None, r.source or ""))  # Python compares strings by code point
-    sizes = [int(r["size"]) for r in rows]
-    weights = [WEIGHTS[i % len(WEIGHTS)] for i in range(len(rows))]
-    targets = capped_targets(sizes, weights, SHARE * sum(sizes), MAX_EPOCHS) if rows else []
-    return [Share(r.source, i, n, t, -(-round(t) // block)) for i, (r, n, t) in enumerate(zip(rows, sizes, targets, strict=True))]
-
-
-def placed(sized: DataFrame, listed: list[Share], n_rows: int, seed: int = SEED) -> DataFrame:
-    """sized with number (of the source), place (unique) and first (word of the source's stream)."""
-    spark = sized.sparkSession
-    numbers = spark.createDataFrame([(s.source, s.number) for s in listed], "named string, number int")
-    buckets = 1 << max(0, (n_rows // ROWS_PER_BUCKET).bit_length())
-    docs = sized.join(F.broadcast(numbers), F.col("source").eqNullSafe(F.col("named"))).drop("named")  # as many rows as sources
-    docs = docs.withColumn("h", F.xxhash64("doc_id", "size", F.lit(seed))).withColumn("bucket", F.pmod(F.shiftrightunsigned("h", 20), F.lit(buckets)))
-    totals = docs.groupBy("number", "bucket").agg(F.sum("size").alias("words"), F.count("*").alias("rows"))
-    before = Window.partitionBy("number").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    totals = totals.select("number", "bucket", F.coalesce(F.sum("words").over(before), F.lit(0)).alias("w0"), F.coalesce(F.sum("rows").over(before), F.lit(0)).alias("r0"))
-    inside = Window.partitionBy("number", "bucket").orderBy("h", "doc_id", "size")
-    docs = docs.withColumns({"w": F.coalesce(F.sum("size").over(inside.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)), "r": F.row_number().over(inside)})
-    docs = docs.join(F.broadcast(totals), ["number", "bucket"])  # rows: sources times n_rows / ROWS_PER_BUCKET
-    return docs.select("doc_id", "source", "size", "number", (F.col("r0") + F.col("r")).alias("place"), (F.col("w0") + F.col("w")).alias("first"))
-
-
-def _points(first: int, n: int) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        return (np.arange(first, first + n, dtype=np.uint64) * np.uint64(_GOLDEN) >> np.uint64(11)).astype(np.float64) / 2.0**53
+    ranges = -(-df.count() // ROWS_PER_RANGE)
+    if ranges <= 1:
+        before = Window.orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+        return df.withColumns({name: F.coalesce(F.sum(F.expr(e)).over(before), F.lit(0)) for name, e in sums.items()})
+    dealt = saved(df.repartitionByRange(ranges, *order).withColumn("part", F.spark_partition_id()))
+    above = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = dealt.groupBy("part").agg(*(F.sum(F.expr(e)).alias(name) for name, e in sums.items()))
+    starts = starts.select("part", *(F.coalesce(F.sum(name).over(above), F.lit(0)).alias(f"{name} start") for name in sums))
+    inside = Window.partitionBy("part").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    out = dealt.join(F.broadcast(starts), "part")
+    return out.select(*df.columns, *((F.col(f"{name} start") + F.coalesce(F.sum(F.expr(e)).over(inside), F.lit(0))).alias(name) for name, e in sums.items()))
 
 
 def _stride(n: int) -> int:
@@ -124,134 +86,194 @@ def _stride(n: int) -> int:
     return step % n if n > 1 else 0
 
 
-def schedule(spark, listed: list[Share]) -> DataFrame:
-    """slot, number, rank, block: the order in which the sources' blocks are served."""
-    live = [s for s in listed if s.n_blocks]
-    if not live:
-        return spark.createDataFrame([], "slot bigint, number int, rank bigint, block bigint")
-    total = sum(s.n_blocks for s in live)
-    edges = np.cumsum([s.n_blocks for s in live])[:-1] / total
-    # the sequence's discrepancy is of the order of log(n)/n, so a few slots more serve nearly all blocks; unserved() gives the rest
-    slots = total + 8 * len(live) * (2 + total.bit_length())
-    chunks = -(-slots // CHUNK)
-    steps = [(_stride(s.n_blocks), s.n_blocks, s.number) for s in live]
+def _strides(column: str) -> Column:
+    @F.pandas_udf("bigint")
+    def strides(n: pd.Series) -> pd.Series:
+        return n.map(lambda x: _stride(max(1, int(x)))).astype("int64")
 
-    def source_of(chunk: int) -> np.ndarray:
-        return np.searchsorted(edges, _points(chunk * CHUNK, min(CHUNK, slots - chunk * CHUNK)), side="right")
+    return strides(column)
 
-    def counted(batches):
-        for batch in batches:
-            for chunk in batch.column(0).to_pylist():
-                n = np.bincount(source_of(chunk), minlength=len(steps))
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(n), chunk)), pa.array(np.arange(len(n), dtype=np.int32)), pa.array(n.astype(np.int64))], ["chunk", "live", "n"])
 
-    def served(batches):
+def with_targets(sources: DataFrame, share: float = SHARE, cap: float = MAX_EPOCHS) -> DataFrame:
+    """sources (source, number, size) with weight and target: by weight, share of all sizes in all, none above cap times its size.
+
+    Handing back the excess by weight until none is above ends where all sources below their cap have one
+    common ratio of target to weight.  In the order of the ratios at which sources reach their cap, it is
+    what is left for the first one that stays below and those after it.
+    """
+    weights = F.array(*(F.lit(w) for w in WEIGHTS))
+    rows = sources.withColumn("weight", F.get(weights, (F.col("number") % len(WEIGHTS)).cast("int"))).withColumn("most", F.col("size") * F.lit(float(cap)))
+    whole = rows.agg(F.sum("size").alias("size"), F.sum("weight").alias("weight")).first()
+    if not whole["size"]:
+        return rows.withColumn("target", F.lit(0.0)).drop("most")
+    ordered = totals_before(rows.withColumn("reach", F.col("most") / F.col("weight")), [F.col("reach"), F.col("number")], given="most", weighed="weight")
+    left, weight = F.lit(share * whole["size"]) - F.col("given"), F.lit(whole["weight"]) - F.col("weighed")
+    ratio = ordered.where(F.col("most") * weight >= left * F.col("weight")).agg(F.min_by(left / weight, F.struct("reach", "number"))).first()[0]
+    target = F.col("most") if ratio is None else F.least("most", F.col("weight") * F.lit(ratio))
+    return rows.withColumn("target", target).drop("most")
+
+
+def sources_of(sized: DataFrame, block: int = BLOCK_WORDS) -> DataFrame:
+    """A row for each source: source, number, size, weight, target; words (target, rounded), whole (blocks of a lap of full size), lap (all its blocks), slots, slots_before, stride."""
+    rows = saved(sized.groupBy("source").agg(F.sum("size").alias("size")))
+    rows = totals_before(rows, [F.col("source").asc_nulls_last()], number="1")  # strings are ordered by code point
+    rows = with_targets(saved(rows)).withColumns({"words": F.expr("cast(round(target) as bigint)"), "whole": F.expr(f"size div {block}"), "lap": F.expr(f"(size + {block - 1}) div {block}")})
+    slots = f"if(size = 0, 0, (words div size) * lap + (words % size + {block - 1}) div {block})"
+    rows = saved(rows.withColumns({"slots": F.expr(slots), "stride": _strides("whole")}))
+    return saved(totals_before(rows, [F.col("number")], slots_before="slots"))
+
+
+def points(first: np.ndarray, sequence: str = "golden") -> np.ndarray:
+    """The points of slots, as integers of POINT_BITS bits."""
+    i = first.astype(np.uint64)
+    if sequence == "golden":
+        with np.errstate(over="ignore"):
+            i = i * np.uint64(_GOLDEN)
+    elif sequence == "van_der_corput":
+        for shift, mask in ((1, 0x5555555555555555), (2, 0x3333333333333333), (4, 0x0F0F0F0F0F0F0F0F), (8, 0x00FF00FF00FF00FF), (16, 0x0000FFFF0000FFFF)):
+            i = (i >> np.uint64(shift) & np.uint64(mask)) | (i & np.uint64(mask)) << np.uint64(shift)
+        i = i >> np.uint64(32) | i << np.uint64(32)
+    else:
+        raise ValueError(f"unknown sequence {sequence!r}")
+    return (i >> np.uint64(64 - POINT_BITS)).astype(np.int64)
+
+
+def slots_of(sources: DataFrame, sequence: str = "golden", start: int = 0) -> DataFrame:
+    """slot, number, at: the source that each slot's point falls on, and where in the source's interval, from 0 to 1."""
+    spark = sources.sparkSession
+    total = int(sources.agg(F.sum("slots")).first()[0] or 0)
+    bits = max(0, (total >> CHUNK_BITS).bit_length())
+    ranges = F.shiftright("point", POINT_BITS - bits) if bits else F.lit(0).cast("bigint")
+
+    def pointed(batches):
         for batch in batches:
-            for chunk, before in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                which = source_of(chunk)
-                start = np.zeros(len(steps), dtype=np.int64)
-                for x in before:
-                    start[x["live"]] = x["n"]
-                order = np.argsort(which, kind="stable")
-                first = np.searchsorted(which[order], np.arange(len(steps)))
-                rank = np.empty(len(which), dtype=np.int64)
-                rank[order] = np.arange(len(which)) - first[which[order]]
-                rank += start[which]
-                n = np.array([s[1] for s in steps])[which]
-                keep = rank < n
-                exact = np.int64 if total < 1 << 31 else object  # products of larger numbers need Python's integers
-                step = np.array([s[0] for s in steps], dtype=exact)[which[keep]]
-                block = (rank[keep].astype(exact) * step % n[keep]).astype(np.int64)
-                number = np.array([s[2] for s in steps], dtype=np.int32)[which[keep]]
-                slot = chunk * CHUNK + np.flatnonzero(keep)
-                yield pa.RecordBatch.from_arrays([pa.array(slot), pa.array(number), pa.array(rank[keep]), pa.array(block)], ["slot", "number", "rank", "block"])
-
-    tasks = max(1, min(chunks, 10_000))
-    counts = spark.range(0, chunks, 1, tasks).mapInArrow(counted, "chunk bigint, live int, n bigint")
-    over = Window.partitionBy("live").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
-    starts = counts.select("chunk", "live", F.coalesce(F.sum("n").over(over), F.lit(0)).alias("n"))
-    starts = starts.groupBy("chunk").agg(F.collect_list(F.struct("live", "n")).alias("before"))  # an entry per source
-    by_points = starts.mapInArrow(served, "slot bigint, number int, rank bigint, block bigint")
-    given = {r.live: r.n for r in counts.groupBy("live").agg(F.sum("n").alias("n")).collect()}  # a row per source
-    return by_points.unionByName(unserved(spark, live, [given.get(i, 0) for i in range(len(live))], slots))
-
-
-def unserved(spark, live: list[Share], given: list[int], slots: int) -> DataFrame:
-    """Slots, from the given one on, for the blocks of sources that have been given fewer slots than they have blocks."""
-    rows, slot = [], slots
-    for s, n in zip(live, given, strict=True):
-        if n < s.n_blocks:
-            rows.append((slot - n, s.number, n, s.n_blocks, _stride(s.n_blocks)))
-            slot += s.n_blocks - n
-    out = spark.createDataFrame(rows, "base bigint, number int, given bigint, n_blocks bigint, step bigint")
-    out = out.withColumn("rank", F.explode(F.expr("sequence(given, n_blocks - 1)")))
+            slot = batch.column(0).to_numpy()
+            yield pa.RecordBatch.from_arrays([pa.array(slot), pa.array(points(slot + start, sequence))], ["slot", "point"])
+
+    drawn = spark.range(0, total, 1, max(1, min(10_000, -(-total >> CHUNK_BITS)))).mapInArrow(pointed, "slot bigint, point bigint")
+    scale = 2.0**POINT_BITS / max(total, 1)
+    edges = sources.where("slots > 0").select((F.col("slots_before") * F.lit(scale)).cast("bigint").alias("point"), F.col("number").alias("edge"), (F.col("slots") * F.lit(scale)).alias("width"))
+    # the source whose interval a range of points begins in; a row for each range
+    last = edges.groupBy(ranges.alias("range")).agg(F.max_by(F.struct("edge", "point", "width"), "edge").alias("last"))
+    carried = spark.range(0, 1 << bits).withColumnRenamed("id", "range").join(last, "range", "left")
+    carried = carried.select("range", F.last("last", ignorenulls=True).over(Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)).alias("carried"))
+    both = drawn.select("slot", "point", F.lit(None).cast("struct<edge:bigint,point:bigint,width:double>").alias("interval")).unionByName(
+        edges.select(F.lit(None).cast("bigint").alias("slot"), "point", F.struct("edge", "point", "width").alias("interval"))
+    )
+    over = Window.partitionBy("range").orderBy("point", F.col("slot").asc_nulls_first()).rowsBetween(Window.unboundedPreceding, 0)
+    found = both.withColumn("range", ranges).withColumn("interval", F.last("interval", ignorenulls=True).over(over)).where("slot is not null")
+    found = found.join(F.broadcast(carried), "range").withColumn("of", F.coalesce("interval", "carried"))
+    at = F.least(F.greatest((F.col("point") - F.col("of.point")) / F.col("of.width"), F.lit(0.0)), F.lit(1.0))
+    return found.select("slot", F.col("of.edge").alias("number"), at.alias("at"))
+
+
+def schedule(sources: DataFrame, block: int = BLOCK_WORDS, sequence: str = "golden", start: int = 0) -> DataFrame:
+    """slot, number, rank, lap, block, take: the blocks that the mix serves, in the order of slots, and how many words of each."""
+    total = int(sources.agg(F.sum("slots")).first()[0] or 0)
+    drawn = saved(slots_of(sources, sequence, start).withColumn("chunk", F.shiftright("slot", CHUNK_BITS)))
+    counts = drawn.groupBy("chunk", "number").agg(F.count("*").alias("n"))
+    earlier = Window.partitionBy("number").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
+    counts = saved(counts.withColumn("before", F.coalesce(F.sum("n").over(earlier), F.lit(0))))
+    inside = Window.partitionBy("chunk", "number").orderBy("slot")
+    ranked = drawn.join(counts, ["chunk", "number"]).select("slot", "number", "at", (F.col("before") + F.row_number().over(inside) - 1).alias("rank"))
+    needs = sources.where("slots > 0").select("number", "size", "words", "whole", F.col("lap").alias("in_lap"), "slots", "slots_before", "stride")
+    # blocks that the points have missed
+    short = needs.join(counts.groupBy("number").agg(F.sum("n").alias("given")), "number", "left").withColumn("given", F.coalesce("given", F.lit(0))).where("given < slots")
+    rest = short.withColumn("rank", F.explode(F.expr("sequence(given, slots - 1)"))).select((F.lit(total) + F.col("slots_before") + F.col("rank")).alias("slot"), "number", F.lit(0.0).alias("at"), "rank")
+    rows = ranked.unionByName(rest).join(checked(needs), "number").where("rank < slots").withColumns({"lap": F.expr("rank div in_lap"), "place": F.expr("rank % in_lap")})
+    begin = rows.where("place = 0").select("number", "lap", F.expr("cast(least(floor(at * whole), whole - 1) as bigint)").alias("begin"))  # a row for each lap of a source
+    rows = rows.join(checked(saved(begin)), ["number", "lap"])
     # products of large numbers need decimals
-    return out.select((F.col("base") + F.col("rank")).alias("slot"), "number", "rank", F.expr("cast(cast(rank as decimal(18, 0)) * cast(step as decimal(18, 0)) % n_blocks as bigint)").alias("block"))
+    shuffled = "cast((cast(place as decimal(19, 0)) * cast(stride as decimal(19, 0)) + begin) % whole as bigint)"
+    rows = rows.withColumn("block", F.expr(f"if(place < whole, {shuffled}, whole)"))
+    take = f"least(least({block}, size - block * {block}), words - lap * size - place * {block})"
+    return rows.select("slot", "number", "rank", "lap", "block", F.expr(take).alias("take"))
+
+
+def placed(sized: DataFrame, sources: DataFrame, seed: int = SEED) -> DataFrame:
+    """sized with number (of the source), place (unique in it) and first (word of the source's stream)."""
+    buckets = 1 << max(0, (sized.count() // ROWS_PER_BUCKET).bit_length())
+    numbers = sources.select(F.col("source").alias("named"), "number")
+    docs = sized.join(checked(numbers), F.col("source").eqNullSafe(F.col("named"))).drop("named")
+    docs = docs.withColumn("h", F.xxhash64("doc_id", "size", "key", F.lit(seed))).withColumn("bucket", F.pmod(F.shiftrightunsigned("h", 20), F.lit(buckets)))
+    totals = docs.groupBy("number", "bucket").agg(F.sum("size").alias("words"), F.count("*").alias("rows"))
+    before = Window.partitionBy("number").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    totals = totals.select("number", "bucket", F.coalesce(F.sum("words").over(before), F.lit(0)).alias("w0"), F.coalesce(F.sum("rows").over(before), F.lit(0)).alias("r0"))
+    inside = Window.partitionBy("number", "bucket").orderBy("h", "doc_id", "size", "key")
+    docs = docs.withColumns({"w": F.coalesce(F.sum("size").over(inside.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)), "r": F.row_number().over(inside)})
+    docs = docs.join(totals, ["number", "bucket"])
+    return docs.select("doc_id", "source", "size", "key", "number", (F.col("r0") + F.col("r")).alias("place"), (F.col("w0") + F.col("w")).alias("first"))
 
 
-def mix_documents(docs: DataFrame, block: int = BLOCK_WORDS, seed: int = SEED) -> tuple[DataFrame, DataFrame, list[Share]]:
-    """(documents with their place, pieces of the mix, shares of the sources).
+def mix_documents(docs: DataFrame, block: int = BLOCK_WORDS, seed: int = SEED, sequence: str = "golden", start: int = 0) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(documents with their place, pieces of the mix, sources).
 
-    A piece is a run of words of one document in one slot: slot, number, place, doc_id, from_word, n.
+    A piece is a run of words of one document in one slot: slot, lap, number, place, key, doc_id, from_word, n.
     """
     sized = saved(with_size(docs))
-    listed = shares(sized, block)
-    at = saved(placed(sized, listed, sized.count(), seed))
-    spark = docs.sparkSession
-    ends = spark.createDataFrame([(s.number, s.size, round(s.target)) for s in listed], "number int, length bigint, target bigint")
-    spans = at.where("size > 0").join(F.broadcast(ends), "number")  # as many rows as sources
-    spans = spans.withColumn("lap", F.explode(F.sequence(F.lit(0), F.lit(MAX_EPOCHS - 1)))).withColumn("a", F.col("first") + F.col("lap") * F.col("length"))
-    spans = spans.withColumn("z", F.least(F.col("a") + F.col("size"), "target")).where("a < z")
-    spans = spans.withColumn("block", F.explode(F.expr(f"sequence(floor(a / {block}), floor((z - 1) / {block}))")))
-    spans = spans.withColumns({"from_at": F.greatest("a", F.col("block") * block), "to_at": F.least("z", (F.col("block") + 1) * block)})
-    pieces = schedule(spark, listed).select("slot", "number", "block").join(spans, ["number", "block"])
-    pieces = pieces.select("slot", "number", "place", "doc_id", (F.col("from_at") - F.col("a")).alias("from_word"), (F.col("to_at") - F.col("from_at")).alias("n"))
-    return at, pieces, listed
-
-
-def taken_words(docs: DataFrame) -> DataFrame:
-    """doc_id, source, size, source_size, target, taken for every row of docs."""
-    at, pieces, listed = mix_documents(docs)
-    ends = docs.sparkSession.createDataFrame([(s.number, s.size, s.target) for s in listed], "number int, source_size bigint, target double")
-    taken = pieces.groupBy("number", "place").agg(F.sum("n").alias("taken"))
-    out = at.join(taken, ["number", "place"], "left").join(F.broadcast(ends), "number", "left")
-    return out.select("doc_id", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("bigint").alias("taken"))
+    sources = sources_of(sized, block)
+    at = saved(placed(sized, sources, seed))
+    spans = at.where("size > 0").withColumn("block", F.explode(F.expr(f"sequence(first div {block}, (first + size - 1) div {block})")))
+    served = schedule(sources, block, sequence, start).select("slot", "number", "lap", "block", "take")
+    pieces = spans.join(served, ["number", "block"])
+    pieces = pieces.withColumns({"a": F.greatest("first", F.col("block") * block), "z": F.least(F.col("first") + F.col("size"), F.col("block") * block + F.col("take"))}).where("a < z")
+    return at, pieces.select("slot", "lap", "number", "place", "key", "doc_id", (F.col("a") - F.col("first")).alias("from_word"), (F.col("z") - F.col("a")).alias("n")), sources
+
+
+def taken_words(docs: DataFrame, **options) -> DataFrame:
+    """doc_id, source, size, source_size, target, taken, first_slot (null if nothing is taken), n_slots for every row of docs."""
+    at, pieces, sources = mix_documents(docs, **options)
+    ends = sources.select("number", F.col("size").alias("source_size"), "target")
+    taken = pieces.groupBy("number", "place").agg(F.sum("n").alias("taken"), F.min("slot").alias("first_slot"), F.count("*").alias("n_slots"))
+    out = at.join(taken, ["number", "place"], "left").join(checked(ends), "number", "left")
+    zero = lambda name: F.coalesce(name, F.lit(0)).cast("bigint").alias(name)
+    return out.select("doc_id", "source", "size", "source_size", "target", zero("taken"), "first_slot", zero("n_slots"))
+
+
+def _runs(parts: list[dict]) -> list[tuple[int, int]]:
+    """(first word, word after the last) of what is taken, by lap and then place, with neighbours joined."""
+    out: list[tuple[int, int, int]] = []
+    for p in sorted(parts, key=lambda p: (p["lap"], p["from_word"])):
+        if out and out[-1][0] == p["lap"] and out[-1][2] == p["from_word"]:
+            out[-1] = (p["lap"], out[-1][1], p["from_word"] + p["n"])
+        else:
+            out.append((p["lap"], p["from_word"], p["from_word"] + p["n"]))
+    return [(a, z) for _, a, z in out]
 
 
 def mixed_texts(docs: DataFrame) -> DataFrame:
     """docs as the mix takes them: of each text the words taken, all other columns as they were.
 
-    A document's words are one stretch of its source's stream, so what is taken of it is its beginning:
-    a text taken whole once stays as it is, one taken in part ends after the last word taken, and what
-    is taken beyond a whole text follows on a new line.  Documents of which nothing is taken go, empty
-    ones included.  Rows that repeat an id and size share what is taken of them evenly, rounded up.
-    n_chars, where there is one, follows the text.
+    A text taken whole once stays as it is; else its runs of words that the mix takes, lap by lap, stand on
+    a line each, a run of all words as the whole text.  Documents of which nothing is taken go, empty ones
+    included.  Rows that are alike in all columns each give what their own place gives.  n_chars, where
+    there is one, follows the text.
     """
-    taken = taken_words(docs).where("taken > 0").groupBy("doc_id", "source", "size").agg(F.ceil(F.avg("taken")).alias("mix_taken"))
-    taken = saved(taken.select(*(F.col(c).alias(f"mix_{c}") for c in ("doc_id", "source", "size")), "mix_taken"))
-    counted = docs.withColumn("mix_words", F.size(F.expr(words_column("coalesce(text, '')"))).cast("bigint"))
-    same = docs["doc_id"].eqNullSafe(F.col("mix_doc_id")) & docs["source"].cast("string").eqNullSafe(F.col("mix_source")) & (F.col("mix_words") == F.col("mix_size"))
-    joined = counted.join(checked(taken), same).select(*docs.columns, "mix_taken")
-    text, count = joined.columns.index("text"), joined.columns.index("mix_taken")
+    name, runs = "mix key", "mix runs"
+    _, pieces, _ = mix_documents(docs)
+    # as many runs as the text has blocks in MAX_EPOCHS laps
+    given = saved(pieces.groupBy("number", "place", F.col("key").alias(name)).agg(F.collect_list(F.struct("lap", "from_word", "n")).alias(runs)).select(name, runs))
+    repeated = saved(given.groupBy(name).agg(F.count("*").alias("n")).where("n > 1").select(name))
+    named = docs.withColumn(name, F.xxhash64(*_hashable(docs)))
+    if not at_most(repeated, 0):  # one row stands for those that are alike, and meets what each of them gives
+        named = named.join(checked(repeated), name, "left_anti").unionByName(named.join(checked(repeated), name, "left_semi").dropDuplicates([name]))
+    joined = named.join(given, name).select(*docs.columns, runs)
+    text, count = joined.columns.index("text"), joined.columns.index(runs)
 
     def cut(batches):
         for batch in batches:
             texts: list[str] = []
-            wanted = batch.column(count).to_pylist()
+            wanted = batch.column(count)
             for a, _, w in kernel.steps(batch):
                 raw = w.data.tobytes()
                 for i in range(w.rows):
-                    lo, n, take = int(w.row_words[i]), int(w.row_words[i + 1] - w.row_words[i]), wanted[a + i]
-                    begin, end = int(w.row_bytes[i]), int(w.row_bytes[i + 1])
-                    whole = raw[begin:end]
-                    again = max(0, take - n)
-                    first = whole if take >= n else raw[begin : int(w.ends[lo + take - 1])]
-                    parts = [first, *([whole] if again >= n else [raw[begin : int(w.ends[lo + again - 1])]] if again else [])]
-                    texts.append(b"\n".join(parts).decode())
+                    lo, n = int(w.row_words[i]), int(w.row_words[i + 1] - w.row_words[i])
+                    whole = raw[int(w.row_bytes[i]) : int(w.row_bytes[i + 1])]
+                    texts.append(b"\n".join([whole if (x, z) == (0, n) else raw[int(w.starts[lo + x]) : int(w.ends[lo + z - 1])] for x, z in _runs(wanted[a + i].as_py())]).decode())
             columns = [pa.array(texts, pa.string()) if i == text else batch.column(i) for i in range(batch.num_columns)]
             yield pa.RecordBatch.from_arrays(columns[:count] + columns[count + 1 :], batch.schema.names[:count] + batch.schema.names[count + 1 :])
 
-    out = joined.mapInArrow(cut, joined.drop("mix_taken").schema)
+    out = joined.mapInArrow(cut, joined.drop(runs).schema)
     return out.withColumn("n_chars", F.length("text").cast("bigint")) if "n_chars" in docs.columns else out
 
 
@@ -259,7 +281,5 @@ def op5_mixing(spark, sf_dir: str) -> DataFrame:
     return taken_words(table(spark, sf_dir, "documents")).drop("source")
 
 
-
-
 QUERIES = {"op5_mixing": op5_mixing}
 ORACLES: dict[str, str] = {}
