@@ -215,33 +215,63 @@ def test_quality_scores_words_and_pairs(spark):
     assert score[10] < score[0] - 0.01 and score[11] < score[0] - 0.01
 
 
-def test_fingerprints(docs, corpus):
-    rows = {}
-    for r in fingerprints.against_edits(docs).collect():
-        rows.setdefault(r.doc_id, []).append(r)
-    ids = sorted(rows)
-    texts = {d: t or "" for d, t, _ in corpus}
-    assert sum(map(len, rows.values())) == len(corpus)
-    for d, after in zip(ids, ids[1:] + ids[:1], strict=True):
-        t = texts[d]
-        q = len(t) // 4
-        edited = t[: len(t) - q] + texts[after][:q]
-        for r in rows[d]:
-            assert r.n_chars == len(t) and r.edited_sha256 == hashlib.sha256(edited.encode()).hexdigest()
-            assert 0 <= r.near_edited <= 1 and 0 <= r.near_next <= 1
-    assert rows[1][0].fingerprint == rows[13][0].fingerprint and rows[4][0].fingerprint == ""
-    assert rows[11][0].near_edited > 0.3 > rows[11][0].near_next
-
-
-def test_syncmers_by_hand(spark):
-    """The anchors are the runs whose least inner hash is at an edge, the ANCHORS of least hash among them."""
-    text = text_of(77, 300)
-    w = text.split()
-    inner = [r[0] for r in spark.createDataFrame([(i, w[i], w[i + 1]) for i in range(len(w) - 1)], "i int, a string, b string").orderBy("i").select(F.xxhash64("a", "b")).collect()]
-    last = fingerprints.K - fingerprints.S
-    chosen = {i for i in range(len(inner) - last) if min(inner[i], inner[i + last]) <= min(inner[i + 1 : i + last])}
-    got = spark.createDataFrame([(text,)], "text string").select(F.expr(fingerprints.anchors("text")).alias("a")).first().a
-    assert {x.i for x in got} <= chosen and len(got) == min(len(chosen), fingerprints.ANCHORS)
+def sketches(spark, texts):
+    """Anchors (hash, place) of each text by a plain scan, hashes by Spark's own function."""
+    k, s, rows = fingerprints.K, fingerprints.S, []
+    words = [WORD.findall(t or "") for t in texts]
+    for i, w in enumerate(words):
+        rows += [(i, j, w[j], w[j + 1]) for j in range(len(w) - 1)]
+    got = spark.createDataFrame(rows or [(-1, 0, "", "")], "i int, j int, a string, b string").select("i", "j", F.xxhash64("a", "b").alias("h")).collect()
+    inner = {(r.i, r.j): r.h for r in got}
+    runs = []
+    for i, w in enumerate(words):
+        for j in range(len(w) - k + 1):
+            own = [inner[i, j + x] for x in range(k - s + 1)]
+            if min(own) in (own[0], own[-1]):
+                runs.append((i, j, own))
+    hashed = spark.createDataFrame([(i, j, *own[::s]) for i, j, own in runs] or [(-1, 0, 0, 0, 0, 0)], "i int, j int, a long, b long, c long, d long").select("i", "j", F.xxhash64("a", "b", "c", "d").alias("h")).collect()
+    whole = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(words)], "i int, t string").select("i", F.xxhash64("t").alias("h")).collect()
+    out = [{} for _ in texts]
+    for r in hashed:
+        if r.i >= 0:
+            out[r.i][r.h] = min(r.j, out[r.i].get(r.h, r.j))
+    for r in whole:
+        if texts[r.i] and len(words[r.i]) < k:
+            out[r.i] = {r.h: 0}
+    return [sorted(o.items())[: fingerprints.ANCHORS] for o in out]
+
+
+def likeness_by_hand(a, b):
+    if not a or not b:
+        return float(not a and not b)
+    n = fingerprints.ANCHORS
+    most = min([x[-1][0] for x in (a, b) if len(x) == n], default=2**63 - 1)
+    one, two = ({h: i for h, i in x if h <= most} for x in (a, b))
+    shifts = sorted(one[h] - two[h] for h in one if h in two)
+    return sum(abs(x - shifts[len(shifts) // 2]) <= fingerprints.SLACK for x in shifts) / len(one.keys() | two.keys()) if shifts else 0.0
+
+
+def test_fingerprints(spark, docs, corpus):
+    """Edited texts, sketches and likeness of every row are those of a plain version, whatever the ranges."""
+    texts = {}
+    for d, t, _ in corpus:
+        texts[d] = min(texts.get(d, t or ""), t or "")
+    ids = sorted(d for d in texts if d is not None)
+    after = dict(zip(ids, ids[1:] + ids[:1], strict=True))
+    own = [t or "" for _, t, _ in corpus]
+    follow = [texts[after[d]] if d is not None else None for d, _, _ in corpus]
+    edited = [t[: len(t) - len(t) // 4] + (f or "")[: len(t) // 4] for t, f in zip(own, follow, strict=True)]
+    of_own, of_edited, of_follow = (sketches(spark, x) for x in (own, edited, [f or "" for f in follow]))
+    show = lambda a: ",".join(f"{h & 2**64 - 1:x}:{i}" for h, i in a)
+    wanted = [
+        (d, len(t), hashlib.sha256(e.encode()).hexdigest(), show(a), show(b), likeness_by_hand(a, b), likeness_by_hand(a, c) if f is not None else 0.0)
+        for (d, _, _), t, e, f, a, b, c in zip(corpus, own, edited, follow, of_own, of_edited, of_follow, strict=True)
+    ]
+    assert sorted((tuple(r) for r in fingerprints.against_edits(docs).collect()), key=repr) == sorted(wanted, key=repr)
+    rows = {r.doc_id: r for r in fingerprints.against_edits(docs.where("doc_id = 11 or doc_id = 14")).collect()}
+    assert rows[11].near_edited > 0.3 > rows[11].near_next
+    one = fingerprints.against_edits(docs.where("doc_id = 11")).first()  # its own next document
+    assert one.near_next == 1.0
 
 
 def test_repeats_take_no_anchors(spark):
@@ -256,58 +286,126 @@ def test_repeats_take_no_anchors(spark):
     assert len({x.h for x in got[4]} & {x.h for x in got[5]}) > 0
 
 
-def test_mixing(docs, corpus):
+def mix_by_hand(rows, source_rows, start, block):
+    """Words taken of each source's stream: {(number, lap, word)}, by walking the slots one after the other."""
+    live = [r for r in source_rows if r.slots]
+    total = sum(r.slots for r in live)
+    edges = [int(r.slots_before * 2.0**53 / total) for r in live]
+    ranks, begins, taken = Counter(), {}, set()
+
+    def serve(r, at):
+        rank = ranks[r.number]
+        ranks[r.number] += 1
+        if rank >= r.slots:
+            return
+        lap, place = divmod(rank, r.lap)
+        if place == 0:
+            begins[r.number, lap] = min(int(at * r.whole), r.whole - 1)
+        which = (place * mixing._stride(r.whole) + begins[r.number, lap]) % r.whole if place < r.whole else r.whole
+        before = lap * r.size + place * block
+        for word in range(which * block, min((which + 1) * block, r.size, which * block + r.words - before)):
+            assert (r.number, lap, word) not in taken
+            taken.add((r.number, lap, word))
+
+    for slot in range(total):
+        point = ((slot + start) * mixing._GOLDEN % 2**64) >> 11
+        which = max(i for i, e in enumerate(edges) if e <= point)
+        serve(live[which], (point - edges[which]) / (live[which].slots * 2.0**53 / total))
+    for r in live:
+        while ranks[r.number] < r.slots:
+            serve(r, 0.0)
+    return taken
+
+
+def test_mixing(spark, docs, corpus):
     rows = mixing.taken_words(docs).collect()
     again = mixing.taken_words(docs.repartition(5)).collect()
-    key = lambda r: (r.doc_id, r["size"], r.taken)
-    assert sorted(map(key, rows)) == sorted(map(key, again))
-    sizes = Counter()
-    for _, t, s in corpus:
+    key = lambda r: repr((r.doc_id, r["size"], r.taken, r.first_slot))
+    assert sorted(map(key, rows)) == sorted(map(key, again)) and len(rows) == len(corpus)
+    sizes, size_of = Counter(), Counter()
+    for d, t, s in corpus:
         sizes[s] += len(WORD.findall(t or ""))
+        size_of[d, len(WORD.findall(t or ""))] += 1
+    assert size_of == Counter((r.doc_id, r["size"]) for r in rows)
     taken = Counter()
     for r in rows:
-        assert r["size"] == len(WORD.findall(dict((d, t) for d, t, _ in corpus)[r.doc_id] or "")) and r.taken <= 2 * r["size"]
+        assert r.taken <= 2 * r["size"] and (r.taken > 0) == (r.n_slots > 0) == (r.first_slot is not None)
         taken[r.source] += r.taken
     for r in rows:
         assert r.source_size == sizes[r.source] and abs(taken[r.source] - r.target) <= 1
-    assert sum({r.source: r.target for r in rows}.values()) == pytest.approx(min(1.5 * sum(sizes.values()), 2 * sum(sizes.values())))
-
-
-def test_capped_targets():
-    sizes, weights = [100, 10, 50, 0], [3.0, 1.0, 2.0, 3.0]
-    got = mixing.capped_targets(sizes, weights, 240.0, 2)
-    wanted, open_, left = [0.0] * 4, {0, 1, 2, 3}, 240.0
+    assert sum({r.source: r.target for r in rows}.values()) == pytest.approx(1.5 * sum(sizes.values()))
+
+
+def test_mixing_takes_what_the_slots_say(spark):
+    """Against a walk over the slots; another schedule takes other documents, and targets are met all the same."""
+    rows = [(i, text_of(i, 3 + i % 40), "abc"[i % 3] if i % 11 else None) for i in range(200)] + [(5, text_of(5, 8), "c")] * 3
+    docs, got = make(spark, rows), {}
+    for start, sequence in ((0, "golden"), (1000, "golden"), (0, "van_der_corput")):
+        at, pieces, sources = mixing.mix_documents(docs, block=16, start=start, sequence=sequence)
+        first = {(r.number, r.place): r["first"] for r in at.collect()}
+        words = Counter((r.number, r.lap, first[r.number, r.place] + r.from_word + k) for r in pieces.collect() for k in range(r.n))
+        listed = sorted(sources.collect(), key=lambda r: r.number)
+        assert max(words.values()) == 1
+        for r in listed:
+            assert sum(n for (s, _, _), n in words.items() if s == r.number) == r.words == round(r.target)
+        got[start, sequence] = set(words)
+        if sequence == "golden":
+            assert set(words) == mix_by_hand(rows, listed, start, 16)
+    assert len(set(map(frozenset, got.values()))) == 3
+
+
+def test_targets_are_capped(spark, monkeypatch):
+    sizes, weights = [100, 10, 50, 0, 7, 400, 3], [3.0, 1.0, 2.0, 3.0, 1.0, 2.0, 3.0]
+    wanted, open_, left = [0.0] * 7, set(range(7)), 1.5 * sum(sizes)
     while open_:
         total = sum(weights[i] for i in open_)
         over = {i for i in open_ if left * weights[i] / total > 2 * sizes[i]}
+        for i in over or open_:
+            wanted[i] = 2.0 * sizes[i] if over else left * weights[i] / total
         if not over:
-            for i in open_:
-                wanted[i] = left * weights[i] / total
             break
-        for i in over:
-            wanted[i] = 2.0 * sizes[i]
         left, open_ = left - sum(wanted[i] for i in over), open_ - over
-    assert got == pytest.approx(wanted)
+    rows = spark.createDataFrame(list(enumerate(sizes)), "number bigint, size bigint")
+    for per in (100_000, 2):  # in one range, and in several
+        monkeypatch.setattr(mixing, "ROWS_PER_RANGE", per)
+        assert [r.target for r in mixing.with_targets(rows).orderBy("number").collect()] == pytest.approx(wanted)
+
+
+def listed_sources(spark, blocks):
+    at = [0, *np.cumsum(blocks).tolist()]
+    return spark.createDataFrame([(str(i), i, n * 10, n * 10, n, n, n, at[i], mixing._stride(max(1, n))) for i, n in enumerate(blocks)], "source string, number bigint, size bigint, words bigint, whole bigint, lap bigint, slots bigint, slots_before bigint, stride bigint")
 
 
 def test_schedule_serves_sources_evenly(spark):
-    shares = [mixing.Share("a", 0, 0, 0.0, 500), mixing.Share("b", 1, 0, 0.0, 1500), mixing.Share(None, 2, 0, 0.0, 0)]
-    rows = mixing.schedule(spark, shares).orderBy("slot").collect()
-    assert sorted((r.number, r.block) for r in rows) == [(0, i) for i in range(500)] + [(1, i) for i in range(1500)]
-    at = np.cumsum([r.number == 0 for r in rows])
-    assert np.abs(at - np.arange(1, len(rows) + 1) / 4).max() < 6
+    for sequence in ("golden", "van_der_corput"):
+        rows = mixing.schedule(listed_sources(spark, [500, 1500, 0]), 10, sequence).orderBy("slot").collect()
+        assert sorted((r.number, r.block) for r in rows) == [(0, i) for i in range(500)] + [(1, i) for i in range(1500)]
+        at = np.cumsum([r.number == 0 for r in rows])
+        assert np.abs(at - np.arange(1, len(rows) + 1) / 4).max() < 8
 
 
 def test_schedule_serves_small_sources_in_full(spark):
-    """Every block of every source has one slot, also where the points miss a small source."""
+    """Every block of every source has one slot, also where the points miss a small source or come in many ranges."""
     for blocks in ([2, 185184, 3, 1, 2, 1, 192620, 73101, 5], [112127, 5, 5, 2, 5, 1, 24960], [1, 1, 1]):
-        listed = [mixing.Share(str(i), i, n, float(n), n) for i, n in enumerate(blocks)]
-        plan = mixing.schedule(spark, listed)
-        per = {r.number: (r.rows, r.blocks, r.least, r.most) for r in plan.groupBy("number").agg(F.count("*").alias("rows"), F.count_distinct("block").alias("blocks"), F.min("block").alias("least"), F.max("block").alias("most")).collect()}
-        assert per == {i: (n, n, 0, n - 1) for i, n in enumerate(blocks)}
+        plan = mixing.schedule(listed_sources(spark, blocks), 10)
+        per = {r.number: (r.rows, r.blocks, r.least, r.most, r.words) for r in plan.groupBy("number").agg(F.count("*").alias("rows"), F.count_distinct("block").alias("blocks"), F.min("block").alias("least"), F.max("block").alias("most"), F.sum("take").alias("words")).collect()}
+        assert per == {i: (n, n, 0, n - 1, 10 * n) for i, n in enumerate(blocks)}
         assert plan.select("slot").distinct().count() == sum(blocks)
 
 
+def test_mixed_texts(spark, docs, corpus):
+    taken = Counter((r.doc_id, r.taken) for r in mixing.taken_words(docs).where("taken > 0").collect())
+    out = mixing.mixed_texts(docs)
+    assert out.columns == docs.columns
+    rows = out.collect()
+    assert Counter((r.doc_id, len(WORD.findall(r.text))) for r in rows) == taken
+    texts = {d: Counter(WORD.findall(t or "")) for d, t, _ in corpus if d is not None}
+    for r in rows:
+        assert r.n_chars == len(r.text)
+        if r.doc_id is not None:
+            assert all(n <= 2 * texts[r.doc_id][w] for w, n in Counter(WORD.findall(r.text)).items())
+
+
 def test_personal_data(docs, corpus):
     text = "write a.b@mail.example.com or 10.0.0.255 and 999.1.1.1, card 4111 1111 1111 1111 5500-0000-0000-0004, tel +1 (555) 010-9999 x@y z@@q.w 1.2.3.4.5"
     spans = personal_data.base_spans(text)
@@ -334,7 +432,8 @@ def test_personal_data(docs, corpus):
 
 
 def test_best_spans_is_the_best_segmentation():
-    weights = personal_data.fit_weights(["call +1 (555) 010-9999 now", "card 4111111111111111 ok", "at 10.1.2.3 here", "a.b@c.example.org"] * 3)
+    texts = ["call +1 (555) 010-9999 now", "card 4111111111111111 ok", "at 10.1.2.3 here", "a.b@c.example.org"]
+    weights = personal_data.fit_weights([e for t in texts for e in personal_data.examples(t)])
     island = "4111111111111111 10.1.2.3"
     bounds, cut, _, scores, n = personal_data._scored(island, "", "", weights)
 
@@ -348,6 +447,59 @@ def test_best_spans_is_the_best_segmentation():
     assert sum(scores[at[a, z], kind] for kind, a, z in found) == pytest.approx(best(0))
 
 
+def test_fit_follows_the_likelihood():
+    """The fit's first step is the gradient of the base spans' log likelihood, sums taken over every segmentation."""
+    seen = list(personal_data.examples("call tel +1 (555) 010-9999 at 10.1.2.3 now"))
+    prior = personal_data.prior_weights()
+
+    def likelihood(weights):
+        total = 0.0
+        for island, before, after, gold in seen:
+            bounds, cut, _, scores, n = personal_data._scored(island, before, after, weights)
+
+            def every(i, cut=cut, scores=scores, n=n):
+                if i >= n:
+                    return 0.0
+                return np.logaddexp.reduce([every(i + 1), *(s + every(cut[k][1]) for k in range(len(cut)) if cut[k][0] == i for s in scores[k])])
+
+            at = {(bounds[i], bounds[j]): k for k, (i, j) in enumerate(cut)}
+            total += sum(scores[at[i, j], kind] for kind, i, j in gold) - every(0)
+        return total
+
+    step = (personal_data.fit_weights(seen, rounds=1, rate=1e-3) - prior) * 1000 * len(seen)
+    for kind in range(4):
+        for f in (0, 1, 4, 7, 10, 16):
+            moved = prior.copy()
+            moved[kind, f] += 1e-5
+            assert step[kind, f] == pytest.approx((likelihood(moved) - likelihood(prior)) / 1e-5, abs=2e-3)
+    assert np.abs(step[:, personal_data.FEATURES.index("told_phone")]).max() > 0
+
+
+def test_personal_data_end_to_end(spark):
+    """Fitted on all islands of the documents, the field alone finds nearly all base spans of others, and adds what the patterns miss."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    weights = personal_data.train(docs.where("doc_id % 2 = 0"))
+    assert (weights == personal_data.train(docs.where("doc_id % 2 = 0").repartition(3))).all()
+    base, found, hit = 0, 0, 0
+    for r in docs.where("doc_id % 2 = 1").collect():
+        own, by_field = set(personal_data.base_spans(r.text or "")), set(personal_data.field_spans(r.text or "", weights))
+        base, found, hit = base + len(own), found + len(by_field), hit + len(own & by_field)
+    assert base > 20 and hit / base > 0.9 and hit / found > 0.7
+    missed = {"phone (555) 010-9999 or": "phone", "card no 4111.1111.1111.1111": None, "ids 4111111111111111 5500000000000004 end": "card"}
+    for text, kind in missed.items():
+        added = [personal_data.KINDS[k] for k, _, _ in personal_data.all_spans(text, weights)[1]]
+        assert not personal_data.base_spans(text) and (kind is None or kind in added)
+
+
+def test_personal_data_is_linear():
+    import time
+
+    for text in ("7" * 400_000, "a@b.c +1 234 567 8901 " * 8_000, "x" * 400_000 + "@", "1." * 200_000, "@" * 200_000):
+        began = time.time()
+        base, every = personal_data.all_spans(text, personal_data.prior_weights())
+        assert set(base) <= set(every) and time.time() - began < 20
+
+
 def test_pieces_are_lossless_and_repeatable(docs, corpus):
     rows = pieces.sample_pieces(docs, "source").collect()
     texts = {d: t or "" for d, t, _ in corpus}
@@ -426,45 +578,71 @@ def test_toxicity_learns_stems(spark):
     assert all(0 <= r.score <= 1 and r.predicted == int(r.score >= 0.5) for r in found)
     none = toxicity.score_toxicity(make(spark, rows), spark.createDataFrame([], "doc_id bigint, toxic int")).collect()
     assert all(r.score == 0 for r in none)
+    odd = toxicity.score_toxicity(make(spark, [(None, "grumbloa", "a"), (None, None, "a"), *rows]), spark.createDataFrame([*labels, (None, 1), (3, None), (3, 0)], "doc_id bigint, toxic int"))
+    assert odd.count() == len(rows) + 2 and odd.where("doc_id is null and held_out").count() in (0, 2)
+
+
+def plain_models(train):
+    """p(class, run of six): Kneser-Ney probabilities of a run's last byte after the five before it, from plain dictionaries."""
+    fold = lambda t: b"     " + re.sub(rb"[\x09-\x0D]", b" ", t.encode().lower())
+    six = [Counter(), Counter()]
+    for t, c in train:
+        b = fold(t)
+        six[c].update(b[i - 6 : i] for i in range(6, len(b) + 1))
+    four = [Counter(r[-4:] for r in six[c]) for c in (0, 1)]
+    three = Counter(r[-3:] for r in set(four[0]) | set(four[1]))
+    two = Counter(r[-2:] for r in three)
 
+    def scaled(counts):
+        n = [sum(c.values()) for c in counts]
+        return [{r: k * min(n) / n[c] for r, k in counts[c].items()} for c in (0, 1)]
 
-def test_toxicity_counts_are_exact(spark):
-    """Every byte's ratio is that of a plain Kneser-Ney model with counts of whole runs."""
+    def order(counts, discount):
+        whole, freed = Counter(), Counter()
+        for r, k in counts.items():
+            whole[r[:-1]] += k
+            freed[r[:-1]] += min(k, discount)
+        return lambda r, lower: max(counts.get(r, 0) - discount, 0) / whole[r[:-1]] + freed[r[:-1]] / whole[r[:-1]] * lower if whole[r[:-1]] else lower
+
+    by_two, by_three = order(two, toxicity.BACKOFF), order(three, toxicity.BACKOFF)
+    by_four, by_six = ([order(c, toxicity.DISCOUNT) for c in scaled(x)] for x in (four, six))
+    return fold, lambda c, r: by_six[c](r, by_four[c](r[-4:], by_three(r[-3:], by_two(r[-2:], 1 / 256))))
+
+
+@pytest.fixture(scope="module")
+def toxic_texts():
     rng = np.random.default_rng(9)
     words = text_of(900, 60).split()
-    train = [(" ".join(rng.choice(words, 200)) + (" Grumblo\tx" * 3 if i % 3 == 0 else ""), int(i % 3 == 0)) for i in range(30)]
-    fold = lambda t: re.sub(rb"[\x09-\x0D]", b" ", t.encode().lower())
-    n, six, four = [0, 0], Counter(), Counter()
-    for t, c in train:
-        b = b"     " + fold(t)
-        for i in range(6, len(b) + 1):
-            six[b[i - 6 : i], c] += 1
-            four[b[i - 4 : i], c] += 1
-            n[c] += 1
-    before, after = {}, {}
-    for r, _ in four:
-        before.setdefault(r[1:], set()).add(r[0])
-    seen = Counter()
-    for counts in (six, four):
-        for (r, c), k in counts.items():
-            seen[r[:-1], c] += k
-            after.setdefault(r[:-1], set()).add(r[-1])
-
-    def ratio(run):
-        follow = sum(len(before.get(run[-3:-1] + bytes([x]), ())) for x in range(256)) + 25.6
-        p = [(len(before.get(run[-3:], ())) + 0.1) / follow] * 2
-        for counts, r in ((four, run[-4:]), (six, run)):
-            s = [seen[r[:-1], c] * min(n) / n[c] for c in (0, 1)]
-            left = toxicity.DISCOUNT * len(after.get(r[:-1], ()))
-            w = max(left / (left + min(s) + 1e-9), 0.02) if left else 1.0
-            p = [(1 - w) * max(counts[r, c] * min(n) / n[c] - toxicity.DISCOUNT, 0) / max(s[c], 1) + w * p[c] for c in (0, 1)]
-        return np.log(p[1] / p[0])
-
-    model = toxicity.fit(spark.createDataFrame(train, "text string, toxic int"))
-    text = train[0][0] + " never seen: zq9 " + words[3]
-    b = b"     " + fold(text)
+    return [(" ".join(rng.choice(words, 200)) + (" Grumblo\tx" * 3 if i % 3 == 0 else ""), int(i % 3 == 0)) for i in range(30)]
+
+
+def test_toxicity_is_a_normalised_model(spark, toxic_texts):
+    """Every byte's ratio is that of plain Kneser-Ney models, whose probabilities add up to one after every history."""
+    fold, p = plain_models(toxic_texts)
+    model = toxicity.fit(spark.createDataFrame(toxic_texts, "text string, toxic int"))
+    text = toxic_texts[0][0] + " never seen: zq9 " + toxic_texts[1][0].split()[3]
+    b = fold(text)
+    runs = [b[i - 6 : i] for i in range(6, len(b) + 1)]
     got = model.ratios(toxicity.Runs.of(kernel.Words(np.frombuffer(text.encode(), dtype=np.uint8), np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64), np.zeros(2, dtype=np.int64), np.array([0, len(text)]))))
-    assert got == pytest.approx([ratio(b[i - 6 : i]) for i in range(6, len(b) + 1)], abs=1e-5)
+    assert got == pytest.approx([np.log(p(1, r) / p(0, r)) for r in runs], abs=1e-5)
+    for r in runs[::40] + [b"zzzzzz", b"rumblo"]:
+        for c in (0, 1):
+            assert sum(p(c, r[:-1] + bytes([x])) for x in range(256)) == pytest.approx(1)
+
+
+def test_toxicity_evidence_by_hand(spark, toxic_texts):
+    """The mean log ratio of a text and the largest of its windows; the curve's score of both."""
+    fold, p = plain_models(toxic_texts)
+    model = toxicity.fit(spark.createDataFrame(toxic_texts, "text string, toxic int"))
+    texts = [toxic_texts[0][0][-60:], "grumblo", "ab", "", None, "日本 grumblo"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    got = {r.doc_id: (r.evidence, r.peak) for r in toxicity.with_evidence(docs, model).collect()}
+    for i, t in enumerate(texts):
+        b = fold(t or "")
+        logs = [np.log(p(1, b[k - 6 : k]) / p(0, b[k - 6 : k])) for k in range(6, len(b) + 1)]
+        size = min(len(logs), toxicity.WINDOW)
+        wanted = (np.mean(logs), max(np.mean(logs[k : k + size]) for k in range(len(logs) - size + 1))) if logs else (0.0, 0.0)
+        assert got[i] == pytest.approx(wanted, abs=1e-5)
 
 
 def test_importance_sample(spark, docs, corpus):
