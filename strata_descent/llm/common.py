@@ -6,16 +6,14 @@ import tempfile
 import uuid
 from pathlib import Path
 
-import numpy as np
-import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: A side of at most this many rows of a few numbers (tens of MB) may be broadcast.
 BROADCAST_ROWS = 1_000_000
 BATCH_ROWS = 1000
-#: A set of keys that tells which texts move is 2**MARK_BITS bits (16 MB) at every size.
-MARK_BITS = 27
+#: A set of keys that tells which texts move is 2**MARK_BITS bits, a million words, at every size.
+MARK_BITS = 26
 SPACE = r"[\x20\x09-\x0D]+"
 
 
@@ -88,27 +86,28 @@ def row_key() -> Column:
     return F.xxhash64(F.col("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")))
 
 
-def marks(keys: DataFrame, key: str = "rid"):
-    """A broadcast bitmap of the hashes in keys; its size is fixed, whatever their number, and so is what the driver gets."""
+def marks(keys: DataFrame, key: str = "rid") -> DataFrame:
+    """A bitmap of the hashes in keys, as at most 2**MARK_BITS / 64 rows (word, bits), so it may be broadcast whatever their number."""
     place = F.shiftrightunsigned(key, 64 - MARK_BITS)
-    words = keys.select(place.alias("place")).groupBy(F.shiftright("place", 6).cast("int").alias("at")).agg(F.expr("bit_or(shiftleft(1L, cast(place & 63 as int)))").alias("bits"))
-    got = words.toArrow()
-    out = np.zeros(1 << (MARK_BITS - 6), dtype=np.uint64)
-    out[got["at"].to_numpy()] = got["bits"].to_numpy().view(np.uint64)
-    return keys.sparkSession.sparkContext.broadcast(out)
+    words = keys.select(F.shiftright(place, 6).alias("mark word"), F.expr(f"shiftleft(1L, cast(shiftrightunsigned(`{key}`, {64 - MARK_BITS}) & 63 as int))").alias("bit"))
+    return saved(words.groupBy("mark word").agg(F.bit_or("bit").alias("mark bits")))
 
 
-def is_marked(bits: np.ndarray, key: np.ndarray) -> np.ndarray:
-    """True for every hash that is in the bitmap, and for few others while it is sparse."""
-    place = key.view(np.uint64) >> np.uint64(64 - MARK_BITS)
-    return (bits[place >> np.uint64(6)] >> (place & np.uint64(63)) & np.uint64(1)).astype(bool)
+def where_marked(df: DataFrame, bitmap: DataFrame, key: str = "rid", marked: bool = True) -> DataFrame:
+    """The rows of df whose key is in the bitmap, and few others while it is sparse; or all other rows.
 
+    A filter before an exact join, which keeps most texts that the join would drop from moving.
+    """
+    place = f"shiftrightunsigned(`{key}`, {64 - MARK_BITS})"
+    found = df.withColumn("mark word", F.expr(f"shiftright({place}, 6)")).join(F.broadcast(bitmap), "mark word", "left")
+    hit = F.expr(f"coalesce(shiftrightunsigned(`mark bits`, cast({place} & 63 as int)) & 1 = 1, false)")
+    return found.where(hit if marked else ~hit).select(*(f"`{c}`" for c in df.columns))
 
-def marked(bits, key: str = "rid") -> Column:
-    """is_marked of a column: a filter before an exact join, which keeps most other texts from moving."""
 
-    @F.pandas_udf("boolean")
-    def there(keys: pd.Series) -> pd.Series:
-        return pd.Series(is_marked(bits.value, keys.to_numpy()))
-
-    return there(F.col(key))
+def only(df: DataFrame, ids: DataFrame, key: str = "doc_id", how: str = "left_semi") -> DataFrame:
+    """The rows of df whose key is among ids (distinct); where ids are too many to broadcast, a bitmap keeps most others from moving."""
+    if at_most(ids):
+        return df.join(F.broadcast(ids), key, how)
+    name = "id hash"
+    some = where_marked(df.withColumn(name, F.xxhash64(key)), marks(ids.select(F.xxhash64(key).alias(name)), name), name)
+    return some.drop(name).join(ids, key, how)

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import at_most, checked, documents, marked, marks, row_key, saved, table
+from .common import at_most, checked, documents, marks, row_key, saved, table, where_marked
 from .components import components
 
 N = 5
@@ -267,7 +267,7 @@ def class_links(docs: DataFrame, classes: DataFrame, repeated: bool = True) -> D
 
     into = saved(placed.join(classes.select("key", "rid"), "key").select("key", "rid", "n", "copies", "block").join(sides, "block").drop("block"))
     # only the row that stands for its class sends the set; what the bitmap lets through beyond that, the join drops
-    rows = documents(docs).select(row_key().alias("rid"), "text").where(marked(marks(into))).mapInArrow(sets, "rid bigint, key bigint, shingles array<bigint>")
+    rows = where_marked(documents(docs).select(row_key().alias("rid"), "text"), marks(into)).mapInArrow(sets, "rid bigint, key bigint, shingles array<bigint>")
     rows = (rows.dropDuplicates(["rid", "key"]) if repeated else rows).join(checked(into), ["rid", "key"])
     return rows.select("tile", "side", "key", "n", "copies", "shingles").groupBy("tile").applyInArrow(_tile, "key bigint, root bigint, links bigint")
 
@@ -310,9 +310,9 @@ def keep_one(docs: DataFrame) -> DataFrame:
     name, first = "row key", "row first"  # no operator's and hardly a table's column names
     rows = head.where("n > 0").join(of_class, "key").groupBy(F.col("rid").alias(name)).agg(F.count("*").alias("times"), F.max(F.col("rid") == F.col("first_rid")).alias(first))
     looked = saved(rows.where(f"times > 1 or not `{first}`").select(name, first))
-    named, there = docs.withColumn(name, row_key()), marked(marks(looked, name), name)
-    found = named.where(there).join(looked, name, "left")
-    out = named.where(~there).unionByName(found.where(F.col(first).isNull()).drop(first))
+    named, bitmap = docs.withColumn(name, row_key()), marks(looked, name)
+    found = where_marked(named, bitmap, name).join(looked, name, "left")
+    out = where_marked(named, bitmap, name, marked=False).unionByName(found.where(F.col(first).isNull()).drop(first))
     if not at_most(looked.where(f"`{first}`"), 0):  # rows that repeat id and text
         out = out.unionByName(found.where(F.col(first)).drop(first).dropDuplicates([name]))
     return out.drop(name)

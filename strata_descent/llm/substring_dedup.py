@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import at_most, documents, marked, marks, row_key, saved, table
+from .common import at_most, documents, marks, row_key, saved, table, where_marked
 
 WINDOW = 35
 PREFIX = 6
@@ -146,7 +146,7 @@ def surroundings(rows: DataFrame, chosen: DataFrame) -> DataFrame:
                 ids = batch.column(0).take(pa.array(out[2], pa.int64()))
                 yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.bool_()), ids, pa.array(out[3], pa.int64()), pa.array(out[4], pa.list_(pa.int32())), pa.array(out[5], pa.int32()), pa.array(out[6], pa.binary()).cast(pa.string())], ["anchor", "hot", "rid", "row", "firsts", "windows", "words"])
 
-    some = rows.select("rid", "text").where(marked(marks(chosen)))
+    some = where_marked(rows.select("rid", "text"), marks(chosen))
     joined = some.join(chosen, "rid").select("rid", "text", "picks")
     return joined.mapInArrow(found, "anchor bigint, hot boolean, rid bigint, row bigint, firsts array<int>, windows int, words string")
 
@@ -327,9 +327,9 @@ def with_ranges(docs: DataFrame) -> DataFrame:
     rows = keyed(docs)
     ranges = saved(repeated_ranges(rows))
     by_row = ranges.groupBy("rid").agg(F.collect_list(F.struct("row", "ranges")).alias("found"))
-    there = marked(marks(ranges))
-    moved = rows.where(there).join(by_row, "rid", "left").select("doc_id", "text", "found")
-    return moved.unionByName(rows.where(~there).select("doc_id", "text", F.lit(None).cast(by_row.schema["found"].dataType).alias("found")))
+    bitmap = marks(ranges)
+    moved = where_marked(rows, bitmap).join(by_row, "rid", "left").select("doc_id", "text", "found")
+    return moved.unionByName(where_marked(rows, bitmap, marked=False).select("doc_id", "text", F.lit(None).cast(by_row.schema["found"].dataType).alias("found")))
 
 
 def kept_texts(batch: pa.RecordBatch, text: int, found: int):
