@@ -6,13 +6,15 @@ Forward filtering sums, for each place of a chunk, the weights exp(temperature *
 segmentations up to it; backward sampling then walks from the chunk's end, taking each piece with its
 share of that sum.  Random numbers are a hash of seed, row key and place, so a row gets the same
 segmentation wherever and however often it is computed.  All chunks of a batch walk together.  The
-lattice takes pieces of every length that the vocabulary has.
+lattice takes pieces of every length that the vocabulary has, and chunks of every length: a text without
+spaces is one lattice, whose memory is in proportion to its bytes.
 
 Decoding joins the pieces, a space for each leading mark and a byte for each byte piece: it gives back
 every text exactly, marks that the text itself holds included, as those are encoded as bytes.
 
-Null and empty texts have no pieces.  Rows that repeat a key and text get the same pieces.  Nothing is
-normalised.  The vocabulary file is a parameter.
+Null and empty texts have no pieces.  Rows that repeat a key and text get the same pieces; rows without a
+doc_id share a key.  Columns that are not named are not looked at.  Nothing is normalised.  An empty table
+gives an empty result.  The vocabulary file is a parameter.
 """
 
 from __future__ import annotations
@@ -32,7 +34,6 @@ from .common import documents, table
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
 TEMPERATURE = 0.01
 SEED = 4711
-LONGEST = 512  # bytes of a chunk, so also of a piece in a lattice
 DENSE = 12  # pieces of up to so many bytes have a column of the lattice each; longer ones touch few places and are listed
 TABLE_BITS = 16
 MARK = "▁"
@@ -78,8 +79,8 @@ class Vocabulary:
 
     @cached_property
     def longest(self) -> int:
-        """Bytes of the longest piece that fits into a chunk."""
-        return max((len(p) for p in self.pieces if p is not None and len(p) <= LONGEST), default=0)
+        """Bytes of the longest piece."""
+        return max((len(p) for p in self.pieces if p is not None), default=0)
 
     @cached_property
     def index(self) -> list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray] | None]:
@@ -144,17 +145,6 @@ def _chunks(data: np.ndarray, row_bytes: np.ndarray) -> tuple[np.ndarray, np.nda
     inner = row_bytes[:-1][row_bytes[:-1] < row_bytes[1:]]
     cut[inner] = True
     starts = np.flatnonzero(cut)
-    # a longer chunk is cut again at every LONGEST-th byte, so that no table depends on how a text is spaced
-    ends = np.append(starts[1:], len(data))
-    long = np.flatnonzero(ends - starts > LONGEST)
-    if len(long):
-        more = np.concatenate([np.arange(starts[i] + LONGEST, ends[i], LONGEST) for i in long])
-        while True:  # not inside a character
-            inside = (data[more] & 0xC0) == 0x80
-            if not inside.any():
-                break
-            more[inside] -= 1
-        starts = np.unique(np.concatenate([starts, more]))
     return starts, np.append(starts[1:], len(data))
 
 
@@ -233,7 +223,7 @@ def _lattice(vocabulary: Vocabulary, data: np.ndarray, at: np.ndarray, last: np.
     # forward filtering, one byte of all chunks at a time; total has a 0 in front of each chunk's first byte
     chunks = len(at) - 1
     shifted = np.arange(n) + np.repeat(np.arange(chunks), np.diff(at)) + 1
-    total = np.zeros(n + chunks, dtype=np.float32)
+    total = np.zeros(n + chunks)  # only differences of near ones are used, so a long chunk loses no digits
     shares = np.full((n, DENSE), 2.0, dtype=np.float32)
     order = np.argsort(last, kind="stable")
     bounds = np.searchsorted(last[order], np.arange(int(last.max(initial=-1)) + 2))
@@ -241,13 +231,17 @@ def _lattice(vocabulary: Vocabulary, data: np.ndarray, at: np.ndarray, last: np.
     for place in range(len(bounds) - 1):
         here = order[bounds[place] : bounds[place + 1]]
         sizes = min(place + 1, DENSE)
-        logs = weight[here, :sizes] + total[shifted[here][:, None] - np.arange(1, sizes + 1)]
+        at_end = shifted[here]
+        before_end = total[at_end - 1]
+        logs = weight[here, :sizes]
+        if sizes > 1:
+            logs[:, 1:] += total[at_end[:, None] - np.arange(2, sizes + 1)] - before_end[:, None]
         most = logs.max(axis=1)
         more = long_order[long_bounds[place] : long_bounds[place + 1]]
         if len(more):
             ends = long.end[more]
             rows = np.searchsorted(here, ends)
-            more_logs = long_logs[more] + total[shifted[ends] - long.size[more]]
+            more_logs = long_logs[more] + (total[shifted[ends] - long.size[more]] - before_end[rows]).astype(np.float32)
             np.maximum.at(most, rows, more_logs)
         share = np.exp(logs - most[:, None])
         sums = np.cumsum(share, axis=1)
@@ -259,7 +253,7 @@ def _lattice(vocabulary: Vocabulary, data: np.ndarray, at: np.ndarray, last: np.
             whole = whole.copy()
             np.add.at(whole, rows, more_share)
             long.share[more] = upto / whole[rows]
-        total[shifted[here]] = most + np.log(whole)
+        total[at_end] = before_end + most + np.log(whole)
         shares[here, :sizes] = sums / whole[:, None]
     return shares, ids, long
 
