@@ -1,5 +1,8 @@
 """URL filters: host and path rules first, then pattern rules found through their rarest literal token.
 
+Host and path rules are looked up too: a URL's host and its parents fetch the rules of that very host by an
+equi-join, and the longest one whose path begins the URL's path wins.
+
 A pattern rule lists sets of literal tokens (whole runs of letters and digits), one set for each way in
 which it can match: every URL that it matches holds all tokens of some set.  Each set is indexed by that
 of its tokens which the fewest of the given URLs hold; the tokens of a URL fetch its candidate rules by
@@ -7,14 +10,16 @@ an equi-join and only those run their regular expression.  All of it is DataFram
 once per distinct URL, so a URL that holds a third of all rows costs as one.
 
 Null or unparsable URLs have an empty host and path, match no host rule, and are allowed unless a
-pattern fits.  Repeated rows give repeated results.  An empty table gives an empty result.
+pattern fits.  Repeated rows, with a page_id or without, give repeated results.  Columns other than page_id
+and url are not looked at.  An empty table gives an empty result.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import json
+from dataclasses import astuple, dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import table
@@ -71,23 +76,24 @@ def split_url(url: str = "url") -> tuple[str, str]:
     return host, path
 
 
-def index_rules(urls: DataFrame, rules: tuple[PatternRule, ...]) -> DataFrame:
-    """(rule, pattern, verdict, token): for each set of a rule that one of its tokens that the fewest URLs hold.
+def listed(spark: SparkSession, rows: list[dict], schema: str) -> DataFrame:
+    """A table of a rule list, which is a parameter and not data, so it may be broadcast."""
+    return spark.range(1).select(F.inline(F.from_json(F.lit(json.dumps(rows)), f"array<struct<{schema}>>")))
 
-    The rule list is a parameter, not data, so broadcasting it is bounded.
-    """
-    spark = urls.sparkSession
-    rows = [(i, r.pattern, r.verdict, k, list(tokens)) for i, r in enumerate(rules) for k, tokens in enumerate(r.tokens)]
-    listed = spark.createDataFrame(rows, "rule int, pattern string, verdict string, way int, tokens array<string>")
-    wanted = F.broadcast(listed.select(F.explode("tokens").alias("token")).distinct())
+
+def index_rules(urls: DataFrame, rules: tuple[PatternRule, ...]) -> DataFrame:
+    """(rule, pattern, verdict, token): for each set of a rule that one of its tokens that the fewest URLs hold."""
+    rows = [{"rule": i, "pattern": r.pattern, "verdict": r.verdict, "way": k, "tokens": tokens} for i, r in enumerate(rules) for k, tokens in enumerate(r.tokens)]
+    sets = listed(urls.sparkSession, rows, "rule: int, pattern: string, verdict: string, way: int, tokens: array<string>")
+    wanted = F.broadcast(sets.select(F.explode("tokens").alias("token")).distinct())
     held = urls.select(F.explode("tokens").alias("token")).join(wanted, "token").groupBy("token").agg(F.count("*").alias("n"))
-    each = listed.select("rule", "pattern", "verdict", "way", F.explode("tokens").alias("token")).join(held, "token", "left")
+    each = sets.select("rule", "pattern", "verdict", "way", F.explode("tokens").alias("token")).join(held, "token", "left")
     rarest = each.groupBy("rule", "pattern", "verdict", "way").agg(F.min_by("token", F.struct(F.coalesce("n", F.lit(0)), "token")).alias("token"))
     return rarest.drop("way").distinct()  # sets of a rule may share their rarest token
 
 
 def pattern_verdicts(pages: DataFrame, rules: tuple[PatternRule, ...] = PATTERN_RULES) -> DataFrame:
-    """(url, pattern_verdict, n_candidates) for the distinct URLs that at least one pattern rule fits.
+    """(url, pattern_verdict) for the distinct URLs that at least one pattern rule fits.
 
     The rule with the smallest number in the list decides among several.
     """
@@ -99,17 +105,23 @@ def pattern_verdicts(pages: DataFrame, rules: tuple[PatternRule, ...] = PATTERN_
     return fits.groupBy("url").agg(F.min_by("verdict", "rule").alias("pattern_verdict"))
 
 
+def host_verdicts(pages: DataFrame, rules: tuple[HostRule, ...] = HOST_RULES) -> DataFrame:
+    """(url, rule, ruled) for the distinct URLs that at least one host rule fits; of several the longest decides, then the greatest."""
+    host, path = split_url()
+    urls = pages.where("url is not null").select("url").distinct().select("url", F.expr(host).alias("host"), F.expr(path).alias("path"))
+    most = max((r.host.count(".") for r in rules), default=0) + 1  # parts of a rule's host, so that a host of very many is looked up as often
+    parents = f"transform(array(split(host, '[.]', -1)), p -> transform(sequence(greatest(1, size(p) - {most - 1}), size(p)), i -> array_join(slice(p, i, {most}), '.')))[0]"
+    index = listed(pages.sparkSession, [dict(zip(("verdict", "named", "begin"), astuple(r), strict=True)) for r in rules], "verdict: string, named: string, begin: string")
+    fits = urls.select("url", "path", F.explode(F.expr(parents)).alias("named")).join(F.broadcast(index), "named").where(F.startswith("path", "begin"))
+    longest = F.max(F.struct((F.length("named") + F.length("begin")).alias("n"), "named", "begin", "verdict")).alias("r")
+    return fits.groupBy("url").agg(longest).select("url", F.concat("r.named", "r.begin").alias("rule"), F.col("r.verdict").alias("ruled"))
+
+
 def judge_urls(pages: DataFrame, host_rules: tuple[HostRule, ...] = HOST_RULES, rules: tuple[PatternRule, ...] = PATTERN_RULES) -> DataFrame:
     """page_id, host, path, rule, verdict for every row of pages."""
     host, path = split_url()
-    judged = pages.select("page_id", "url", F.expr(host).alias("host"), F.expr(path).alias("path"))
-    which, verdict = F.lit(None).cast("string"), F.lit(None).cast("string")
-    for r in sorted(host_rules, key=lambda r: (len(r.host) + len(r.path), r.host, r.path)):
-        fits = (F.concat(F.lit("."), F.col("host")).endswith("." + r.host)) & F.col("path").startswith(r.path)
-        which, verdict = F.when(fits, r.host + r.path).otherwise(which), F.when(fits, r.verdict).otherwise(verdict)
-    judged = judged.withColumns({"rule": which, "ruled": verdict})
-    by_pattern = pattern_verdicts(pages, rules)
-    judged = judged.join(by_pattern, "url", "left")
+    found = host_verdicts(pages, host_rules).join(pattern_verdicts(pages, rules), "url", "full")
+    judged = pages.select("page_id", "url", F.expr(host).alias("host"), F.expr(path).alias("path")).join(found, "url", "left")
     return judged.select("page_id", "host", "path", "rule", F.coalesce("ruled", "pattern_verdict", F.lit("allow")).alias("verdict"))
 
 
