@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import checked, documents, saved, table
+from .common import documents, only, saved, table
 
 BUCKETS = 1 << 16
 SEED = 977
@@ -62,7 +62,7 @@ def bag(docs: DataFrame) -> np.ndarray:
 
 
 def log_importance(docs: DataFrame, target: DataFrame) -> np.ndarray:
-    good = bag(documents(docs).join(checked(target), "doc_id", "left_semi"))
+    good = bag(only(documents(docs), target))
     if not good.any():
         return np.zeros(BUCKETS)
     raw = bag(documents(docs))

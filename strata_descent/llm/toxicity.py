@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import checked, documents, saved, table
+from .common import documents, only, saved, table
 
 WINDOW = 8
 #: Taken off every count, at the smaller class's size; what is left to share goes to the lower order.
@@ -300,7 +300,7 @@ def score_toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
     texts = documents(docs)
     labelled = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     labelled = labelled.withColumn("fold", fold()).where("fold != 0")
-    model = fit(texts.join(checked(labelled.where("fold <= 3")), "doc_id"))
+    model = fit(only(texts, labelled.where("fold <= 3"), how="inner"))
     curve = labelled.where("fold = 4").orderBy(F.xxhash64("doc_id"), "doc_id").limit(CURVE_ROWS)
     slopes, offset = [0.0, 0.0], -1e3
     if model is not None:

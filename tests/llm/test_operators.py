@@ -187,7 +187,7 @@ def test_quality_counts(docs, corpus):
         lines = [x for x in (t or "").split("\n") if WORD.search(x)]
         wanted.append((doc, len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in t or ""), len(lines) - len(set(lines)), len(cover), len(w) < 50 or 100 * len(cover) > 50 * len(w)))
     got = quality_rules.base_counts(docs).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed")
-    assert sorted(tuple(r) for r in got.collect()) == sorted(wanted)
+    assert sorted((tuple(r) for r in got.collect()), key=repr) == sorted(wanted, key=repr)
 
 
 def test_quality_verdicts(spark):
@@ -202,6 +202,40 @@ def test_quality_verdicts(spark):
     assert none.where("kept = base_failed").count() == 0
 
 
+def test_quality_ratio_by_hand(spark, docs, corpus):
+    """Buckets, ratios, threshold, scores and verdicts against plain counts; hashes by Spark's own function."""
+    import math
+
+    labels = spark.createDataFrame([(1, 1), (3, 1), (9, 1), (11, 0), (13, 1), (13, 0), (None, 1), (99, 1), (12, None)], "doc_id bigint, quality int")
+    trusted = {1, 3, 9, 13}
+    words = [WORD.findall(t or "") for _, t, _ in corpus]
+    listed = sorted({w for ws in words for w in ws})
+    rows = spark.createDataFrame([(i, w, w[:3], w[-3:]) for i, w in enumerate(listed)], "i int, w string, a string, z string")
+    of = {listed[r.i]: r for r in rows.select("i", F.xxhash64("a").alias("a"), F.expr("xxhash64(z, 1)").alias("z"), F.expr("xxhash64(w, 2)").alias("w")).collect()}
+    pairs = sorted({(a, b) for ws in words for a, b in zip(ws, ws[1:], strict=False)})
+    joint = spark.createDataFrame([(i, of[a].w, of[b].w) for i, (a, b) in enumerate(pairs)], "i int, a long, b long").select("i", F.xxhash64("a", "b").alias("h")).collect()
+    of_pair = {pairs[r.i]: r.h for r in joint}
+    grams = [[of[w][k] % quality_rules.BUCKETS for w in ws for k in ("a", "z", "w")] + [of_pair[p] % quality_rules.BUCKETS for p in zip(ws, ws[1:], strict=False)] for ws in words]
+    raw, good = Counter(), Counter()
+    for (d, _, _), g in zip(corpus, grams, strict=True):
+        raw.update(g)
+        good.update(g if d in trusted else [])
+    scale = sum(good.values()) / sum(raw.values())
+    ratio = [math.log((good[b] + quality_rules.PRIOR) / (raw[b] * scale + quality_rules.PRIOR)) for b in range(quality_rules.BUCKETS)]
+    score = [sum(ratio[b] for b in g) / len(g) if g else 0.0 for g in grams]
+    known = [s for (d, _, _), s, ws in zip(corpus, score, words, strict=True) if d in trusted and len(ws) >= 50]
+    for spread in (10.0, 0.5):
+        ratios, least = quality_rules.fitted(docs, labels, spread)
+        assert ratios == pytest.approx(ratio, abs=1e-8) and least == pytest.approx(np.mean(known) - spread * np.std(known), abs=1e-5)
+        got = sorted(((r.doc_id, r.n_words, round(r.score, 6), r.kept) for r in quality_rules.judge_quality(docs, labels, spread).collect()), key=repr)
+        failed = {(r.doc_id, r.n_words): r.base_failed for r in quality_rules.base_counts(docs).collect()}
+        assert got == sorted(((d, len(ws), round(s, 6), not failed[d, len(ws)] and s >= least) for (d, _, _), s, ws in zip(corpus, score, words, strict=True)), key=repr)
+    kept = quality_rules.keep_quality(docs.withColumn("words", F.lit(1)), labels)
+    assert kept.columns == docs.columns
+    verdicts = quality_rules.judge_quality(docs, labels).where("kept").collect()
+    assert sorted((r.doc_id or -1 for r in kept.collect())) == sorted(r.doc_id or -1 for r in verdicts) and -1 in {r.doc_id or -1 for r in verdicts}
+
+
 def test_quality_scores_words_and_pairs(spark):
     """Words garbled between clean edges, and good words in another order, score lower than the text they come from."""
     words = [f"abc{a}{b}xyz" for a in "defgh" for b in "klmno"]
@@ -503,9 +537,10 @@ def test_personal_data_is_linear():
 def test_pieces_are_lossless_and_repeatable(docs, corpus):
     rows = pieces.sample_pieces(docs, "source").collect()
     texts = {d: t or "" for d, t, _ in corpus}
-    assert all(r.decoded_sha256 == hashlib.sha256(texts[r.doc_id].encode()).hexdigest() for r in rows)
-    again = {r.doc_id: r.pieces for r in pieces.sample_pieces(docs.repartition(5), "source").collect()}
-    assert all(again[r.doc_id] == r.pieces for r in rows)
+    assert all(r.decoded_sha256 == hashlib.sha256(texts[r.doc_id].encode()).hexdigest() for r in rows if r.doc_id is not None)
+    assert Counter(r.decoded_sha256 for r in rows) == Counter(hashlib.sha256((t or "").encode()).hexdigest() for _, t, _ in corpus)
+    again = {(r.doc_id, r.decoded_sha256): r.pieces for r in pieces.sample_pieces(docs.repartition(5), "source").collect()}
+    assert all(again[r.doc_id, r.decoded_sha256] == r.pieces for r in rows)
 
 
 def test_piece_shares_follow_the_lattice():
@@ -521,7 +556,7 @@ def test_piece_shares_follow_the_lattice():
         if at == len(word):
             return [((), 0.0)]
         out = []
-        for z in range(at + 1, min(len(word), at + pieces.LONGEST) + 1):
+        for z in range(at + 1, len(word) + 1):
             if word[at:z] in by_bytes:
                 i = by_bytes[word[at:z]]
                 out += [((i, *rest), s + 0.001 * vocabulary.scores[i]) for rest, s in paths(z)]
@@ -560,6 +595,17 @@ def test_pieces_of_every_length_are_sampled():
         assert [whole.pieces[i] for i in ids] == [p]
 
 
+def test_chunks_of_every_length_are_whole():
+    """No place of a long chunk is a forced cut: its pieces are those of the whole lattice, sampled shares included."""
+    vocabulary = pieces.Vocabulary((b"x", b"x" * 7), np.array([0.0, 90.0]), np.arange(256, dtype=np.int32), 5.0)
+    ids, rows = pieces.encode_rows(vocabulary, np.frombuffer(b"x" * 70_000, dtype=np.uint8), np.array([0, 70_000]), np.zeros(1, dtype=np.uint64))
+    assert rows.tolist() == [0, 10_000] and (ids == 1).all()
+    even = pieces.Vocabulary((b"x", b"xx"), np.array([0.0, 0.0]), np.arange(256, dtype=np.int32), 1.0)
+    ids, _ = pieces.encode_rows(even, np.frombuffer(b"x" * 60_000, dtype=np.uint8), np.array([0, 60_000]), np.zeros(1, dtype=np.uint64))
+    golden = (1 + 5**0.5) / 2  # a step of two has the share golden**-2 of all continuations
+    assert (ids == 1).mean() == pytest.approx(golden**-2, abs=0.01) and (ids + 1).sum() == 60_000
+
+
 def test_toxicity_learns_stems(spark):
     rng = np.random.default_rng(8)
     rows, labels = [], []
@@ -687,6 +733,24 @@ def test_url_index_finds_what_all_patterns_find(spark):
     assert found == dict(fit) and len(fit) > 60
 
 
+def test_url_host_rules_are_looked_up(spark):
+    """The longest rule that fits a host or its parents, against a scan of all rules; hosts of many parts, ties, ports, repeated and null URLs."""
+    rng = np.random.default_rng(6)
+    part = lambda n: ".".join(rng.choice(["a", "b", "net", "com", ""], n))
+    rules = tuple(url_filters.HostRule(("allow", "block")[int(rng.integers(0, 2))], h, p) for h, p in sorted({(part(int(rng.integers(1, 4))), str(rng.choice(["/", "/a/", "/a/b"]))) for _ in range(60)}))
+    urls = [f"http://{part(int(rng.integers(1, 5)))}{rng.choice(['', ':80'])}{rng.choice(['/', '/a/x', '/a/b', '', '?q'])}" for _ in range(300)] + [None, None]
+    pages = spark.createDataFrame([(i if i % 50 else None, u) for i, u in enumerate(urls)], "page_id bigint, url string")
+    wanted = []
+    for r in pages.collect():
+        host = (r.url or "://").split("://")[1].split("/")[0].split("?")[0]
+        path = (r.url or "").split("://")[-1].split("?")[0][len(host) :]
+        fit = [x for x in rules if ("." + host).endswith("." + x.host) and path.startswith(x.path)]
+        best = max(fit, key=lambda x: (len(x.host) + len(x.path), x.host, x.path), default=None)
+        wanted.append((r.page_id, host, path, best and best.host + best.path, best.verdict if best else "allow"))
+    for listed, expected in ((rules, wanted), ((), [(i, h, p, None, "allow") for i, h, p, _, _ in wanted])):
+        assert sorted((tuple(r) for r in url_filters.judge_urls(pages, listed, ()).collect()), key=repr) == sorted(expected, key=repr)
+
+
 def test_empty_tables(spark, empty):
     labels = spark.createDataFrame([], "doc_id bigint, quality int, toxic int")
     frames = [
