@@ -1,9 +1,10 @@
 """The corpus pipeline: quality rules, near duplicates, personal data, mixing, piece encoding.
 
 Each stage takes (spark, docs, sf_dir) and works on all that the stage before kept; run() writes each
-stage's rows to the shared folder and reads them again for the next.  All stages but the last return
-the columns of documents.  Repeated documents in the mix stand once with the share of words that the
-mix takes of them: a document taken twice has its text twice, one taken in part that part of it.
+stage's rows to the shared folder, reads them again for the next, and deletes what the stage has written
+on its way.  All stages but the last return the columns of documents.  Documents in the mix stand once with
+the words that the mix takes of them: one taken twice has its text twice, one taken in part that part of it.
+Rows without a doc_id, rows that repeat one, empty texts and empty tables pass through as the operators say.
 """
 
 from __future__ import annotations
@@ -57,4 +58,5 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.table(spark, sf_dir, "documents")
     for _, stage in STAGES:
         docs = common.saved(stage(spark, docs, sf_dir))
+        common.clear(spark, docs)
     return docs
