@@ -34,14 +34,15 @@ def real(strata: DataFrame, b: int, kind: str = "dispersion") -> DataFrame:
     return shares(strata, kind).withColumn("b_real", F.col("share") * b)
 
 
-def round_greedy(strata: DataFrame, b: int) -> DataFrame:
-    """Whole draws that minimise the sum of n_i^2 v_i / b_i with one draw each at least.
+def round_greedy(strata: DataFrame, b: int, kind: str = "dispersion") -> DataFrame:
+    """Whole draws that minimise the sum of weight^2 / b_i, for dispersion of n_i^2 v_i / b_i, with one draw each at least.
 
     The sum is convex in each b_i, so the b - k largest gains of one more draw are the best ones.  With
     no dispersion at all every gain is 0 and shares of rows decide.
     """
     k = strata.count()
-    mass = F.when(F.sum(F.col("n_i") * F.sqrt("v_i")).over(everything()) > 0, F.col("n_i") * F.col("n_i") * F.col("v_i")).otherwise(F.col("n_i") * F.col("n_i"))
+    squares = {"dispersion": F.col("n_i") * F.col("n_i") * F.col("v_i"), "proportional": F.col("n_i") * F.col("n_i"), "equal": F.lit(1.0)}[kind]
+    mass = F.when(F.sum(weight(kind)).over(everything()) > 0, squares).otherwise(F.col("n_i") * F.col("n_i"))
     weighed = strata.withColumn("mass", mass.cast("double"))
     spare = max(0, b - k)
     steps = strata.sparkSession.range(1, spare + 1).withColumnRenamed("id", "j")
@@ -74,12 +75,22 @@ def round_systematic(strata: DataFrame, b: int, seed: int = 1, kind: str = "disp
 
 
 def allocate(strata: DataFrame, b: int, kind: str = "dispersion", rounding: str = "greedy", seed: int = 1) -> DataFrame:
-    """strata with b_i."""
-    if rounding == "greedy" and kind == "dispersion":
-        return round_greedy(strata, b)
-    if rounding == "systematic":
-        return round_systematic(strata, b, seed, kind)
-    return round_remainder(strata, b, kind)
+    """strata with b_i; without rounding, the real shares of b, which bounds may be evaluated at but no step can draw."""
+    match rounding:
+        case "greedy":
+            return round_greedy(strata, b, kind)
+        case "remainder":
+            return round_remainder(strata, b, kind)
+        case "systematic":
+            return round_systematic(strata, b, seed, kind)
+        case "none":
+            return real(strata, b, kind).withColumnRenamed("b_real", "b_i").drop("share")
+    raise ValueError(f"unknown rounding {rounding!r}")
+
+
+def gradient_dispersion(within: DataFrame, labels: DataFrame) -> DataFrame:
+    """(stratum, y, n_i, v_i) with v_i the mean squared deviation of the gradients, from variance.within and (stratum, y)."""
+    return within.join(labels, "stratum").select("stratum", "y", F.col("cnt").alias("n_i"), (F.col("ss") / F.col("cnt")).alias("v_i"))
 
 
 def surrogate(strata: DataFrame, counts: str = "b_i") -> DataFrame:

@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import loss as L
+from . import measures, variance
 
 
 def constants(ex: DataFrame, lam: float) -> DataFrame:
@@ -57,6 +58,53 @@ def lemma2_sides(gu: np.ndarray, gv: np.ndarray, u: np.ndarray, v: np.ndarray, h
     return float((g * w).sum()), float(h * smoothness / (h + smoothness) * (w * w).sum() + (g * g).sum() / (h + smoothness))
 
 
+def check_definitions(rows: DataFrame, pairs: list[tuple[np.ndarray, np.ndarray]], lam: float) -> DataFrame:
+    """(pair, check, left_side, right_side, holds) of the inequalities that the bounds rest on, at pairs (U, V) of models.
+
+    For the regularised objective P with convexity lam and smoothness of constants(): convexity and strong
+    convexity from below, smoothness from above, the gradient's Lipschitz bound, co-coercivity, and the two
+    together.  One pass over rows per model.
+    """
+    c = constants(rows, lam).first()
+    smooth = c.smoothness
+    seen: dict[bytes, tuple[float, np.ndarray]] = {}
+
+    def at(w: np.ndarray) -> tuple[float, np.ndarray]:
+        if w.tobytes() not in seen:
+            g = np.zeros_like(w)
+            for r in variance.full_gradient(rows, w.tolist(), lam).collect():  # one matrix
+                g[r.cls, r.component] = r.g
+            seen[w.tobytes()] = (measures.objective(rows, w.tolist(), lam).first()[0], g)
+        return seen[w.tobytes()]
+
+    out = []
+    for i, (u, v) in enumerate(pairs):
+        (pu, gu), (pv, gv) = at(u), at(v)
+        gap, turn = u - v, gu - gv
+        inner, distance, bend = float((gv * gap).sum()), float((gap * gap).sum()), float((turn * turn).sum())
+        both = lemma2_sides(gu, gv, u, v, lam, smooth)
+        sides = {
+            "convex": (pu, pv + inner),
+            "strongly_convex": (pu, pv + inner + lam / 2 * distance),
+            "smooth": (pv + inner + smooth / 2 * distance, pu),
+            "lipschitz_gradient": (smooth * np.sqrt(distance), np.sqrt(bend)),
+            "co_coercive": (float((turn * gap).sum()), bend / smooth),
+            "strongly_convex_and_smooth": both,
+        }
+        out += [(i, name, round(float(a), 6), round(float(b), 6), bool(a >= b - 1e-9)) for name, (a, b) in sides.items()]
+    return rows.sparkSession.createDataFrame(out, "pair int, check string, left_side double, right_side double, holds boolean")
+
+
+def on_run(trace: DataFrame, a: float, h: float, optimum_norm2: float) -> DataFrame:
+    """(sampler, mean_gap, bound, holds) of runs from zero with steps 1 / (a + h t); trace: (sampler, t, gap, variance), means over seeds, of every step.
+
+    A step's variance is the one at the model before it.
+    """
+    step = F.lit(a) + F.lit(h) * F.col("t")
+    sums = trace.groupBy("sampler").agg(F.avg("gap").alias("mean_gap"), ((a * optimum_norm2 / 2 + F.sum(F.col("variance") / step)) / F.count("*")).alias("bound"))
+    return sums.withColumn("holds", F.col("mean_gap") <= F.col("bound") + 1e-12)
+
+
 def reference_optimum(spark: SparkSession, ex: DataFrame, lam: float, classes: int, iterations: int = 500) -> np.ndarray:
     """The minimiser of the regularised softmax objective over the training rows, by MLlib."""
     from pyspark.ml.classification import LogisticRegression

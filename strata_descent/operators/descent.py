@@ -1,7 +1,7 @@
 """Gradient descent: full, single-example, uniform minibatch, stratified with fixed and with dynamic strata.
 
-A chunk of steps is drawn and fetched by one join, for all runs together; each run then folds its steps
-in order in one task (a run is a chain of tiny updates), and runs go side by side.  Between chunks the
+A chunk of steps is drawn and fetched by one join for all runs on the same index (all seeds of a sampler);
+each run then folds its steps in order in one task (a run is a chain of tiny updates), and runs go side by side.  Between chunks the
 driver carries one matrix per run.  Full passes send one partial sum per partition.
 """
 
@@ -11,6 +11,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -72,27 +73,42 @@ def run_chains(runs: list[Run], keep_all: bool = False) -> DataFrame:
     steps = max(r.config.steps for r in runs)
     size = max(1, CHUNK_ROWS // max(r.plan.b for r in runs))
     state = {r.name: (r.w, r.config) for r in runs}
+    shared: dict[int, list[Run]] = {}
+    for r in runs:
+        shared.setdefault(id(r.indexed), []).append(r)
     parts = []
     for first in range(1, steps + 1, size):
         last = min(first + size - 1, steps)
         drawn = None
-        for r in runs:
-            if first <= r.config.steps:
-                until = min(last, r.config.steps)
-                got = sampling.fetch(sampling.plan_chunk(spark, r.plan, r.config.seed, first, until, r.name), r.indexed, n_draws=(until - first + 1) * r.plan.b)
+        for group in shared.values():
+            live = [r for r in group if first <= r.config.steps]
+            if live:
+                plans = sampling.plan_runs(spark, [(r.name, r.plan, r.config.seed, min(last, r.config.steps)) for r in live], first, last)
+                got = sampling.fetch(plans, live[0].indexed, n_draws=sum((min(last, r.config.steps) - first + 1) * r.plan.b for r in live))
                 drawn = got if drawn is None else drawn.unionByName(got)
         models = drawn.select("run_id", "t", "stratum", "r", "y", "x", "draw_weight").groupBy("run_id").applyInArrow(_fold(state, keep_all), MODELS)
         # a few matrices per run: the state of the next chunk
         rows = models.collect()
-        parts += rows
         ends: dict[str, int] = {}
         for row in rows:
             ends[row.run_id] = max(ends.get(row.run_id, 0), row.t)
+            config = state[row.run_id][1]
+            if keep_all or row.t % config.eval_every == 0 or row.t == config.steps:
+                parts.append(row)
         for name, t in ends.items():
             state[name] = (np.array([row.w for row in sorted((x for x in rows if x.run_id == name and x.t == t), key=lambda x: x.cls)]), state[name][1])
     return spark.createDataFrame(parts, MODELS)
 
 
+def by_step(drawn: DataFrame, d: int) -> dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(x, y, weight) of each step of some draws that the driver folds itself, in the order of strata and draws."""
+    rows = drawn.select("t", "stratum", "r", "y", "x", "draw_weight").toArrow().sort_by([("t", "ascending"), ("stratum", "ascending"), ("r", "ascending")])
+    t, y, weight = (rows[c].to_numpy() for c in ("t", "y", "draw_weight"))
+    x = rows["x"].combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
+    edges = np.append(np.flatnonzero(np.diff(t, prepend=t[:1] - 1)), len(t))
+    return {int(t[a]): (x[a:z], y[a:z], weight[a:z]) for a, z in zip(edges[:-1], edges[1:], strict=True)}
+
+
 def indexed_uniform(ex: DataFrame) -> DataFrame:
     return index.dense_position(cluster.train_rows(ex).withColumn("stratum", F.lit(0)))
 
@@ -118,8 +134,8 @@ def full_gradient_descent(ex: DataFrame, w: np.ndarray, config: DescentConfig, a
     return out
 
 
-def gradient_strata(assigned: DataFrame, w: np.ndarray, iters: int = 3, eps: float = 1e-9, loss: str = "softmax") -> DataFrame:
-    """Strata moved by the dispersion rule on the gradients at w, inside each class.
+def gradient_strata(assigned: DataFrame, w: np.ndarray, iters: int = 3, eps: float = 1e-9, loss: str = "softmax", save=None) -> DataFrame:
+    """Strata moved by the dispersion rule on the gradients at w, inside each class; save cuts the lineage of each round.
 
     |r x^T - G|^2 = |r|^2 |x|^2 - 2 r^T G x + |G|^2, so no gradient is ever written out.
     """
@@ -149,7 +165,8 @@ def gradient_strata(assigned: DataFrame, w: np.ndarray, iters: int = 3, eps: flo
                 cost[y[:, None] != classes[None, :]] = np.inf
                 yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(ids[cost.argmin(axis=1)].astype(np.int32))], ["row_id", "y", "x", "stratum"])
 
-        assigned = assigned.select("row_id", "y", "x", F.col("stratum").cast("int").alias("stratum")).select("row_id", "y", "x", "stratum").mapInArrow(move, schema)
+        assigned = assigned.select("row_id", "y", "x", F.col("stratum").cast("int").alias("stratum")).mapInArrow(move, schema)
+        assigned = save(assigned) if save else assigned
     return assigned
 
 
@@ -159,25 +176,21 @@ def dynamic(ex: DataFrame, d: int, classes: int, config: DescentConfig, strata:
     w, out, step, kernel = np.zeros((classes, d)), [], schedule_of(config), L.get(config.loss)
     for first in range(1, config.steps + 1, dynamic_config.refresh_every):
         if dynamic_config.refresh == "both":
-            assigned = save(gradient_strata(assigned, w, loss=config.loss))
+            assigned = gradient_strata(assigned, w, dynamic_config.iters, loss=config.loss, save=save)
         ss = variance.within(variance.gradient_sums(assigned, w.tolist(), config.loss))
-        labels = assigned.groupBy("stratum").agg(F.min("y").alias("y"))
-        frame = ss.join(labels, "stratum").select("stratum", "y", F.col("cnt").alias("n_i"), (F.col("ss") / F.col("cnt")).alias("v_i"))
+        frame = allocate.gradient_dispersion(ss, assigned.groupBy("stratum").agg(F.min("y").alias("y")))
         plan = StratumPlan.from_frame(allocate.round_greedy(save(frame), config.b), config.b, classes, first)
         indexed = save(index.dense_position(assigned))
         last = min(first + dynamic_config.refresh_every - 1, config.steps)
         drawn = sampling.fetch(sampling.plan_chunk(ex.sparkSession, plan, config.seed, first, last), indexed, n_draws=(last - first + 1) * config.b)
-        rows = sorted(drawn.select("t", "stratum", "r", "y", "x", "draw_weight").collect(), key=lambda r: (r.t, r.stratum, r.r))  # one refresh interval's draws
-        for t in range(first, last + 1):
-            mine = [r for r in rows if r.t == t]
-            x, y, weight = np.array([r.x for r in mine]), np.array([r.y for r in mine]), np.array([r.draw_weight for r in mine])
+        for t, (x, y, weight) in by_step(drawn, d).items():  # one refresh interval's draws
             g = (kernel.residual(x @ w.T, y) * weight[:, None]).T @ x + config.lam * w
             w = w - step.at(t) * g
             out.append(w)
     return out
 
 
-def evaluate(models: DataFrame, ex: DataFrame, lam: float, assigned: dict[str, tuple[DataFrame, StratumPlan]] | None = None) -> DataFrame:
+def evaluate(models: DataFrame, ex: DataFrame, lam: float, loss: str = "softmax") -> DataFrame:
     """(run_id, t, objective, test_error) of every model, in one pass over ex for all of them together."""
     rows = models.collect()  # checkpoints of some runs: c matrices
     keys = sorted({(r.run_id, r.t) for r in rows})
@@ -186,19 +199,19 @@ def evaluate(models: DataFrame, ex: DataFrame, lam: float, assigned: dict[str, t
     tensor = np.zeros((len(keys), m, len(rows[0].w)))
     for r in rows:
         tensor[at[r.run_id, r.t], r.cls] = r.w
-    kernel, d = L.get("softmax"), tensor.shape[2]
+    kernel, d = L.get(loss), tensor.shape[2]
 
     def scored(batches):
         total = np.zeros((len(keys), 4))
         for batch in batches:
             y, x = variance.arrays(batch, d)
-            train = np.array(batch.column(batch.schema.get_field_index("split")).to_pylist()) == "train"
-            s = np.einsum("nd,cmd->cnm", x, tensor)
+            train = pc.equal(batch.column(batch.schema.get_field_index("split")), "train").to_numpy(zero_copy_only=False)
+            total[:, 0] += train.sum()
+            total[:, 2] += (~train).sum()
             for c in range(len(keys)):
-                total[c, 0] += train.sum()
-                total[c, 1] += kernel.value(s[c][train], y[train]).sum()
-                total[c, 2] += (~train).sum()
-                total[c, 3] += (s[c][~train].argmax(axis=1) != y[~train]).sum()
+                s = x @ tensor[c].T
+                total[c, 1] += kernel.value(s[train], y[train]).sum()
+                total[c, 3] += (s[~train].argmax(axis=1) != y[~train]).sum()
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(keys), dtype=np.int32)), *(pa.array(total[:, j]) for j in range(4))], ["model", "n", "loss", "n_test", "wrong"])
 
     sums = ex.select("y", "x", "split").mapInArrow(scored, "model int, n double, loss double, n_test double, wrong double")
@@ -207,7 +220,7 @@ def evaluate(models: DataFrame, ex: DataFrame, lam: float, assigned: dict[str, t
     return sums.join(F.broadcast(names), "model").select("run_id", "t", (F.try_divide("loss", "n") + F.col("ridge")).alias("objective"), F.try_divide("wrong", "n_test").alias("test_error"), "w_norm")
 
 
-def variances(models: DataFrame, assigned: DataFrame, plan: StratumPlan) -> DataFrame:
+def variances(models: DataFrame, assigned: DataFrame, plan: StratumPlan, loss: str = "softmax") -> DataFrame:
     """(run_id, t, est_variance): exact variance at every model of one sampler's plan, in one pass for all of them."""
     rows = models.collect()
     keys = sorted({(r.run_id, r.t) for r in rows})
@@ -216,23 +229,25 @@ def variances(models: DataFrame, assigned: DataFrame, plan: StratumPlan) -> Data
     at = {k: i for i, k in enumerate(keys)}
     for r in rows:
         tensor[at[r.run_id, r.t], r.cls] = r.w
-    kernel = L.get("softmax")
+    kernel = L.get(loss)
 
     def partial(batches):
         state: dict[tuple[int, int], list] = {}
         for batch in batches:
             y, x = variance.arrays(batch, d)
             stratum = batch.column(batch.schema.get_field_index("stratum")).to_numpy(zero_copy_only=False)
+            order = np.argsort(stratum, kind="stable")  # a stratum's rows stand together, so each is a slice
+            y, x, stratum = y[order], x[order], stratum[order]
             x2 = (x * x).sum(axis=1)
+            edges = np.append(np.flatnonzero(np.diff(stratum, prepend=stratum[:1] - 1)), len(stratum))
             for c in range(len(keys)):
                 r = kernel.residual(x @ tensor[c].T, y)
                 squares = (r * r).sum(axis=1) * x2
-                for s in np.unique(stratum):
-                    k = stratum == s
-                    have = state.setdefault((c, int(s)), [0, 0.0, np.zeros((m, d))])
-                    have[0] += int(k.sum())
-                    have[1] += float(squares[k].sum())
-                    have[2] += r[k].T @ x[k]
+                for a, z in zip(edges[:-1], edges[1:], strict=True):
+                    have = state.setdefault((c, int(stratum[a])), [0, 0.0, np.zeros((m, d))])
+                    have[0] += int(z - a)
+                    have[1] += float(squares[a:z].sum())
+                    have[2] += r[a:z].T @ x[a:z]
         items = sorted(state.items())
         yield pa.RecordBatch.from_arrays(
             [pa.array([k[0] for k, _ in items], pa.int32()), pa.array([k[1] for k, _ in items], pa.int32()), pa.array([v[0] for _, v in items], pa.int64()), pa.array([v[1] for _, v in items], pa.float64()), pa.array([v[2].ravel().tolist() for _, v in items], pa.list_(pa.float64()))],

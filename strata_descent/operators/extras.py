@@ -12,8 +12,11 @@ from ..plans.plan import DescentConfig, StratumPlan
 from . import cluster, index, sampling, variance
 
 
-def _kernel(rows, w: np.ndarray, config: DescentConfig) -> np.ndarray:
-    x, y, weight = np.array([r.x for r in rows]), np.array([r.y for r in rows]), np.array([r.draw_weight for r in rows])
+Step = tuple[np.ndarray, np.ndarray, np.ndarray]  # x, y and weight of a step's draws
+
+
+def _kernel(rows: Step, w: np.ndarray, config: DescentConfig) -> np.ndarray:
+    x, y, weight = rows
     return (L.get(config.loss).residual(x @ w.T, y) * weight[:, None]).T @ x + config.lam * w
 
 
@@ -26,7 +29,7 @@ def gradient_matrix(ex: DataFrame, w: np.ndarray, lam: float, loss: str = "softm
 
 def snapshot(ex: DataFrame, indexed: DataFrame, plan: StratumPlan, config: DescentConfig, epochs: int, classes: int, d: int) -> list[np.ndarray]:
     """Iterates of snapshot-corrected descent: each outer epoch takes one full gradient, each step a minibatch at both points."""
-    from .descent import schedule_of
+    from .descent import by_step, schedule_of
 
     w, out, step = np.zeros((classes, d)), [], schedule_of(config)
     rows = cluster.train_rows(ex)
@@ -35,9 +38,7 @@ def snapshot(ex: DataFrame, indexed: DataFrame, plan: StratumPlan, config: Desce
         full = gradient_matrix(rows, anchor, config.lam, config.loss)
         first = epoch * config.steps + 1
         drawn = sampling.fetch(sampling.plan_chunk(ex.sparkSession, plan, config.seed, first, first + config.steps - 1), indexed, n_draws=config.steps * config.b)
-        got = sorted(drawn.select("t", "stratum", "r", "y", "x", "draw_weight").collect(), key=lambda r: (r.t, r.stratum, r.r))  # one epoch's draws
-        for t in range(first, first + config.steps):
-            mine = [r for r in got if r.t == t]
+        for t, mine in by_step(drawn, d).items():  # one epoch's draws
             w = w - step.at(t) * (_kernel(mine, w, config) - _kernel(mine, anchor, config) + full)
             out.append(w)
     return out
@@ -53,42 +54,47 @@ def moments(ex: DataFrame, d: int, classes: int) -> tuple[np.ndarray, np.ndarray
     return np.array([[r[f"f{c}_{j}"] for j in range(d)] for c in range(classes)]), gram
 
 
-def moment_control(rows, w: np.ndarray, config: DescentConfig, first: np.ndarray, gram: np.ndarray, mean_x: np.ndarray) -> np.ndarray:
+def moment_control(rows: Step, w: np.ndarray, config: DescentConfig, first: np.ndarray, gram: np.ndarray, mean_x: np.ndarray) -> np.ndarray:
     """A minibatch gradient less the linearised model's minibatch gradient plus its exact mean.
 
     At zero scores the softmax is 1/m + (s - mean of s)/m to first order, so its gradient is linear in
     x x^T and x, whose means are known.
     """
     m = len(w)
-    x, weight = np.array([r.x for r in rows]), np.array([r.draw_weight for r in rows])
-    y = np.array([r.y for r in rows])
+    x, y, weight = rows
     centred = (w - w.mean(axis=0)) / m
     linear = (1 / m + x @ centred.T - np.eye(m)[y]) * weight[:, None]
     expected = np.outer(np.full(m, 1 / m), mean_x) + centred @ gram - first
     return _kernel(rows, w, config) - linear.T @ x + expected
 
 
-def importance_index(ex: DataFrame, buckets: int = index.BUCKETS) -> DataFrame:
-    """Training rows with p = |x| / sum of |x| and the interval [lo, hi) of the cumulative sum; a row without length keeps a little."""
-    rows = cluster.train_rows(ex).withColumn("size", F.round(F.sqrt(L.norm2(F.col("x"))) + 1e-6, 9))
+def importance_index(assigned: DataFrame, buckets: int | None = None) -> DataFrame:
+    """Rows (row_id, y, x, stratum) with p = |x| over its stratum's sum and the interval [lo, hi) of the stratum's cumulative sum.
+
+    A row without length keeps a little.  One stratum for all rows gives plain importance draws.
+    """
+    buckets = buckets or index.buckets_for(assigned.count())
+    rows = assigned.withColumn("size", F.round(F.sqrt(L.norm2(F.col("x"))) + 1e-6, 9))
     rows = rows.withColumn("bucket", (hash52("bucket", F.col("row_id")) % buckets).cast("int"))
-    sums = rows.groupBy("bucket").agg(F.sum("size").alias("mass"))
-    over = Window.partitionBy(F.lit(1)).orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)  # a row per bucket
-    sums = sums.select("bucket", F.coalesce(F.sum("mass").over(over), F.lit(0.0)).alias("before"), F.sum("mass").over(Window.partitionBy(F.lit(1))).alias("total"))
-    inside = Window.partitionBy("bucket").orderBy("row_id").rowsBetween(Window.unboundedPreceding, 0)
-    placed = rows.withColumn("upto", F.sum("size").over(inside)).join(F.broadcast(sums), "bucket")
-    return placed.select("row_id", "y", "x", (F.col("size") / F.col("total")).alias("p"), "bucket", ((F.col("before") + F.col("upto") - F.col("size")) / F.col("total")).alias("lo"), ((F.col("before") + F.col("upto")) / F.col("total")).alias("hi"))
+    sums = rows.groupBy("stratum", "bucket").agg(F.sum("size").alias("mass"), F.count("*").alias("rows_"))
+    own = Window.partitionBy("stratum")  # a row per bucket
+    over = own.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    sums = sums.select("stratum", "bucket", F.coalesce(F.sum("mass").over(over), F.lit(0.0)).alias("before"), F.sum("mass").over(own).alias("total"), F.sum("rows_").over(own).alias("n_i"))
+    inside = Window.partitionBy("stratum", "bucket").orderBy("row_id").rowsBetween(Window.unboundedPreceding, 0)
+    placed = rows.withColumn("upto", F.sum("size").over(inside)).join(F.broadcast(sums), ["stratum", "bucket"])  # strata times buckets
+    lo, hi = (F.col("before") + F.col("upto") - F.col("size")) / F.col("total"), (F.col("before") + F.col("upto")) / F.col("total")
+    return placed.select("row_id", "y", "x", "stratum", "n_i", (F.col("size") / F.col("total")).alias("p"), "bucket", lo.alias("lo"), hi.alias("hi"))
 
 
-def importance_draws(indexed: DataFrame, seed: int, steps: int, b: int) -> DataFrame:
-    """(t, r, row_id, y, x, draw_weight): rows drawn with chance p and weighed by 1 / (n p b), by a range lookup.
+def importance_draws(indexed: DataFrame, plan: StratumPlan, seed: int, steps: int) -> DataFrame:
+    """(t, stratum, r, row_id, y, x, draw_weight): b_i rows of each stratum drawn with chance p, weighed by 1 / (n p b_i), by a range lookup.
 
-    A draw first finds its bucket, of which there are few, so the inequality join runs inside a bucket.
+    A draw first finds its bucket, of which a stratum has few, so the inequality join runs inside a bucket.
     """
     spark = indexed.sparkSession
-    n = indexed.count()
-    bounds = indexed.groupBy("bucket").agg(F.min("lo").alias("b_lo"), F.max("hi").alias("b_hi"))
-    draws = spark.range(1, steps + 1).select(F.col("id").cast("int").alias("t"), F.explode(F.sequence(F.lit(1), F.lit(b))).alias("r")).withColumn("u", unit(seed, F.col("t"), "importance", F.col("r")))
-    draws = draws.join(F.broadcast(bounds), (F.col("u") >= F.col("b_lo")) & (F.col("u") < F.col("b_hi")))
-    hit = F.broadcast(draws).join(indexed, "bucket").where("u >= lo and u < hi")
-    return hit.select("t", "r", "row_id", "y", "x", (1.0 / (F.lit(n) * F.col("p") * b)).alias("draw_weight"))
+    bounds = indexed.groupBy("stratum", "bucket").agg(F.min("lo").alias("b_lo"), F.max("hi").alias("b_hi"))
+    draws = spark.range(1, steps + 1).select(F.col("id").cast("int").alias("t")).crossJoin(plan.frame(spark).select("stratum", "b_i")).withColumn("r", F.explode(F.sequence(F.lit(1), "b_i")))
+    draws = draws.withColumn("u", unit(seed, F.col("t"), "importance", F.col("stratum"), F.col("r")))
+    draws = draws.join(F.broadcast(bounds), "stratum").where("u >= b_lo and u < b_hi").drop("b_lo", "b_hi")
+    hit = F.broadcast(draws).join(indexed, ["stratum", "bucket"]).where("u >= lo and u < hi")
+    return hit.select("t", "stratum", "r", "row_id", "y", "x", (1.0 / (F.lit(plan.n) * F.col("p") * F.col("b_i"))).alias("draw_weight"))

@@ -2,20 +2,27 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.rng import hash52
 
-BUCKETS = 64
+#: Least buckets of a stratum's rows, and the rows beyond which there are more.
+BUCKETS, ROWS_PER_BUCKET = 64, 500_000
+BLOCK_ROWS = 1 << 20
 
 
-def dense_position(assigned: DataFrame, buckets: int = BUCKETS) -> DataFrame:
+def buckets_for(n: int) -> int:
+    return max(BUCKETS, 1 << max(0, -(-n // ROWS_PER_BUCKET) - 1).bit_length())
+
+
+def dense_position(assigned: DataFrame, buckets: int | None = None) -> DataFrame:
     """assigned with bucket and pos, 0 to n_i - 1 in each stratum.
 
     Rows are ranked inside hash buckets only; a bucket's first position is the sum of the buckets
-    before it, so no task sees a whole stratum.
+    before it, so no task sees a whole stratum.  The number of buckets follows the rows.
     """
+    buckets = buckets or buckets_for(assigned.count())
     marked = assigned.withColumn("bucket", (hash52("bucket", F.col("row_id")) % buckets).cast("int"))
     counts = marked.groupBy("stratum", "bucket").agg(F.count("*").alias("rows_"))
     before = Window.partitionBy("stratum").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
@@ -26,5 +33,10 @@ def dense_position(assigned: DataFrame, buckets: int = BUCKETS) -> DataFrame:
 
 
 def write(indexed: DataFrame, path: str) -> None:
-    """Files by stratum, sorted by pos, so that fetches skip row groups by their bounds."""
-    indexed.repartition("stratum", "bucket").sortWithinPartitions("pos").write.mode("overwrite").partitionBy("stratum").parquet(path)
+    """Folders by stratum and block of positions: draws, which carry their block, read the folders that they hit (dynamic partition pruning)."""
+    blocks = indexed.withColumn("block", F.floor(F.col("pos") / BLOCK_ROWS).cast("bigint"))
+    blocks.repartition("stratum", "block").sortWithinPartitions("stratum", "block", "pos").write.mode("overwrite").partitionBy("stratum", "block").parquet(path)
+
+
+def read(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.parquet(path)

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+import time
+
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import loss as L
@@ -63,3 +65,38 @@ def rate_slope(trace: DataFrame, gap: str = "gap") -> DataFrame:
     """One row: slope of log gap against log t."""
     ok = trace.where(F.col(gap) > 0)
     return ok.agg(F.regr_slope(F.log(gap), F.log("t")).alias("slope"))
+
+
+def ratio(trace: DataFrame, value: str, of: str, to: str, by: list[str]) -> DataFrame:
+    """Mean of a value under one sampler over that under another, by the given columns."""
+    mean = lambda name: F.avg(F.when(F.col("sampler") == name, F.col(value)))
+    return trace.groupBy(*by).agg(F.try_divide(mean(of), mean(to)).alias("ratio"))
+
+
+class Cost:
+    """What the jobs inside a with block took, from Spark's own status store: seconds, jobs, stages run, bytes read and shuffled."""
+
+    SCHEMA = "seconds double, stages bigint, tasks bigint, input_bytes bigint, shuffle_bytes bigint, spilled_bytes bigint"
+
+    def __init__(self, spark: SparkSession):
+        self.spark = spark
+        self.seconds, self.values = 0.0, (0, 0, 0, 0, 0)
+
+    def _stages(self) -> dict[tuple[int, int], tuple[int, ...]]:
+        context = self.spark.sparkContext
+        context._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+        lists = context._jvm.java.util.ArrayList
+        found = context._jsc.sc().statusStore().stageList(lists(), False, False, context._gateway.new_array(context._jvm.double, 0), lists())
+        return {(s.stageId(), s.attemptId()): (s.numCompleteTasks(), s.inputBytes(), s.shuffleWriteBytes(), s.diskBytesSpilled()) for s in (found.apply(i) for i in range(found.size()))}
+
+    def __enter__(self) -> Cost:
+        self.before, self.began = self._stages(), time.time()
+        return self
+
+    def __exit__(self, *_) -> None:
+        self.seconds = time.time() - self.began
+        new = [v for k, v in self._stages().items() if k not in self.before and v[0]]
+        self.values = (len(new), *(sum(v[i] for v in new) for i in range(4)))
+
+    def row(self) -> tuple:
+        return (float(self.seconds), *map(int, self.values))

@@ -8,18 +8,14 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import loss as L
+from ..functions.rng import hash52
 
 Weights = L.Weights
-
-
-def arrays(batch: pa.RecordBatch, d: int) -> tuple[np.ndarray, np.ndarray]:
-    """(y, X) of a batch with columns y and x."""
-    x = batch.column(batch.schema.get_field_index("x"))
-    return batch.column(batch.schema.get_field_index("y")).to_numpy(zero_copy_only=False), x.flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
+arrays = L.arrays
 
 
 def gradient_sums(assigned: DataFrame, w: Weights, loss: str = "softmax") -> DataFrame:
@@ -51,6 +47,37 @@ def gradient_sums(assigned: DataFrame, w: Weights, loss: str = "softmax") -> Dat
     return parts.groupBy("stratum", "cell").agg(F.sum("cnt").alias("cnt"), F.sum("squares").alias("squares"), F.sum("g").alias("g"))
 
 
+def centred_within(assigned: DataFrame, w: Weights, loss: str = "softmax") -> DataFrame:
+    """within() in two passes: deviations from the means are summed themselves, so nothing cancels where strata are tight.
+
+    |r x^T - G|^2 = |r|^2 |x|^2 - 2 r^T G x + |G|^2 is taken row by row, on x and r moved by nothing else.
+    """
+    means = gradient_sums(assigned, w, loss).select("stratum", "cell", (F.col("g") / F.col("cnt")).alias("g"))
+    matrix, kernel = np.array(w, dtype=float), L.get(loss)
+    m, d = matrix.shape
+    by: dict[int, np.ndarray] = {}
+    for row in means.collect():  # strata times one matrix
+        by.setdefault(row.stratum, np.zeros(m * d))[row.cell] = row.g
+
+    def partial(batches):
+        state: dict[int, list] = {}
+        for batch in batches:
+            y, x = arrays(batch, d)
+            stratum = batch.column(batch.schema.get_field_index("stratum")).to_numpy(zero_copy_only=False)
+            r = kernel.residual(x @ matrix.T, y)
+            for s in np.unique(stratum):
+                at = stratum == s
+                have = state.setdefault(int(s), [0, 0.0])
+                for a in range(0, int(at.sum()), 4096):  # a bounded number of gradients at a time
+                    gap = np.einsum("nm,nd->nmd", r[at][a : a + 4096], x[at][a : a + 4096]).reshape(-1, m * d) - by[int(s)]
+                    have[1] += float((gap * gap).sum())
+                have[0] += int(at.sum())
+        yield pa.RecordBatch.from_arrays([pa.array(list(state), pa.int32()), pa.array([v[0] for v in state.values()], pa.int64()), pa.array([v[1] for v in state.values()], pa.float64())], ["stratum", "cnt", "ss"])
+
+    parts = assigned.select(F.col("stratum").cast("int").alias("stratum"), "y", "x").mapInArrow(partial, "stratum int, cnt bigint, ss double")
+    return parts.groupBy("stratum").agg(F.sum("cnt").alias("cnt"), F.sum("ss").alias("ss"))
+
+
 def within(sums: DataFrame) -> DataFrame:
     """(stratum, cnt, ss): sum of squared deviations of the gradients from their stratum's mean."""
     return sums.groupBy("stratum").agg(F.first("cnt").alias("cnt"), F.greatest(F.first("squares") - F.sum(F.col("g") * F.col("g")) / F.first("cnt"), F.lit(0.0)).alias("ss"))
@@ -85,11 +112,19 @@ def at_centroid(assigned: DataFrame, w: Weights, strata: DataFrame) -> DataFrame
     return joined.agg((F.sum(F.col("n_i") / F.col("b_i") * gap) / (n * n)).alias("bound"))
 
 
-def lipschitz_x(ex: DataFrame, w: Weights, limit: int = 50) -> DataFrame:
-    """One row: the largest ratio of gradient to feature distance among same-class pairs of the first rows by id."""
-    rows = ex.orderBy("row_id").limit(limit).select("row_id", "y", "x", L.softmax_residual(L.logits(F.col("x"), w), F.col("y")).alias("r"))
-    other = rows.select(*(F.col(c).alias(f"{c}2") for c in rows.columns))
-    pairs = rows.join(other, (F.col("y") == F.col("y2")) & (F.col("row_id") < F.col("row_id2")))
+def lipschitz_x(ex: DataFrame, w: Weights, pairs: int = 4, seed: int = 1) -> DataFrame:
+    """One row: the largest ratio of gradient to feature distance among sampled same-class pairs, a lower bound of the constant.
+
+    All pairs would be quadratic.  Each row of ex is compared with the next pairs rows of its class and
+    bucket in a random order, so the sample has a share of every row's pairs and grows with the table.
+    """
+    rows = ex.select("row_id", "y", "x", L.softmax_residual(L.logits(F.col("x"), w), F.col("y")).alias("r"))
+    buckets = 1 << (ex.count() // 100_000).bit_length()
+    rows = rows.withColumns({"bucket": hash52("bucket", F.col("row_id")) % buckets, "place": hash52("pair", seed, F.col("row_id"))})
+    order = Window.partitionBy("y", "bucket").orderBy("place", "row_id")
+    ahead = {f"ahead{k}": F.when(F.lead("x", k).over(order).isNotNull(), F.struct(F.lead("x", k).over(order).alias("x2"), F.lead("r", k).over(order).alias("r2"))) for k in range(1, pairs + 1)}
+    rows = rows.withColumns(ahead).select("x", "r", F.explode(F.array_compact(F.array(*ahead))).alias("other"))
+    pairs = rows.select("x", "r", "other.x2", "other.r2")
     top = L.norm2(F.col("r")) * L.norm2(F.col("x")) + L.norm2(F.col("r2")) * L.norm2(F.col("x2")) - 2 * L.dot(F.col("r"), F.col("r2")) * L.dot(F.col("x"), F.col("x2"))
     bottom = L.norm2(F.zip_with("x", "x2", lambda a, b: a - b))
     return pairs.where(bottom > 1e-12).agg(F.max(F.sqrt(F.greatest(top, F.lit(0.0)) / bottom)).alias("lipschitz"))
@@ -106,13 +141,12 @@ def full_gradient(ex: DataFrame, w: Weights, lam: float = 0.0, loss: str = "soft
 
 def draw_gradient(fetched: DataFrame, w: Weights, lam: float, keys: list[str]) -> DataFrame:
     """(keys, cls, component, g): the weighted sum over a step's draws, plus the ridge term."""
-    m, d = len(w), len(w[0])
     r = L.softmax_residual(L.logits(F.col("x"), w), F.col("y"))
-    rows = fetched.select(*keys, "draw_weight", "x", r.alias("r"))
-    cells = [F.sum(F.col("draw_weight") * F.col("r")[c] * F.col("x")[j]).alias(f"g{c}_{j}") for c in range(m) for j in range(d)]
-    wide = rows.groupBy(*keys).agg(*cells) if keys else rows.agg(*cells)
-    each = F.explode(F.array(*(F.struct(F.lit(c).alias("cls"), F.lit(j).alias("component"), (F.col(f"g{c}_{j}") + lam * float(w[c][j])).alias("g")) for c in range(m) for j in range(d))))
-    return wide.select(*keys, each.alias("e")).select(*keys, "e.*")
+    # a row per cell of a draw's gradient, added up before they move: no plan is as wide as the model
+    scaled = F.transform(r, lambda v: F.transform("x", lambda u: F.col("draw_weight") * v * u))
+    rows = fetched.select(*keys, F.posexplode(scaled).alias("cls", "row")).select(*keys, "cls", F.posexplode("row").alias("component", "g"))
+    ridge = lam * F.get(F.get(L.literal(w), F.col("cls")), F.col("component"))
+    return rows.groupBy(*keys, "cls", "component").agg(F.sum("g").alias("g")).select(*keys, "cls", "component", (F.col("g") + ridge).alias("g"))
 
 
 def resampled(fetched: DataFrame, full: DataFrame, w: Weights) -> DataFrame:

@@ -27,11 +27,12 @@ class StrataConfig:
     builder: str = "dispersion"  # by_class, kmeans, dispersion, frozen, random, quantile
     k: int = 0  # 0: one stratum per class
     k_split: str = "equal"  # equal, by_rows, by_rows_times_sigma
+    init: str = "quantile"  # quantile, random, plusplus: centres of the first round
     iters: int = 10
-    tol: float = 0.0
+    tol: float = 0.0  # rounds end when the bound falls by no more than this share
     eps: float = 1e-6
     restarts: int = 1
-    fit_fraction: float = 1.0
+    fit_fraction: float = 1.0  # of the rows, by hash, for the rounds; all rows are assigned at the end
     seed: int = 1
 
 
@@ -46,6 +47,7 @@ class AllocationConfig:
 class DynamicConfig:
     refresh_every: int = 1
     refresh: str = "both"  # both, counts
+    iters: int = 3  # rounds of the gradient strata at each refresh
 
 
 @dataclass(frozen=True)

@@ -37,8 +37,12 @@ def r6(c: F.Column | str) -> F.Column:
 
 
 def shared_path(spark: SparkSession, name: str) -> str:
-    """A new path in the shared folder; a local one only where spark.checkpoint.dir is unset."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or Path(tempfile.mkdtemp(prefix="descent-")).as_uri()
+    """A new path in the shared folder; only a session on one machine may do without, as in tests."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        root = Path(tempfile.mkdtemp(prefix="descent-")).as_uri()
     return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
@@ -190,7 +194,26 @@ add(
     lambda s, d: cluster.stats(cluster.assign(start_f7(s, d), cluster.stats(start_f7(s, d), 6)), 6).select("stratum", "y", "n_i", r6("v_i").alias("v_i"), r6(F.col("mean")[1]).alias("mean_second")),
     _rounds_sql("euclid", 1).replace(" select row_id, y, stratum from a1", f", {O.stats('a1', 6, 's1')} select stratum, y, n_i, {O.r6('v_i')} as v_i, {O.r6('mean[2]')} as mean_second from s1"),
 )
-add("strata_validity", lambda s, d: cluster.validate(start_f7(s, d)), f"{_F7} select stratum, count(*) as n_rows, count(distinct y) as n_classes from a0 group by stratum having count(distinct y) <> 1 or stratum is null")
+
+
+def _broken(s: SparkSession, d: str) -> DataFrame:
+    """Strata with rows lost, repeated, unplaced and put to another class: what validity has to find."""
+    good = start_f7(s, d)
+    stratum = F.when(F.col("row_id") % 29 == 0, F.lit(None)).when(F.col("row_id") % 37 == 0, 0).otherwise(F.col("stratum")).cast("int")
+    broken = good.where("row_id % 50 != 0").unionByName(good.where("row_id % 41 = 0")).withColumn("stratum", stratum)
+    return cluster.validate(broken, cluster.train_rows(view(s, d, "f7")), cluster.stats(good, 6)).withColumn("stratum", F.coalesce("stratum", F.lit(-1)))
+
+
+add("strata_validity", lambda s, d: cluster.validate(start_f7(s, d), cluster.train_rows(view(s, d, "f7")), cluster.stats(start_f7(s, d), 6)).agg(F.count("*").alias("violations")), "select 0::bigint as violations")
+add("strata_violations", _broken, f"""{_F7}, b as (select row_id, y, case when row_id % 29 = 0 then null when row_id % 37 = 0 then 0 else stratum end as stratum
+      from (select * from a0 where row_id % 50 <> 0 union all select * from a0 where row_id % 41 = 0)),
+    seen as (select stratum, count(*) as n_rows, count(distinct y) as n_classes from b group by stratum), counts as (select stratum, count(*) as n_i from a0 group by stratum),
+    found as (select 'mixed' as "check", stratum::int as stratum, n_classes as n from seen where stratum is not null and n_classes > 1
+      union all select 'unplaced', null, n_rows from seen where stratum is null
+      union all select 'repeated', null, count(*) from (select row_id from b group by row_id having count(*) > 1)
+      union all select 'missing', null, count(*) from train where row_id not in (select row_id from b)
+      union all select 'miscounted', stratum, coalesce(n_rows, 0) from (select * from seen where stratum is not null) full join counts using (stratum) where n_rows is distinct from n_i)
+    select "check", coalesce(stratum, -1)::int as stratum, n from found where n > 0""")
 add(
     "dispersion_objective",
     lambda s, d: cluster.dispersion_objective(cluster.stats(start_f7(s, d), 6)).select(r6("objective").alias("objective")),
@@ -204,7 +227,11 @@ add(
     select y, place::int as place, row_id, {O.r6('dist')} as dist from (select *, row_number() over (partition by y order by dist desc, row_id) as place from f) where place <= 3""",
 )
 add("random_strata", lambda s, d: cluster.random_strata(cluster.train_rows(view(s, d, "f8")), 2).groupBy("stratum").agg(F.count("*").alias("n_rows")), f"with {O.view('f8')}, {O.train()} select (y * 2 + {O.hashed(chr(39) + 'strata' + chr(39), '1', 'row_id')} % 2)::int as stratum, count(*) as n_rows from train group by 1")
-add("build_dispersion_f8", lambda s, d: cluster.stats(cluster.build(view(s, d, "f8"), 3, StrataConfig("dispersion", 10, iters=4, restarts=2), saver(s)), 3).select("stratum", "y", "n_i", r6("v_i").alias("v_i")))
+_BUILT = f"""with {O.view('f8')}, {O.train()}, {O.built(2, 'dispersion', 4, 3, 0, 'one', 'b')}, {O.built(2, 'dispersion', 4, 3, 1, 'two', 'c')},
+    falls as (select (select sum(n_i * sqrt(v_i)) from cs) < (select sum(n_i * sqrt(v_i)) from bs) - 1e-12 as second), assigned as (select * from one where not (select second from falls) union all select * from two where (select second from falls)), {O.stats('assigned', 3)}"""
+add("build_dispersion_f8", lambda s, d: cluster.stats(cluster.build(view(s, d, "f8"), 3, StrataConfig("dispersion", 10, iters=4, restarts=2), saver(s)), 3).select("stratum", "y", "n_i", r6("v_i").alias("v_i")), f"{_BUILT} select stratum, y, n_i, {O.r6('v_i')} as v_i from strata")
+for _init in ("random", "plusplus"):
+    add(f"build_kmeans_{_init}", lambda s, d, init=_init: cluster.stats(cluster.build(view(s, d, "f8"), 3, StrataConfig("kmeans", 10, init=init, iters=3, fit_fraction=0.5, tol=1e-3), saver(s)), 3).select("stratum", "y", "n_i", r6("v_i").alias("v_i")))
 
 # ---- allocation -----------------------------------------------------------------------------------
 
@@ -299,7 +326,16 @@ add(
 add("anti_never_drawn", lambda s, d: sampling.never_drawn(f4_indexed(s, d), sampling.plan_chunk(s, f4_plan(s, d), 1, 1, 50)).select("row_id", "stratum"), f"{_F4S}, {O.draws('counted', 1, 1, 50)} select row_id, stratum from indexed i where not exists (select 1 from draws d where d.stratum = i.stratum and d.pos = i.pos)")
 add("semi_ever_drawn", lambda s, d: sampling.ever_drawn(f4_indexed(s, d), sampling.plan_chunk(s, f4_plan(s, d), 1, 1, 50)).groupBy("stratum").agg(F.count("*").alias("rows")), f"{_F4S}, {O.draws('counted', 1, 1, 50)} select stratum, count(*) as rows from indexed i where exists (select 1 from draws d where d.stratum = i.stratum and d.pos = i.pos) group by stratum")
 add("without_replacement", lambda s, d: sampling.without_replacement(f4_indexed(s, d), f4_plan(s, d), 3, 1).select("stratum", "r", "row_id"), f"{_F4S} select stratum, r::int as r, row_id from (select i.*, b_i, row_number() over (partition by i.stratum order by {O.hashed('3', '1', 'i.stratum', 'row_id')}, row_id) as r from indexed i join counted c on c.stratum = i.stratum) where r <= b_i")
-add("bernoulli_sample", lambda s, d: sampling.bernoulli(cluster.by_class(cluster.train_rows(view(s, d, "f4"))), {c: 0.5 for c in range(10)}).groupBy("stratum").agg(F.count("*").alias("rows")))
+add("bernoulli_sample", lambda s, d: sampling.bernoulli(cluster.by_class(cluster.train_rows(view(s, d, "f4"))), {c: 0.5 for c in range(10)}).select("row_id", "stratum"), f"{_F4} select row_id, stratum from assigned where {O.hashed(chr(39) + 'bernoulli' + chr(39), '1', 'row_id')} < 2251799813685248")
+add(
+    "scan_draws",
+    lambda s, d: sampling.by_scan(cluster.by_class(cluster.train_rows(view(s, d, "f4"))), f4_plan(s, d), 3, 1, 5).select("t", "stratum", "row_id", "k", r6("draw_weight").alias("draw_weight")),
+    f"""{_F4S}, chances as (select stratum, n_i, list_transform(range(0, 32), lambda k: list_sum(list_transform(range(0, k + 1), lambda j: exp(-rate + j * ln(rate) - lgamma(j + 1))))) as chances from (select *, b_i * 5 / n_i::double as rate from counted)),
+    hit as (select a.row_id, stratum, n_i, len(list_filter(chances, lambda c: c <= {O.hashed("'poisson'", '3', '1', 'a.row_id')} / 4503599627370496.0::double)) as times from assigned a join chances using (stratum)),
+    each_draw as (select row_id, stratum, n_i, unnest(range(1, times + 1)) as k from hit where times > 0),
+    placed as (select *, (1 + {O.hashed("'step'", '3', '1', 'row_id', 'k')} % 5)::int as t from each_draw)
+    select t, stratum, row_id, k::int as k, {O.r6('n_i / ((select count(*) from train)::double * count(*) over (partition by t, stratum))')} as draw_weight from placed""",
+)
 add("leakage_check", lambda s, d: view(s, d, "f4").where("split = 'train'").select("row_id").intersect(view(s, d, "f4").where("split = 'test'").select("row_id")), f"with {O.view('f4')} select row_id from ex where split = 'train' intersect select row_id from ex where split = 'test'")
 add("except_test_rows", lambda s, d: view(s, d, "f8").select("y", "split").exceptAll(view(s, d, "f8").where("split = 'test'").select("y", "split")).groupBy("y", "split").agg(F.count("*").alias("n_rows")), f"with {O.view('f8')} select y, split, count(*) as n_rows from ex where split <> 'test' group by y, split")
 
@@ -384,10 +420,15 @@ add(
     select {O.r6('''sum(n_i::double / b_i * (list_inner_product(a.r, a.r) * list_inner_product(a.x, a.x) + list_inner_product(c.r, c.r) * list_inner_product(c.x, c.x)
       - 2 * list_inner_product(a.r, c.r) * list_inner_product(a.x, c.x))) / (count(*)::double * count(*))''')} as bound from res a join cen c using (stratum)""",
 )
-add("lipschitz_features", lambda s, d: variance.lipschitz_x(view(s, d, "f4"), fixed_w(10, 64)).select(r6("lipschitz").alias("lipschitz")), f"""with {O.view('f4')}, few as (select * from ex order by row_id limit 50), {O.residuals('few', O.literal(fixed_w(10, 64)), 10)}
-    select {O.r6('''max(sqrt(greatest(list_inner_product(a.r, a.r) * list_inner_product(a.x, a.x) + list_inner_product(b.r, b.r) * list_inner_product(b.x, b.x) - 2 * list_inner_product(a.r, b.r) * list_inner_product(a.x, b.x), 0)
-      / list_inner_product(list_transform(a.x, lambda v, i: v - b.x[i]), list_transform(a.x, lambda v, i: v - b.x[i]))))''')} as lipschitz
-    from res a join res b on a.y = b.y and a.row_id < b.row_id where list_inner_product(list_transform(a.x, lambda v, i: v - b.x[i]), list_transform(a.x, lambda v, i: v - b.x[i])) > 1e-12""")
+_LEADS = " union all ".join(f"select y, x, r, lead(x, {k}) over w as x2, lead(r, {k}) over w as r2 from placed window w as (partition by y order by place, row_id)" for k in range(1, 5))
+add("lipschitz_features", lambda s, d: variance.lipschitz_x(view(s, d, "f4"), fixed_w(10, 64)).select(r6("lipschitz").alias("lipschitz")), f"""with {O.view('f4')}, {O.residuals('ex', O.literal(fixed_w(10, 64)), 10)}, placed as (select *, {O.hashed("'pair'", '1', 'row_id')} as place from res), pairs as ({_LEADS}),
+    gaps as (select *, list_inner_product(list_transform(x, lambda v, i: v - x2[i]), list_transform(x, lambda v, i: v - x2[i])) as bottom from pairs where x2 is not null)
+    select {O.r6("""max(sqrt(greatest(list_inner_product(r, r) * list_inner_product(x, x) + list_inner_product(r2, r2) * list_inner_product(x2, x2) - 2 * list_inner_product(r, r2) * list_inner_product(x, x2), 0) / bottom))""")} as lipschitz from gaps where bottom > 1e-12""")
+add(
+    "variance_two_passes",
+    lambda s, d: variance.centred_within(f4_assigned(s, d)[0], fixed_w(10, 64)).select("stratum", "cnt", r6("ss").alias("ss")),
+    f"{_within_sql(_F4S, 'assigned', O.literal(fixed_w(10, 64)), 10, 64)} select stratum, cnt, {O.r6('ss')} as ss from ss",
+)
 _REPLAYS = 40
 
 
@@ -510,8 +551,44 @@ for _k, (_f, _agg, _src) in _AVERAGES.items():
 _RHO = [(3 + 1) / (t + 3) for t in range(1, 6)]
 _POLY = [r * float(np.prod([1 - q for q in _RHO[i + 1 :]])) for i, r in enumerate(_RHO)]
 add("polynomial_average", lambda s, d: averaging.polynomial(_long(chain(s, d, "stratified")), 3).select("cls", "component", r6("w").alias("w")), f"{_IT} select cls, component, {O.r6('sum(w * case t ' + ' '.join(f'when {t} then {v!r}::double' for t, v in enumerate(_POLY, 1)) + ' end)')} as w from it group by cls, component")
-add("dynamic_2_steps", lambda s, d: _out(_weights(s, descent.dynamic(view(s, d, "f7"), 6, 2, DescentConfig(0.1, 8, 2, "constant", 0.5), StrataConfig("kmeans", 4, iters=2), DynamicConfig(1, "both"), saver(s)))))
-add("dynamic_counts_only", lambda s, d: _out(_weights(s, descent.dynamic(view(s, d, "f7"), 6, 2, DescentConfig(0.1, 8, 4, "constant", 0.5), StrataConfig("kmeans", 4, iters=2), DynamicConfig(2, "counts"), saver(s)))))
+_F7D = f"with {O.view('f7')}, {O.train()}, {O.built(2, 'euclid', 2, 6, name='k0')}, w0 as (select {O.literal(zeros(2, 6))} as w)"
+
+
+def _dynamic_sql(refresh: str, every: int, steps: int, b: int = 8) -> str:
+    """Strata and counts of each refresh, then its steps."""
+    text, strata = _F7D, "k0"
+    for first in range(1, steps + 1, every):
+        w = f"(select w from w{first - 1})"
+        if refresh == "both":
+            text += f", {O.moved(strata, w, 2, 6, f'k{first}')}"
+            strata = f"k{first}"
+        last = min(first + every - 1, steps)
+        text += f", {O.gradient_counts(strata, w, 2, 6, b, f'c{first}')}, {O.positions(strata, f'i{first}')}, {O.draws(f'c{first}', 1, first, last, f'd{first}')}"
+        for t in range(first, last + 1):
+            text += f", f{t} as (select d.draw_weight, i.y, i.x from d{first} d join i{first} i using (stratum, pos) where t = {t}), {_update(t, f'f{t}', 2, 6, 'draw_weight', 0.1, 0.5)}"
+    return f"{text} select t, cls, component, {O.r6('w')} as w from ({_iterates_sql(steps, 2, 6)})"
+
+
+def _dynamic(refresh: str, every: int, steps: int):
+    config = DescentConfig(0.1, 8, steps, "constant", 0.5)
+    return lambda s, d: _out(_weights(s, descent.dynamic(view(s, d, "f7"), 6, 2, config, StrataConfig("kmeans", 4, iters=2), DynamicConfig(every, refresh, iters=1), saver(s))))
+
+
+add("dynamic_2_steps", _dynamic("both", 1, 2), _dynamic_sql("both", 1, 2))
+add("dynamic_counts_only", _dynamic("counts", 2, 4), _dynamic_sql("counts", 2, 4))
+
+
+def _inverse(s: SparkSession, d: str) -> DataFrame:
+    """The published step 1 / (lam t) over k-means strata."""
+    assigned, _, plan = descent.prepare(view(s, d, "f7"), 6, 2, 8, StrataConfig("kmeans", 4, iters=2), AllocationConfig(), saver(s))
+    run = descent.Run("run", saver(s)(index.dense_position(assigned)), plan, DescentConfig(0.1, 8, 5, "inverse", eval_every=1), np.zeros((2, 6)))
+    return _out(_long(descent.run_chains([run], keep_all=True)))
+
+
+_INVERSE = f"{_F7D}, {O.stats('k0', 6)}, {O.greedy('strata', 8)}, {O.positions('k0')}, {O.draws('counted', 1, 1, 5)}, fetched as materialized (select d.t, d.draw_weight, i.y, i.x from draws d join indexed i using (stratum, pos))"
+for _t in range(1, 6):
+    _INVERSE += f", f{_t} as (select draw_weight, y, x from fetched where t = {_t}), {_update(_t, f'f{_t}', 2, 6, 'draw_weight', 0.1, 1 / (0.1 * _t))}"
+add("sgd_inverse_kmeans_5_steps", _inverse, f"{_INVERSE} select t, cls, component, {O.r6('w')} as w from ({_iterates_sql(5, 2, 6)})")
 
 
 def _snapshot(s: SparkSession, d: str) -> DataFrame:
@@ -520,17 +597,49 @@ def _snapshot(s: SparkSession, d: str) -> DataFrame:
     return _out(_weights(s, extras.snapshot(ex, index.dense_position(assigned), plan, DescentConfig(0.1, 8, 2, "constant", 0.5), 2, 2, 6)))
 
 
-add("snapshot_step", _snapshot)
+_F7C = f"with {O.view('f7')}, {O.train()}, assigned as (select *, y as stratum from train), {O.stats('assigned', 6)}, {O.greedy('strata', 8)}"
+
 
+def _snapshot_sql() -> str:
+    """Two outer epochs of two steps: each adds the mean gradient at the anchor to the difference of the minibatch's."""
+    text = f"{_F7C}, {O.positions('assigned')}, {O.draws('counted', 1, 1, 4)}, fetched as materialized (select d.t, d.draw_weight, i.y, i.x from draws d join indexed i using (stratum, pos)), w0 as (select {O.literal(zeros(2, 6))} as w)"
+    for t in range(1, 5):
+        anchor = (t - 1) // 2 * 2
+        if t % 2:
+            text += f", {O.residuals('train', f'(select w from w{anchor})', 2, f'full{t}')}, fg{anchor} as ({O.cells(f'full{t}', 2, 6, '1.0::double / (select count(*) from train)')})"
+        w = f"(select w from w{t - 1})"
+        text += f""", f{t} as (select draw_weight, y, x from fetched where t = {t}), {O.residuals(f'f{t}', w, 2, f'now{t}')}, {O.residuals(f'f{t}', f'(select w from w{anchor})', 2, f'then{t}')},
+          gn{t} as ({O.cells(f'now{t}', 2, 6, 'draw_weight')}), gt{t} as ({O.cells(f'then{t}', 2, 6, 'draw_weight')}),
+          w{t} as (select list(row order by cls) as w from (select cls, list(v order by component) as row from (select cls, component,
+            {w}[cls + 1][component + 1] - 0.5::double * (a.g - b.g + c.g + 0.1::double * {w}[cls + 1][component + 1]) as v from gn{t} a join gt{t} b using (cls, component) join fg{anchor} c using (cls, component)) group by cls))"""
+    return f"{text} select t, cls, component, {O.r6('w')} as w from ({_iterates_sql(4, 2, 6)})"
 
-def _importance(s: SparkSession, d: str) -> DataFrame:
-    indexed = saver(s)(extras.importance_index(view(s, d, "f7")))
-    drawn = extras.importance_draws(indexed, 1, 3, 8)
-    return drawn.select("t", "r", "row_id", r6("draw_weight").alias("draw_weight"))
 
+add("snapshot_step", _snapshot, _snapshot_sql())
 
-add("importance_step", _importance)
-add("range_lookup", lambda s, d: saver(s)(extras.importance_index(view(s, d, "f7"))).select("row_id", r6("p").alias("p")), f"with {O.view('f7')}, {O.train()}, s as (select row_id, round(sqrt(list_inner_product(x, x)) + 1e-6, 9) as size from train) select row_id, {O.r6('size / sum(size) over ()')} as p from s")
+
+def _importance(s: SparkSession, d: str, by_class: bool) -> DataFrame:
+    rows = cluster.train_rows(view(s, d, "f7"))
+    assigned = cluster.by_class(rows) if by_class else rows.withColumn("stratum", F.lit(0))
+    plan = StratumPlan.from_frame(allocate.round_greedy(cluster.stats(assigned, 6), 8), 8, 2) if by_class else StratumPlan.single(rows.count(), 8)
+    drawn = extras.importance_draws(saver(s)(extras.importance_index(assigned)), plan, 1, 3)
+    return drawn.select("t", "stratum", "r", "row_id", r6("draw_weight").alias("draw_weight"))
+
+
+_SIZED = f"""sized as (select row_id, stratum, round(sqrt(list_inner_product(x, x)) + 1e-6, 9) as size, {O.hashed("'bucket'", 'row_id')} % 64 as bucket from assigned),
+    summed as (select *, sum(size) over (partition by stratum order by bucket, row_id rows between unbounded preceding and current row) as upto, sum(size) over (partition by stratum) as total from sized)"""
+_IMPORTANCE = f"""{_SIZED}, draws as (select t, stratum, b_i, unnest(range(1, b_i + 1)) as r from counted cross join (select unnest(range(1, 4)) as t)),
+    points as (select *, {O.hashed('1', 't', chr(39) + 'importance' + chr(39), 'stratum', 'r')} / 4503599627370496.0::double as u from draws)
+    select t::int as t, p.stratum::int as stratum, r::int as r, row_id, {O.r6('1.0::double / ((select count(*) from train) * (size / total) * b_i)')} as draw_weight
+    from points p join summed s on s.stratum = p.stratum and u >= (upto - size) / total and u < upto / total"""
+_F7U = f"with {O.view('f7')}, {O.train()}, assigned as (select *, 0 as stratum from train)"
+add("importance_step", lambda s, d: _importance(s, d, False), f"{_F7U}, counted as (select 0 as stratum, 8 as b_i), {_IMPORTANCE}")
+add("stratified_importance_step", lambda s, d: _importance(s, d, True), f"{_F7C}, {_IMPORTANCE}")
+add(
+    "range_lookup",
+    lambda s, d: saver(s)(extras.importance_index(cluster.train_rows(view(s, d, "f7")).withColumn("stratum", F.lit(0)))).select("row_id", r6("p").alias("p"), r6("lo").alias("lo"), r6("hi").alias("hi")),
+    f"{_F7U}, {_SIZED} select row_id, {O.r6('size / total')} as p, {O.r6('(upto - size) / total')} as lo, {O.r6('upto / total')} as hi from summed",
+)
 
 
 def _moment_control(s: SparkSession, d: str) -> DataFrame:
@@ -538,12 +647,24 @@ def _moment_control(s: SparkSession, d: str) -> DataFrame:
     first, gram = extras.moments(ex, 6, 2)
     mean = np.array(cluster.train_rows(ex).agg(F.array(*(F.avg(F.col("x")[j]) for j in range(6)))).first()[0])
     plan = StratumPlan.single(cluster.train_rows(ex).count(), 8)
-    rows = sampling.fetch(sampling.plan_chunk(s, plan, 1, 1, 1), one_stratum(ex), "broadcast").orderBy("r").collect()  # one step
+    drawn = sampling.fetch(sampling.plan_chunk(s, plan, 1, 1, 1), one_stratum(ex), "broadcast")  # one step
     w = np.array(fixed_w(2, 6))
-    return _weights(s, [extras.moment_control(rows, w, DescentConfig(0.1, 8, 1), first, gram, mean)]).select("t", "cls", "component", r6("w").alias("g"))
+    return _weights(s, [extras.moment_control(descent.by_step(drawn, 6)[1], w, DescentConfig(0.1, 8, 1), first, gram, mean)]).select("t", "cls", "component", r6("w").alias("g"))
 
 
-add("moment_control_step", _moment_control)
+def _moment_sql() -> str:
+    """The minibatch gradient less the linearised one, plus that one's mean over all rows."""
+    w = np.array(fixed_w(2, 6))
+    centred = ((w - w.mean(axis=0)) / 2).tolist()
+    linear = "[" + ", ".join(f"0.5::double + list_inner_product(x, {O.literal([centred[c]])}[1]) - case when y = {c} then 1 else 0 end" for c in range(2)) + "]"
+    ridge = "case " + " ".join(f"when cls = {c} and component = {j} then {float(0.1 * w[c][j])!r}::double" for c in range(2) for j in range(6)) + " end"
+    return f"""{_F7U}, {O.positions('assigned')}, {O.single('train', 8)}, {O.draws('counted', 1, 1, 1)}, f as (select d.draw_weight, i.y, i.x from draws d join indexed i using (stratum, pos)), {O.residuals('f', O.literal(fixed_w(2, 6)), 2, 'now')},
+      lessened as (select draw_weight, x, [r[1] - l2[1], r[2] - l2[2]] as r from (select *, {linear} as l2 from now)), a as ({O.cells('lessened', 2, 6, 'draw_weight')}),
+      every as (select x, {linear} as r from train), b as ({O.cells('every', 2, 6, '1.0::double / (select count(*) from train)')})
+      select 1 as t, cls, component, {O.r6(f'a.g + b.g + {ridge}')} as g from a join b using (cls, component)"""
+
+
+add("moment_control_step", _moment_control, _moment_sql())
 
 # ---- theory ---------------------------------------------------------------------------------------
 
@@ -583,15 +704,109 @@ def _lemma2_sql() -> str:
 
 
 add("lemma2_check", _lemma2, _lemma2_sql())
+_PAIRS = ((0, 1), (1, 0), (0, 2))
+_MODELS = [fixed_w(2, 6), zeros(2, 6), [[-v for v in row] for row in fixed_w(2, 6)]]
+
+
+def _definitions(s: SparkSession, d: str) -> DataFrame:
+    models = [np.array(w) for w in _MODELS]
+    return bounds.check_definitions(saver(s)(cluster.train_rows(view(s, d, "f7"))), [(models[a], models[b]) for a, b in _PAIRS], 0.05)
+
+
+def _definitions_sql() -> str:
+    text = f"with {O.view('f7')}, {O.train()}, c as (select 0.5::double * max(list_inner_product(x, x)) + 0.05::double as sm from train)"
+    for i, w in enumerate(_MODELS):
+        ridge = 0.025 * sum(v * v for row in w for v in row)
+        lam = "case " + " ".join(f"when cls = {c} and component = {j} then {0.05 * w[c][j]!r}::double" for c in range(2) for j in range(6)) + " end"
+        text += f", {O.residuals('train', O.literal(w), 2, f'r{i}')}, p{i} as (select avg(list_max(l) + ln(list_sum(e)) - l[y + 1]) + {ridge!r}::double as p from r{i}), h{i} as ({O.cells(f'r{i}', 2, 6)}), g{i} as (select cls, component, g / (select count(*) from train) + {lam} as g from h{i})"
+    rows = []
+    for k, (a, b) in enumerate(_PAIRS):
+        gap = "case " + " ".join(f"when cls = {c} and component = {j} then {_MODELS[a][c][j] - _MODELS[b][c][j]!r}::double" for c in range(2) for j in range(6)) + " end"
+        text += f", q{k} as (select (select p from p{a}) as pu, (select p from p{b}) as pv, any_value(sm) as sm, sum(v.g * ({gap})) as i, sum(({gap}) * ({gap})) as d2, sum((u.g - v.g) * (u.g - v.g)) as b2, sum((u.g - v.g) * ({gap})) as t from g{a} u join g{b} v using (cls, component) cross join c)"
+        sides = {"convex": ("pu", "pv + i"), "strongly_convex": ("pu", "pv + i + 0.025::double * d2"), "smooth": ("pv + i + sm / 2 * d2", "pu"), "lipschitz_gradient": ("sm * sqrt(d2)", "sqrt(b2)"), "co_coercive": ("t", "b2 / sm"), "strongly_convex_and_smooth": ("t", "0.05::double * sm / (0.05::double + sm) * d2 + b2 / (0.05::double + sm)")}
+        rows += [f"select {k} as pair, '{name}' as \"check\", round({x}, 6) as left_side, round({y}, 6) as right_side, {x} >= {y} - 1e-9 as holds from q{k}" for name, (x, y) in sides.items()]
+    return f"{text} " + " union all ".join(rows)
+
+
+add("definition_checks", _definitions, _definitions_sql())
+
+
+def _bounds_on_run(s: SparkSession, d: str) -> DataFrame:
+    """Both samplers' mean gap over five seeds and 60 steps 1 / (a + lam t), against the bound with their exact variances."""
+    save, lam, steps = saver(s), 0.1, 60
+    ex = save(view(s, d, "f7"))
+    rows = save(cluster.train_rows(ex))
+    smooth, best = bounds.constants(rows, lam).first().smoothness, bounds.reference_optimum(s, ex, lam, 2)
+    least = measures.objective(rows, best.tolist(), lam).first()[0]
+    assigned, _, plan = descent.prepare(ex, 6, 2, 8, StrataConfig("dispersion", 4, iters=4), AllocationConfig(), save)
+    single = StratumPlan.single(rows.count(), 8)
+    places = {"uniform": (rows.withColumn("stratum", F.lit(0)), single), "stratified": (assigned, plan)}
+    config = DescentConfig(lam, 8, steps, "shifted", shift=smooth - lam, eval_every=1)
+    indexed = {k: save(index.dense_position(v[0])) for k, v in places.items()}
+    runs = [descent.Run(f"{k}|{seed}", indexed[k], places[k][1], replace(config, seed=seed), np.zeros((2, 6))) for k in places for seed in experiments.SEEDS]
+    models = descent.run_chains(runs, keep_all=True)
+    zero = s.createDataFrame([(r.name, 0, c, [0.0] * 6) for r in runs for c in range(2)], descent.MODELS)
+    models = save(models.unionByName(zero))
+    spread = _union(*(descent.variances(models.where(F.col("run_id").startswith(k)), *places[k]) for k in places)).withColumn("t", F.col("t") + 1)
+    trace = descent.evaluate(models, ex, lam).join(spread, ["run_id", "t"]).withColumn("sampler", F.split("run_id", "[|]")[0])
+    means = trace.groupBy("sampler", "t").agg((F.avg("objective") - least).alias("gap"), F.avg("est_variance").alias("variance"))
+    return bounds.on_run(means, smooth - lam, lam, float((best**2).sum())).select("sampler", r6("mean_gap").alias("mean_gap"), r6("bound").alias("bound"), "holds")
+
+
+add("theorem1_on_run", _bounds_on_run)
+add("lemma1_rhs", lambda s, d: s.createDataFrame([(t, round(bounds.lemma1(0.5 / t, 2.0 / t, 2.0 / (t + 1), 0.05, 0.5 / t), 6)) for t in range(1, 6)], "t int, bound double"), f"select t::int as t, {O.r6('(2.0::double / t - 2.0::double / (t + 1)) / (2 * (0.5::double / t)) - 0.05::double / 2 * (2.0::double / t) + (0.5::double / t) * (0.5::double / t)')} as bound from (select unnest(range(1, 6)) as t)")
 
 # ---- workloads ------------------------------------------------------------------------------------
 
+_TRACES: dict[tuple[str, str, str], DataFrame] = {}
+
+
+def workload(s: SparkSession, d: str, name: str) -> DataFrame:
+    """The trace of a workload as it is defined, five seeds and all its epochs; kept as a table for the queries of a session."""
+    key = (s.sparkContext.applicationId, d, name)
+    if key not in _TRACES:
+        _TRACES[key] = saver(s)(experiments.curves(s, d, name, save=saver(s)))
+    return _TRACES[key]
+
+
 for _w in experiments.WORKLOADS:
-    add(f"{_w}_curve", lambda s, d, w=_w: experiments.curves(s, d, w, seeds=(1, 2), save=saver(s), steps=40, eval_every=20))
-for _w in ("w1", "w3", "w4", "w6", "w7"):
-    add(f"{_w}_summary", lambda s, d, w=_w: experiments.summary(experiments.curves(s, d, w, save=saver(s), steps=60, eval_every=30)))
-add("w6_ratios", lambda s, d: experiments.ratios(experiments.curves(s, d, "w6", save=saver(s), steps=60, eval_every=30)))
-add("ablation_f7", lambda s, d: experiments.ablation(s, d, "f7", 2, 12, 6, saver(s)))
+    add(f"{_w}_curve", lambda s, d, w=_w: workload(s, d, w))
+    add(f"{_w}_summary", lambda s, d, w=_w: experiments.summary(workload(s, d, w)))
+    add(f"{_w}_ratios", lambda s, d, w=_w: experiments.ratios(workload(s, d, w)))
+for _w in ("w6", "w7"):
+    add(f"{_w}_gaps", lambda s, d, w=_w: experiments.gaps(s, d, w, workload(s, d, w)))
+add("w8_scale", lambda s, d: experiments.scale_run(s, d, saver(s)))
+
+
+def _ablation_sql(name: str, classes: int, d: int, b: int, per_class: int) -> str:
+    """A SELECT for each builder, kind and rounding."""
+    build = {rule: O.built(per_class, how, 5, d) for rule, how in (("kmeans", "euclid"), ("dispersion", "dispersion"), ("frozen", "frozen"))}
+    build["by_class"] = "assigned as (select *, y as stratum from train)"
+    build["random"] = f"assigned as (select *, (y * {per_class} + {O.hashed(chr(39) + 'strata' + chr(39), '1', 'row_id')} % {per_class})::int as stratum from train)"
+    build["quantile"] = O.starts(per_class, 0, name="assigned")
+    out = []
+    for builder, sql in build.items():
+        each = [(kind, rounding) for kind in ("dispersion", "proportional", "equal") for rounding in ("greedy", "remainder", "systematic")]
+        counted = ", ".join(O.allocated("strata", b, kind, rounding, f"n_{kind}_{rounding}") for kind, rounding in each)
+        bound = "sum(n_i::double * n_i * v_i / b_i) / (sum(n_i) * sum(n_i))"
+        rows = " union all ".join(f"select '{builder}' as builder, '{k}' as kind, '{r}' as rounding, {O.r6(bound)} as bound, {O.r6(f'{1 - 1 / classes!r}::double * {bound}')} as variance from n_{k}_{r}" for k, r in each)
+        out.append(f"select * from (with {O.view(name)}, {O.train()}, {sql}, {O.stats('assigned', d)}, {counted} {rows})")
+    return " union all ".join(out)
+
+
+for _v, _m, _b, _k in (("f7", 2, 12, 6), ("f8", 5, 20, 10)):
+    _query = lambda s, d, v=_v, m=_m, b=_b, k=_k: experiments.ablation(s, d, v, m, b, k, saver(s)).select("builder", "kind", "rounding", r6("bound").alias("bound"), r6("variance").alias("variance"))
+    add(f"ablation_{_v}", _query, _ablation_sql(_v, _m, VIEWS[_v].d, _b, _k // _m))
+
+
+def _blocks(s: SparkSession, d: str) -> DataFrame:
+    """Draws from the index as it is written, by stratum and block of positions."""
+    path = shared_path(s, "index")
+    index.write(f4_indexed(s, d), path)
+    return sampling.fetch(sampling.plan_chunk(s, f4_plan(s, d), 1, 1, 3), index.read(s, path), "broadcast").select("t", "stratum", "r", "row_id")
+
+
+add("drawn_rows_from_blocks", _blocks, ORACLES["drawn_rows_merge"])
 
 # ---- sources, streams -----------------------------------------------------------------------------
 
@@ -628,4 +843,4 @@ add("hash_stream", lambda s, d: s.range(0, 1000).select("id", rng.hash52(7, F.co
 
 def flagship(s: SparkSession, sf_dir: str) -> DataFrame:
     """Uniform against stratified descent on the embeddings: the trace of both."""
-    return experiments.curves(s, sf_dir, "w3", seeds=(1,), save=saver(s), steps=20, eval_every=10)
+    return experiments.curves(s, sf_dir, "w3", seeds=(1,), save=saver(s), epochs=0.5, points=2)

@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import loss as L
+from ..operators import cluster, variance
 
 
 def class_stats(events: DataFrame, window: F.Column, label: str = "event_type", value: str = "value") -> DataFrame:
@@ -60,24 +60,29 @@ class OnlineDescent:
     def __init__(self, centres: dict[int, np.ndarray], classes: int, d: int, lam: float, eta: Callable[[int], float]):
         self.centres, self.lam, self.eta = centres, lam, eta
         self.w = np.zeros((classes, d))
-        self.seen: dict[tuple[int, int], int] = {}
+        self.seen: dict[int, int] = {}
         self.t, self.last = 0, -1
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         if batch_id <= self.last:
             return
         self.last = batch_id
-        rows = batch.select("row_id", "y", "x").orderBy("row_id").collect()  # a micro-batch
-        if rows:
-            self.step(np.array([r.x for r in rows]), np.array([r.y for r in rows]))
-
-    def step(self, x: np.ndarray, y: np.ndarray) -> None:
-        strata = [(int(c), int(((self.centres[int(c)] - v) ** 2).sum(axis=1).argmin())) for c, v in zip(y, x, strict=True)]
-        for s in strata:
-            self.seen[s] = self.seen.get(s, 0) + 1
-        total = sum(self.seen.values())
-        here = {s: strata.count(s) for s in set(strata)}
-        weight = np.array([self.seen[s] / (total * here[s]) for s in strata])
+        most = max(map(len, self.centres.values()))
+        centres = [(y * most + i, y, c.tolist(), 0.0) for y, of_class in self.centres.items() for i, c in enumerate(of_class)]
+        strata = batch.sparkSession.createDataFrame(centres, "stratum int, y int, mean array<double>, v_i double")
+        assigned = cluster.assign(batch.select("row_id", "y", "x"), strata)
+        # a row per stratum, class and feature, whatever the batch's size
+        self.step([(r.stratum, r.cnt, r.cell, r.g) for r in variance.gradient_sums(assigned, self.w.tolist()).collect()])
+
+    def step(self, sums: list[tuple[int, int, int, float]]) -> None:
+        """One step from (stratum, rows, cell, gradient sum) of a batch."""
+        here = {s: n for s, n, _, _ in sums}
+        if not here:
+            return
+        for s, n in here.items():
+            self.seen[s] = self.seen.get(s, 0) + n
+        total, g = sum(self.seen.values()), np.zeros(self.w.size)
+        for s, n, cell, value in sorted(sums):
+            g[cell] += self.seen[s] / (total * n) * value
         self.t += 1
-        r = L.get("softmax").residual(x @ self.w.T, y) * weight[:, None]
-        self.w = self.w - self.eta(self.t) * (r.T @ x + self.lam * self.w)
+        self.w = self.w - self.eta(self.t) * (g.reshape(self.w.shape) + self.lam * self.w)
