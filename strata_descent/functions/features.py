@@ -7,8 +7,11 @@ standardised with the training split's means and population deviations.
 
 from __future__ import annotations
 
+import hashlib
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -115,14 +118,33 @@ def encode_labels(df: DataFrame, column: str) -> DataFrame:
     return df.join(F.broadcast(codes), F.col(column) == F.col("label_key")).drop("label_key")
 
 
+def trigram_shares(texts: list[str | None], buckets: int) -> np.ndarray:
+    """For each text and bucket the share of the text's characters at which a trigram of that bucket starts."""
+    out = np.zeros((len(texts), buckets))
+    bucket_of: dict[int, int] = {}
+    for i, text in enumerate(texts):
+        at = np.frombuffer((text or "").encode("utf-32-le"), dtype=np.uint32).astype(np.int64)
+        if len(at) < 3:
+            continue
+        codes, n = np.unique(at[:-2] << 42 | at[1:-1] << 21 | at[2:], return_counts=True)
+        for code in codes.tolist():
+            if code not in bucket_of:
+                run = "".join(chr(code >> shift & 0x1FFFFF) for shift in (42, 21, 0))
+                bucket_of[code] = int(hashlib.md5(run.encode(), usedforsecurity=False).hexdigest()[:13], 16) % buckets  # as hash52 does
+        np.add.at(out[i], [bucket_of[c] for c in codes.tolist()], n / len(at))
+    return out
+
+
 def hashed_trigrams(docs: DataFrame, buckets: int = TRIGRAM_BUCKETS) -> DataFrame:
-    """doc_id, lang and x: for each bucket its trigrams' share of the text's characters."""
-    starts = F.expr("sequence(1, length(text) - 2)")
-    hit = docs.where("length(text) > 2").select("doc_id", "text", F.explode(starts).alias("i"))
-    hit = hit.select("doc_id", (hash52(F.expr("substring(text, i, 3)")) % buckets).cast("int").alias("bucket"))
-    counts = hit.groupBy("doc_id", "bucket").agg(F.count("*").alias("n")).groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "n"))).alias("counts"))
-    share = F.expr(f"transform(sequence(0, {buckets - 1}), b -> cast(coalesce(try_element_at(counts, b), 0) as double) / greatest(length(text), 1))")
-    return docs.join(counts, "doc_id", "left").withColumn("counts", F.coalesce("counts", F.create_map().cast("map<int,bigint>"))).select("doc_id", "lang", share.alias("x"))
+    """doc_id, lang and x: for each bucket its trigrams' share of the text's characters, counted inside the row."""
+
+    def shares(batches):
+        for batch in batches:
+            x = trigram_shares(batch.column(2).to_pylist(), buckets)
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1, dtype=np.int32) * buckets), pa.array(x.ravel()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), lists], ["doc_id", "lang", "x"])
+
+    return docs.select("doc_id", "lang", "text").mapInArrow(shares, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, lang string, x array<double>")
 
 
 def raw_view(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -36,7 +36,8 @@ def fetch(draws: DataFrame, indexed: DataFrame, how: str = "auto", n_draws: int
     keys = ["stratum", "pos"]
     if "block" in indexed.columns:
         keys.append("block")
-        draws = draws.withColumn("block", F.floor(F.col("pos") / index.BLOCK_ROWS).cast("bigint"))
+        # Spark prunes folders only by a side that it takes for filtered
+        draws = draws.where("pos >= 0").withColumn("block", F.floor(F.col("pos") / index.BLOCK_ROWS).cast("bigint"))
     rows = indexed.select(*keys, "row_id", "y", "x")
     if how in ("merge", "shuffle_hash"):
         return draws.join(rows.hint(how), keys)

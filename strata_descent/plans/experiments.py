@@ -44,11 +44,10 @@ WORKLOADS = {
 }
 
 
-def curves(spark: SparkSession, sf_dir: str, name: str, seeds: tuple[int, ...] = SEEDS, save=None, **changes) -> DataFrame:
-    """The trace of both samplers for all seeds: objective, test error and exact variance by epoch."""
+def curves(spark: SparkSession, sf_dir: str, name: str, seeds: tuple[int, ...] = SEEDS, *, save, **changes) -> DataFrame:
+    """The trace of both samplers for all seeds: objective, test error and exact variance by epoch; save writes a table and reads it back."""
     load = replace(WORKLOADS[name], **changes)
     d = VIEWS[load.view].d
-    save = save or (lambda df: df.persist())
     ex = save(view(spark, sf_dir, load.view))
     rows = cluster.train_rows(ex)
     n = rows.count()

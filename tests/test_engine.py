@@ -9,10 +9,12 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from strata_descent import queries
 from strata_descent.functions import features, schedule
 from strata_descent.functions import loss as L
 from strata_descent.operators import allocate, averaging, bounds, cluster, descent, extras, index, measures, sampling, variance
-from strata_descent.plans.plan import AllocationConfig, DescentConfig, StrataConfig, Stratum, StratumPlan
+from strata_descent.plans import experiments
+from strata_descent.plans.plan import AllocationConfig, DescentConfig, DynamicConfig, StrataConfig, Stratum, StratumPlan
 
 SIX = [(1, 0, [0.0], "train", 0), (2, 0, [2.0], "train", 0), (3, 0, [10.0], "train", 1), (4, 0, [14.0], "train", 1), (5, 1, [5.0], "train", 2), (6, 1, [5.0], "train", 2)]
 SCHEMA = "row_id bigint, y int, x array<double>, split string, stratum int"
@@ -219,3 +221,221 @@ def test_null_policy(spark):
     assert sorted(r.v for r in features.null_policy(df, ["v"], "impute_mean").collect()) == [1.0, 2.0, 2.0, 3.0]
     with pytest.raises(ValueError):
         features.null_policy(df, ["v"], "reject")
+
+
+def test_rounding_and_kinds(spark):
+    strata = spark.createDataFrame([(0, 0, 10, 4.0), (1, 1, 30, 1.0), (2, 1, 5, 0.0)], "stratum int, y int, n_i bigint, v_i double")
+    counts = lambda df: [r.b_i for r in df.orderBy("stratum").collect()]
+    assert counts(allocate.allocate(strata, 10, "dispersion", "none")) == pytest.approx([4.0, 6.0, 0.0])
+    assert counts(allocate.allocate(strata, 9, "equal", "greedy")) == [3, 3, 3]
+    mass = [100.0, 900.0, 25.0]
+    best = min((sum(m / b for m, b in zip(mass, c, strict=True)), c) for c in itertools.product(range(1, 9), repeat=3) if sum(c) == 9)[1]
+    assert tuple(counts(allocate.allocate(strata, 9, "proportional", "greedy"))) == best
+    for kind, rounding in (("dispersion", "other"), ("other", "remainder")):
+        with pytest.raises((ValueError, KeyError)):
+            allocate.allocate(strata, 9, kind, rounding)
+
+
+def test_wide_statistics_are_the_narrow_ones(spark, monkeypatch):
+    ex = cluster.quantile_strata(cluster.train_rows(blobs(spark)), 3).repartition(5)
+    narrow = {r.stratum: r for r in cluster.stats(ex, 2).collect()}
+    wide = {r.stratum: r for r in cluster.wide_stats(ex, 2).collect()}
+    assert narrow.keys() == wide.keys()
+    for s, r in narrow.items():
+        assert (wide[s].y, wide[s].n_i) == (r.y, r.n_i) and wide[s].v_i == pytest.approx(r.v_i) and wide[s].mean == pytest.approx(r.mean)
+
+
+def test_starts_need_no_window_and_seed_lost_strata_again(spark):
+    ex = blobs(spark).cache()
+    rows = cluster.train_rows(ex)
+    start = cluster.approximate_quantile_strata(rows, {0: 3, 1: 3})
+    assert "Window" not in start._jdf.queryExecution().toString()
+    exact = {(r.row_id, r.stratum) for r in cluster.quantile_strata(rows, 3).collect()}
+    assert len(exact & {(r.row_id, r.stratum) for r in start.select("row_id", "stratum").collect()}) > 110  # bins may differ by a row at their edges
+    flat = rows.withColumn("x", F.array(F.lit(1.0), F.col("x")[1]))  # no spread along the first feature: one bin a class
+    lost = cluster.approximate_quantile_strata(flat, {0: 3, 1: 3})
+    assert lost.select("stratum").distinct().count() == 2
+    again = cluster.rounds(lost, 2, 3, "dispersion", per_class={0: 3, 1: 3}, save=lambda df: df.cache())
+    assert again.select("stratum").distinct().count() == 6 and cluster.validate(again, flat).count() == 0
+    before, after = (cluster.dispersion_objective(cluster.stats(x, 2)).first()[0] for x in (lost, again))
+    assert after < before
+
+
+@pytest.mark.parametrize("init", ["random", "plusplus"])
+def test_centres_start_in_their_class(spark, init):
+    rows = cluster.train_rows(blobs(spark)).cache()
+    centres = cluster.first_centres(rows, {0: 3, 1: 2}, init, 5).collect()
+    own = {(r.y, tuple(r.x)) for r in rows.collect()}
+    assert sorted((c.y, c.stratum) for c in centres) == [(0, 0), (0, 1), (0, 2), (1, 3), (1, 4)] and all((c.y, tuple(c.mean)) in own for c in centres)
+    built = cluster.build(blobs(spark), 2, StrataConfig("kmeans", 5, init=init, iters=4, tol=1e-3, fit_fraction=0.6), lambda df: df.cache())
+    assert cluster.validate(built, rows, cluster.stats(built, 2)).count() == 0
+
+
+def test_two_passes_and_one_agree(spark):
+    ex = cluster.by_class(blobs(spark)).cache()
+    w = [[0.4, -0.2], [0.1, 0.3]]
+    one = {r.stratum: r.ss for r in variance.within(variance.gradient_sums(ex, w)).collect()}
+    two = {r.stratum: r.ss for r in variance.centred_within(ex, w).collect()}
+    assert one.keys() == two.keys() and all(one[s] == pytest.approx(two[s]) for s in one)
+    far = ex.withColumn("x", F.transform("x", lambda v: v / 1e9 + 1e6))  # nothing is left of a difference of large sums
+    assert all(0 <= r.ss < 1e-3 for r in variance.centred_within(far, [[0.0, 0.0], [0.0, 0.0]]).collect())
+
+
+def test_index_by_blocks_reads_what_draws_hit(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(index, "BLOCK_ROWS", 10)
+    indexed = index.dense_position(cluster.by_class(cluster.train_rows(blobs(spark)))).cache()
+    index.write(indexed, str(tmp_path / "index"))
+    plan = StratumPlan((Stratum(0, 0, 60, 1.0, 2), Stratum(1, 1, 60, 1.0, 2)), 120, 4)
+    draws = sampling.plan_chunk(spark, plan, 1, 1, 2)
+    key = lambda df: sorted((r.t, r.stratum, r.r, r.row_id) for r in df.collect())
+    got = sampling.fetch(draws, index.read(spark, str(tmp_path / "index")), "broadcast")
+    assert key(got) == key(sampling.fetch(draws, indexed, "broadcast"))
+    assert "dynamicpruning" in got._jdf.queryExecution().toString()
+    assert index.buckets_for(10) == 64 and index.buckets_for(10**9) == 2048
+
+
+def test_all_seeds_share_one_join(spark):
+    ex = blobs(spark)
+    assigned, _, plan = descent.prepare(ex, 2, 2, 6, StrataConfig("by_class"), AllocationConfig())
+    indexed = index.dense_position(assigned)
+    together = sampling.plan_runs(spark, [(f"s{i}", plan, i, 4 + i) for i in range(3)], 1, 6)
+    alone = [r for i in range(3) for r in sampling.plan_chunk(spark, plan, i, 1, min(6, 4 + i), f"s{i}").collect()]
+    assert sorted(map(repr, together.collect())) == sorted(map(repr, alone))
+    config = DescentConfig(0.1, 6, 5, "constant", 0.2, eval_every=5)
+    runs = [descent.Run(f"s{i}", indexed, plan, DescentConfig(0.1, 6, 5, "constant", 0.2, seed=i, eval_every=5), np.zeros((2, 2))) for i in range(3)]
+    many = {(r.run_id, r.cls): r.w for r in descent.run_chains(runs).collect()}
+    for i, run in enumerate(runs):
+        one = {(r.run_id, r.cls): r.w for r in descent.run_chains([run]).collect()}
+        assert all(many[k] == pytest.approx(v) for k, v in one.items())
+    assert config.steps == 5
+
+
+def twin(rows, plan, positions, config, classes, steps):
+    """Stratified descent in plain NumPy from the same hashes."""
+    import hashlib
+
+    w = np.zeros((classes, len(rows[0][1])))
+    for t in range(1, steps + 1):
+        g = config.lam * w
+        for s in plan.strata:
+            for r in range(1, s.b_i + 1):
+                pos = int(hashlib.md5(f"{config.seed}|{t}|{s.stratum}|{r}".encode()).hexdigest()[:13], 16) % s.n_i
+                y, x = rows[positions[s.stratum, pos]]
+                score = w @ x
+                p = np.exp(score - score.max())
+                p /= p.sum()
+                g = g + s.n_i / (plan.n * s.b_i) * np.outer(p - np.eye(classes)[y], x)
+        w = w - descent.schedule_of(config).at(t) * g
+    return w
+
+
+def test_published_schedule_against_a_plain_twin(spark):
+    """60 steps of 1 / (lam t) over k-means strata, a model in NumPy beside the engine's."""
+    ex = blobs(spark).cache()
+    assigned, _, plan = descent.prepare(ex, 2, 2, 8, StrataConfig("kmeans", 4, iters=3), AllocationConfig(), lambda df: df.cache())
+    indexed = index.dense_position(assigned).cache()
+    rows = {r.row_id: (r.y, np.array(r.x)) for r in ex.collect()}
+    positions = {(r.stratum, r.pos): r.row_id for r in indexed.collect()}
+    config = DescentConfig(0.1, 8, 60, "inverse", seed=3, eval_every=60)
+    got = descent.run_chains([descent.Run("run", indexed, plan, config, np.zeros((2, 2)))]).orderBy("cls").collect()
+    assert np.allclose([r.w for r in got], twin(rows, plan, positions, config, 2, 60), atol=1e-9)
+
+
+def test_counts_that_are_never_refreshed_are_fixed(spark):
+    """Dynamic counts with one long interval are the fixed plan by gradient dispersion at the start."""
+    ex = blobs(spark).cache()
+    save = lambda df: df.cache()
+    config = DescentConfig(0.1, 8, 6, "constant", 0.3, eval_every=6)
+    moving = descent.dynamic(ex, 2, 2, config, StrataConfig("kmeans", 4, iters=2), DynamicConfig(6, "counts"), save)[-1]
+    assigned = cluster.build(ex, 2, StrataConfig("kmeans", 4, iters=2), save)
+    ss = variance.within(variance.gradient_sums(assigned, np.zeros((2, 2)).tolist()))
+    frame = allocate.round_greedy(allocate.gradient_dispersion(ss, assigned.groupBy("stratum").agg(F.min("y").alias("y"))), 8)
+    run = descent.Run("run", index.dense_position(assigned), StratumPlan.from_frame(frame, 8, 2), config, np.zeros((2, 2)))
+    assert np.allclose([r.w for r in descent.run_chains([run]).orderBy("cls").collect()], moving, atol=1e-12)
+
+
+def test_resampled_variance_is_the_exact_one(spark):
+    """400 replayed steps lie within four standard errors of the exact variance, for positions and for draws by scan on average."""
+    ex = cluster.by_class(blobs(spark)).cache()
+    w = [[0.1, -0.2], [0.0, 0.3]]
+    strata = allocate.round_greedy(cluster.stats(ex, 2), 6).cache()
+    plan = StratumPlan.from_frame(strata, 6, 2)
+    full = variance.full_gradient(ex, w).cache()
+    drawn = sampling.fetch(sampling.plan_chunk(spark, plan, 11, 1, 400), index.dense_position(ex), "broadcast")
+    r = variance.resampled(drawn, full, w).first()
+    assert abs(r.variance - variance.stratified(ex, w, strata).first()[0]) < 4 * r.std_error
+    scanned = sampling.by_scan(ex, plan, 11, 1, 400)
+    per = scanned.groupBy("t", "stratum").agg(F.count("*").alias("n"), F.sum("draw_weight").alias("w")).groupBy("stratum").agg(F.avg("n").alias("n"), F.min("w").alias("w")).orderBy("stratum").collect()
+    for s, row in zip(plan.strata, per, strict=True):
+        assert row.n == pytest.approx(s.b_i, rel=0.25) and row.w == pytest.approx(s.n_i / plan.n)
+
+
+def test_stratified_importance_is_unbiased(spark):
+    """The mean over every draw of each stratum, weighed by its chance, is the full gradient."""
+    ex = cluster.by_class(blobs(spark)).cache()
+    w = np.array([[0.1, -0.2], [0.0, 0.3]])
+    plan = StratumPlan((Stratum(0, 0, 60, 1.0, 3), Stratum(1, 1, 60, 1.0, 2)), 120, 5)
+    indexed = extras.importance_index(ex).cache()
+    rows = indexed.collect()
+    assert {r.n_i for r in rows} == {60} and sum(r.p for r in rows) == pytest.approx(2.0)
+    total = sum(r.p * L.get("softmax").residual(np.array([r.x]) @ w.T, np.array([r.y])).T @ np.array([r.x]) / (plan.n * r.p) for r in rows)
+    assert np.allclose(total, extras.gradient_matrix(ex, w, 0.0))
+    drawn = extras.importance_draws(indexed, plan, 1, 200).collect()
+    assert len(drawn) == 1000 and all(r.draw_weight == pytest.approx(1 / (120 * next(x.p for x in rows if x.row_id == r.row_id) * (3, 2)[r.stratum])) for r in drawn[:20])
+
+
+def test_definitions_hold(spark):
+    rng = np.random.default_rng(4)
+    pairs = [(rng.normal(size=(2, 2)), rng.normal(size=(2, 2))) for _ in range(3)]
+    found = bounds.check_definitions(cluster.train_rows(blobs(spark)).cache(), pairs, 0.05).collect()
+    assert len(found) == 18 and all(r.holds for r in found)
+
+
+def test_mean_gap_of_runs_stays_below_the_bound(spark):
+    rows = queries.QUERIES["theorem1_on_run"](spark, "/root/testdata/sf0.001").collect()
+    assert {r.sampler for r in rows} == {"uniform", "stratified"} and all(r.holds for r in rows)
+
+
+def test_one_step_inequality_by_enumeration(spark, six):
+    """Lemma for one step from every model of a short run: the mean over all bags of what one step reaches."""
+    x, y = np.array([r[2] for r in SIX]) / 10, np.array([r[1] for r in SIX])
+    lam, w = 0.1, np.array([[0.3], [-0.2]])
+    rows = spark.createDataFrame([(i, int(c), [float(v[0])], "train") for i, (c, v) in enumerate(zip(y, x, strict=True))], "row_id bigint, y int, x array<double>, split string")
+    best = bounds.reference_optimum(spark, rows, lam, 2)
+    smooth = bounds.constants(rows, lam).first().smoothness
+    value = lambda v: L.get("softmax").value(x @ v.T, y).mean() + lam / 2 * (v * v).sum()
+    each = L.get("softmax").residual(x @ w.T, y)[:, :, None] * x[:, None, :]
+    eta = 0.5 / smooth
+    ends = [w - eta * (g + lam * w) for g in each]
+    spread = np.mean([((g - each.mean(axis=0)) ** 2).sum() for g in each])
+    after = np.mean([((e - best) ** 2).sum() for e in ends])
+    assert np.mean([value(e) for e in ends]) - value(best) <= bounds.lemma1(eta, ((w - best) ** 2).sum(), after, lam, spread) + 1e-12
+    full = each.mean(axis=0) + lam * w
+    assert np.mean([value(e) for e in ends]) <= bounds.one_step(value(w), (full * full).sum(), spread, eta, smooth) + 1e-12
+
+
+def test_costs_come_from_the_status_store(spark):
+    with measures.Cost(spark) as cost:
+        spark.range(1000).repartition(3).groupBy((F.col("id") % 7).alias("k")).count().collect()
+    seconds, stages, tasks, _, shuffled, spilled = cost.row()
+    assert seconds > 0 and stages >= 2 and tasks >= 3 and shuffled > 0 and spilled == 0
+
+
+def test_trigram_shares():
+    text = "abcabc\U0001f600d"
+    got = features.trigram_shares([text, "ab", None, ""], 16)
+    import hashlib
+
+    wanted = np.zeros(16)
+    for i in range(len(text) - 2):
+        wanted[int(hashlib.md5(text[i : i + 3].encode()).hexdigest()[:13], 16) % 16] += 1 / len(text)
+    assert np.allclose(got[0], wanted) and not got[1:].any()
+
+
+def test_workloads_run_whole_epochs(spark):
+    trace = experiments.curves(spark, "/root/testdata/sf0.001", "w6", seeds=(1, 2), epochs=2.0, points=4, save=queries.saver(spark)).cache()
+    ends = trace.groupBy("sampler", "seed").agg(F.max("epoch").alias("end"), F.count("*").alias("n")).collect()
+    assert len(ends) == 4 and all(2.0 <= r.end < 2.5 and r.n == 4 for r in ends)
+    rows = cluster.train_rows(features.view(spark, "/root/testdata/sf0.001", "f7"))
+    smooth = bounds.constants(rows, experiments.WORKLOADS["w6"].lam).first().smoothness
+    assert all(r.theory_covered == (r.eta <= 1 / smooth + 1e-15) for r in trace.collect())

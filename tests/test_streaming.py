@@ -21,6 +21,26 @@ def test_windows_and_late_rows(spark, tmp_path):
     assert live == batch
 
 
+def test_rows_later_than_the_watermark_are_dropped(spark, tmp_path):
+    """A row behind the watermark changes no window that is closed; one within the delay still counts."""
+    schema = "event_id int, ts timestamp, event_type string, value double"
+    source = tmp_path / "in"
+    make = lambda rows: spark.createDataFrame([(i, t) for i, t in rows], "event_id int, t string").select("event_id", F.to_timestamp("t").alias("ts"), F.lit("a").alias("event_type"), F.lit(1.0).alias("value"))
+    first = [(1, "2024-01-01 00:10:00"), (2, "2024-01-01 05:00:00")]
+    late = [(3, "2024-01-01 00:20:00"), (4, "2024-01-01 04:30:00"), (5, "2024-01-01 09:00:00")]
+    make(first).coalesce(1).write.mode("append").parquet(str(source))
+    query = stream.class_stats(stream.with_late(spark.readStream.schema(schema).parquet(str(source)), "1 hour"), F.window("ts", "1 hour")).writeStream.format("memory").queryName("late").outputMode("append")
+    live = query.start()
+    live.processAllAvailable()
+    make(late).coalesce(1).write.mode("append").parquet(str(source))
+    live.processAllAvailable()
+    make([(6, "2024-01-01 20:00:00")]).coalesce(1).write.mode("append").parquet(str(source))
+    live.processAllAvailable()
+    live.stop()
+    got = {r.start.hour: r.n_rows for r in spark.table("late").collect()}
+    assert got[0] == 1 and got[4] == 1 and got[5] == 1
+
+
 def test_reservoir_keeps_the_least_priorities(spark, tmp_path):
     df = spark.range(200).select((F.col("id") % 3).cast("int").alias("stratum"), F.col("id").alias("row_id"), (F.col("id") * 7919 % 1009).alias("priority"))
     source = str(tmp_path / "in")
