@@ -14,12 +14,13 @@ from pyspark.sql import functions as F
 
 from . import oracles as O
 from .functions import features, rng
+from .functions import sql as sql_functions
 from .functions import loss as L
 from .functions.features import VIEWS, view
 from .operators import allocate, averaging, bounds, cluster, descent, extras, index, measures, sampling, variance
 from .plans import experiments
 from .plans.plan import AllocationConfig, DescentConfig, DynamicConfig, StrataConfig, StratumPlan
-from .sources.load import assert_contract, load, read_libsvm, roundtrip, write_libsvm
+from .sources.load import assert_contract, export_trace, load, read_libsvm, register, roundtrip, write_bucketed, write_libsvm
 from .streaming import stream
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -838,6 +839,51 @@ add(
     c as (select user_id, session, count(*) as n_rows from n group by 1, 2) select user_id, count(*) as sessions, max(n_rows) as longest from c group by user_id""",
 )
 add("interval_join", lambda s, d: stream.nearby(load(s, d, "events")).groupBy("user_id").agg(F.count("*").alias("pairs")), "select a.user_id, count(*) as pairs from events a join events b on a.user_id = b.user_id and (b.ts > a.ts or (b.ts = a.ts and b.event_id > a.event_id)) and b.ts <= a.ts + interval 1 hour group by a.user_id")
+
+
+def _sql_scores(s: SparkSession, d: str) -> DataFrame:
+    """The confusion of a fixed model, by the functions registered for SQL users."""
+    sql_functions.register(s)
+    view(s, d, "f1").createOrReplaceTempView("descent_examples")
+    w = ", ".join("array(" + ", ".join(f"{v!r}D" for v in row) + ")" for row in fixed_w(2, 4))
+    return s.sql(f"select y, descent_class(descent_scores(x, array({w}))) as cls, count(*) as n_rows, round(avg(descent_loss(descent_scores(x, array({w})), y)), 6) + 0D as loss from descent_examples where split = 'test' group by 1, 2")
+
+
+def _sql_draws(s: SparkSession, d: str) -> DataFrame:
+    sql_functions.register(s)
+    return s.sql("select t.id as step, r, pos from range(1, 6) t, lateral descent_draws(7, cast(t.id as int), 0, 1000, 4)")
+
+
+def _catalog(s: SparkSession, d: str) -> DataFrame:
+    register(s, d)
+    return s.sql("select n_name, count(*) as customers from nation join customer on c_nationkey = n_nationkey group by n_name")
+
+
+def _bucketed(s: SparkSession, d: str) -> DataFrame:
+    """Class counts from a table that is bucketed by class: no shuffle."""
+    name = f"descent_{uuid.uuid4().hex}"
+    return write_bucketed(view(s, d, "f8").select("row_id", "y"), name, ["y"], 8).groupBy("y").agg(F.count("*").alias("n_rows"))
+
+
+def _exported(s: SparkSession, d: str) -> DataFrame:
+    path = shared_path(s, "trace")
+    export_trace(trace_literal(s), path)
+    schema = "seed int, t int, objective double, workload string, sampler string"
+    return s.read.schema(schema).option("header", "true").csv(path).groupBy("workload", "sampler").agg(F.count("*").alias("n_rows"), r6(F.sum("objective")).alias("objective"))
+
+
+add("sql_scores", _sql_scores, f"{_TEST1} select y, (list_position(l, list_max(l)) - 1)::int as cls, count(*) as n_rows, {O.r6('avg(list_max(l) + ln(list_sum(e)) - l[y + 1])')} as loss from res group by 1, 2")
+add("sql_draws", _sql_draws, f"select t::bigint as step, r::int as r, {O.hashed('7', 't', '0', 'r')} % 1000 as pos from (select unnest(range(1, 6)) as t) cross join (select unnest(range(1, 5)) as r)")
+add("catalog_views", _catalog, "select n_name, count(*) as customers from nation join customer on c_nationkey = n_nationkey group by n_name")
+add("bucketed_counts", _bucketed, f"with {O.view('f8')} select y, count(*) as n_rows from ex group by y")
+add("exported_trace", _exported, f"with {_TRACE_SQL} select workload, sampler, count(*) as n_rows, {O.r6('sum(objective)')} as objective from trace group by 1, 2")
+add("lead_events", lambda s, d: load(s, d, "events").select("event_id", F.lead("value").over(Window.partitionBy("user_id").orderBy("ts", "event_id")).alias("next_value")), "select event_id, lead(value) over (partition by user_id order by ts, event_id) as next_value from events")
+add("percentiles", lambda s, d: load(s, d, "lineitem").groupBy("l_returnflag").agg(*(r6(F.percentile("l_extendedprice", p)).alias(f"p{round(100 * p)}") for p in (0.25, 0.5, 0.9))), "select l_returnflag, " + ", ".join(f"{O.r6(f'quantile_cont(l_extendedprice, {p})')} as p{round(100 * p)}" for p in (0.25, 0.5, 0.9)) + " from lineitem group by 1")
+add(
+    "approximate_distinct",
+    lambda s, d: load(s, d, "lineitem").groupBy("l_returnflag").agg(F.countDistinct("l_partkey").alias("parts"), F.approx_count_distinct("l_partkey", 0.02).alias("about")).select("l_returnflag", "parts", (F.abs(F.col("about") - F.col("parts")) <= 0.1 * F.col("parts")).alias("close")),
+    "select l_returnflag, count(distinct l_partkey) as parts, true as close from lineitem group by 1",
+)
 add("hash_stream", lambda s, d: s.range(0, 1000).select("id", rng.hash52(7, F.col("id"), "x").alias("h")), f"select i::bigint as id, {O.hashed('7', 'i', chr(39) + 'x' + chr(39))} as h from (select unnest(range(0, 1000)) as i)")
 
 

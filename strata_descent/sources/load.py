@@ -1,4 +1,4 @@
-"""Sources and sinks: tables with contracts, LIBSVM, and round trips through other formats."""
+"""Sources and sinks: tables with contracts, a catalog of views, LIBSVM, bucketed tables, traces, a rate stream, round trips through other formats."""
 
 from __future__ import annotations
 
@@ -42,3 +42,29 @@ def roundtrip(df: DataFrame, fmt: str, path: str) -> DataFrame:
     """df written as csv, json, orc or parquet and read back with its own schema."""
     df.write.mode("overwrite").format(fmt).option("header", "true").save(path)
     return df.sparkSession.read.schema(df.schema).format(fmt).option("header", "true").load(path)
+
+
+def register(spark: SparkSession, sf_dir: str) -> list[str]:
+    """Every table of a folder as a temporary view of its name, for SQL; returns the names."""
+    for table in TABLES:
+        load(spark, sf_dir, table).createOrReplaceTempView(table)
+    return list(TABLES)
+
+
+def write_bucketed(df: DataFrame, name: str, keys: list[str], buckets: int) -> DataFrame:
+    """df as a table of the warehouse, bucketed and sorted by keys, so that joins and aggregates on them need no shuffle."""
+    df.write.mode("overwrite").format("parquet").bucketBy(buckets, *keys).sortBy(*keys).saveAsTable(name)
+    return df.sparkSession.table(name)
+
+
+def export_trace(trace: DataFrame, path: str, fmt: str = "csv") -> None:
+    """A trace in files by workload and sampler, as plotting tools read them."""
+    trace.write.mode("overwrite").format(fmt).option("header", "true").partitionBy("workload", "sampler").save(path)
+
+
+def rate_examples(spark: SparkSession, d: int, classes: int, rows_per_second: int = 100) -> DataFrame:
+    """A stream of made-up examples (row_id, ts, y, x) at a steady rate, to try online descent on."""
+    rows = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    y = F.pmod(F.xxhash64("value"), F.lit(classes)).cast("int")
+    x = F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda j: F.pmod(F.xxhash64("value", j), F.lit(1000)) / 500.0 - 1 + F.when(j % classes == y, 1.0).otherwise(0.0))
+    return rows.select(F.col("value").alias("row_id"), F.col("timestamp").alias("ts"), y.alias("y"), x.alias("x"))

@@ -62,3 +62,17 @@ def test_online_step_is_the_weighted_gradient(spark):
     assert sink.t == 1
     # residuals at W = 0 are 1/2 - onehot; each row weighs 1/3
     assert np.allclose(sink.w, -0.5 * np.array([[0.5 * 0 - 0 + 0.5 * 3 / 3], [-0.5 * 3 / 3]]))
+
+
+def test_rate_stream_feeds_online_descent(spark):
+    from strata_descent.sources.load import rate_examples
+
+    sink = stream.OnlineDescent({c: np.zeros((1, 3)) for c in range(2)}, 2, 3, 0.01, lambda t: 0.5)
+    query = rate_examples(spark, 3, 2, 200).writeStream.foreachBatch(sink).trigger(processingTime="1 second").start()
+    import time
+
+    until = time.time() + 40
+    while sink.t < 3 and time.time() < until:
+        time.sleep(0.5)
+    query.stop()
+    assert sink.t >= 2 and np.abs(sink.w).max() > 0 and sum(sink.seen.values()) >= 100
