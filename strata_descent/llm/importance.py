@@ -2,15 +2,17 @@
 
 Two bags of hashed words and word pairs are counted: over the target documents (labels with quality
 1) and over every document given.  A document's log importance is the sum, over its n-grams, of the
-log ratio of the two smoothed multinomials.  Adding a Gumbel variate drawn from the document's key
-and taking the k largest samples k documents without replacement in proportion to importance.  k is
+log ratio of the two smoothed multinomials.  Adding a Gumbel variate drawn from a hash of the row's id and
+text, and taking the k largest samples k documents without replacement in proportion to importance.  k is
 the rows times the labelled rows' share of quality 1, so it follows the data, not a fixed number.
 
 The k-th largest key is found exactly by four passes over 65,536-bin histograms of the keys' bits, so
 nothing is sorted globally and the driver sees bin counts only.  The models are ``BUCKETS`` numbers.
 
 Null and empty texts have importance 0 (log).  Without target documents all documents have, and the
-sample is uniform.  Equal keys (rows repeated with their doc_id) are taken or left together.
+sample is uniform.  Equal keys (rows that repeat id and text, and empty ones without an id) are taken or left
+together; other rows without an id have keys of their own.  Labels that repeat an id count as target if any
+does.  Columns other than doc_id and text are not looked at.  An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -21,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import words as kernel
-from .common import documents, only, saved, table
+from .common import documents, only, row_key, saved, table
 
 BUCKETS = 1 << 16
 SEED = 977
@@ -80,12 +82,12 @@ def with_importance(docs: DataFrame, ratios: np.ndarray, seed: int = SEED) -> Da
                 grams.append(np.bincount(row, minlength=w.rows))
                 sums.append(np.bincount(row, weights=ratios[bucket], minlength=w.rows))
             join = lambda x, t: pa.array(np.concatenate(x).astype(t) if x else np.zeros(0, dtype=t))
-            yield pa.RecordBatch.from_arrays([batch.column(0), join(grams, np.int64), join(sums, np.float64)], ["doc_id", "n_grams", "log_importance"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), join(grams, np.int64), join(sums, np.float64)], ["doc_id", "rid", "n_grams", "log_importance"])
 
-    kept = documents(docs)
-    out = kept.mapInArrow(scored, f"doc_id {kept.schema['doc_id'].dataType.simpleString()}, n_grams bigint, log_importance double")
-    uniform = (F.shiftrightunsigned(F.xxhash64("doc_id", F.lit(seed)), 11).cast("double") + 0.5) / F.lit(2.0**53)
-    return out.withColumn("key", F.col("log_importance") - F.log(-F.log(uniform)))
+    kept = documents(docs).select("doc_id", row_key().alias("rid"), "text")
+    out = kept.mapInArrow(scored, f"doc_id {kept.schema['doc_id'].dataType.simpleString()}, rid bigint, n_grams bigint, log_importance double")
+    uniform = (F.shiftrightunsigned(F.xxhash64("rid", F.lit(seed)), 11).cast("double") + 0.5) / F.lit(2.0**53)
+    return out.withColumn("key", F.col("log_importance") - F.log(-F.log(uniform))).drop("rid")
 
 
 def kth_largest(keys: DataFrame, k: int) -> int | None:

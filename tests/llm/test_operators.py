@@ -704,6 +704,41 @@ def test_importance_sample(spark, docs, corpus):
     assert importance.kth_largest(keys, 305) is None
 
 
+def test_importance_by_hand(spark, docs, corpus):
+    """Models, importance, keys and the sample against plain counts of n-grams; buckets by the kernel, one n-gram at a time."""
+    import pyarrow as pa
+    from strata_descent.llm.common import row_key
+
+    labels = spark.createDataFrame([(1, 1), (3, 1), (9, 1), (11, 0), (2, 0), (13, 1), (13, 0), (None, 1)], "doc_id bigint, quality int")
+    target, known = {1, 3, 9, 13}, {}
+
+    def bucket(gram):
+        if gram not in known:
+            batch = pa.RecordBatch.from_arrays([pa.array([" ".join(gram)])], ["text"])
+            found = [importance._features(w)[1].tolist() for _, _, w in kernel.steps(batch)][0]
+            known[gram] = [found[0], *found[2:]] if len(gram) == 1 else found[2:3]
+            if len(gram) == 1:
+                known[gram] = found  # the word, and its two edges
+        return known[gram]
+
+    def grams(text):
+        w = WORD.findall(text or "")
+        return [b for x in w for b in bucket((x,))] + [b for p in zip(w, w[1:], strict=False) for b in bucket(p)]
+
+    every = [grams(t) for _, t, _ in corpus]
+    raw, good = Counter(b for g in every for b in g), Counter(b for (d, _, _), g in zip(corpus, every, strict=True) if d in target for b in g)
+    n = importance.BUCKETS
+    ratio = lambda b: np.log((good[b] + 1) / (sum(good.values()) + n)) - np.log((raw[b] + 1) / (sum(raw.values()) + n))
+    rids = {(r.doc_id, r.text): r.u for r in docs.select("doc_id", "text", row_key().alias("rid")).withColumn("u", (F.shiftrightunsigned(F.xxhash64("rid", F.lit(importance.SEED)), 11).cast("double") + 0.5) / F.lit(2.0**53)).collect()}
+    keys = [sum(map(ratio, g)) - np.log(-np.log(rids[d, t])) for (d, t, _), g in zip(corpus, every, strict=True)]
+    fraction = 5 / 8
+    least = sorted(keys, reverse=True)[round(fraction * len(keys)) - 1]
+    wanted = sorted((repr(d), len(g), round(k, 3), k >= least - 1e-6) for (d, _, _), g, k in zip(corpus, every, keys, strict=True))
+    got = sorted((repr(r.doc_id), r.n_grams, round(r.key, 3), r.kept) for r in importance.resample(docs, labels).collect())
+    assert [g[:2] + g[3:] for g in got] == [w[:2] + w[3:] for w in wanted]
+    assert [g[2] for g in got] == pytest.approx([w[2] for w in wanted], abs=0.002)
+
+
 def test_url_filters(spark):
     urls = [None, "", "no-scheme", "https://www.Example.com/en/1?x#y", "http://a.example.com/en/2", "http://a.example.com/fr/2", "https://x.net/es/9", "https://x.net/de/9", "http://cheap-pills.example.org/x", "http://notexample.com", "http://example.com/en/", "HTTP://q.org?u=://b.net/fr/", "http://x.org/online-casino/1"]
     pages = spark.createDataFrame([(i, u, "h") for i, u in enumerate([*urls, urls[3]])], "page_id bigint, url string, host string")
