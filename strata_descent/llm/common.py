@@ -28,7 +28,7 @@ def shared_dir(spark: SparkSession) -> str:
     """A new folder below spark.checkpoint.dir; only a session on one machine may do without, as in tests."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
-        if not spark.sparkContext.master.startswith("local["):
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
             raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         root = Path(tempfile.mkdtemp(prefix="shared-")).as_uri()
         spark.sparkContext.setCheckpointDir(root)
