@@ -29,7 +29,7 @@ class Workload:
     points: int = 10  # evaluations, evenly over the steps
     schedule: str = "inverse"
     builder: str = "kmeans"
-    fit_rows: int = 200_000  # rows that strata are fitted on; all rows are assigned
+    fit_rows: int = 50_000  # rows that strata are fitted on; all rows are assigned
 
 
 WORKLOADS = {
