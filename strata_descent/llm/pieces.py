@@ -37,7 +37,7 @@ SEED = 4711
 DENSE = 12  # pieces of up to so many bytes have a column of the lattice each; longer ones touch few places and are listed
 TABLE_BITS = 16
 MARK = "▁"
-STEP_BYTES = 1 << 19
+STEP_BYTES = 1 << 21  # of texts that walk together: words that several of them have are one chunk of the lattice
 U64 = np.uint64
 _PRIME = U64(0x100000001B3)
 
