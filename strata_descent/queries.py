@@ -241,7 +241,8 @@ _B = 20
 
 
 def strata_f8(s: SparkSession, sf: str) -> DataFrame:
-    return cluster.stats(cluster.quantile_strata(cluster.train_rows(view(s, sf, "f8")), 2), 3)
+    """A row per stratum, kept, as allocation looks at it several times."""
+    return saver(s)(cluster.stats(cluster.quantile_strata(cluster.train_rows(view(s, sf, "f8")), 2), 3))
 
 
 def _share(kind: str) -> str:
@@ -529,10 +530,11 @@ def _sgd_sql(sampler: str) -> str:
 
 
 def chain(s: SparkSession, d: str, sampler: str, config: DescentConfig = _SGD) -> DataFrame:
-    ex = view(s, d, "f1")
+    save = saver(s)
+    ex = save(view(s, d, "f1"))  # read once for strata, counts and positions
     if sampler == "stratified":
-        assigned, _, plan = descent.prepare(ex, 4, 2, config.b, StrataConfig("by_class"), AllocationConfig())
-        indexed = index.dense_position(assigned)
+        assigned, _, plan = descent.prepare(ex, 4, 2, config.b, StrataConfig("by_class"), AllocationConfig(), save)
+        indexed = index.dense_position(assigned, index.buckets_for(plan.n))
     else:
         b = 1 if sampler == "single" else config.b
         plan, indexed = StratumPlan.single(cluster.train_rows(ex).count(), b), one_stratum(ex)
