@@ -294,6 +294,18 @@ def test_index_by_blocks_reads_what_draws_hit(spark, tmp_path, monkeypatch):
     assert index.buckets_for(10) == 64 and index.buckets_for(10**9) == 2048
 
 
+def test_positions_do_not_follow_the_size(spark, monkeypatch):
+    """Many rows are ranked in more tasks, but their order stays: by one of 64 buckets, then by id."""
+    rows = cluster.by_class(cluster.train_rows(blobs(spark))).withColumn("row_id", F.when(F.col("row_id") % 7 == 0, F.col("row_id") * 1000).otherwise(F.col("row_id")))
+    few = {r.row_id: (r.stratum, r.pos) for r in index.dense_position(rows).collect()}
+    monkeypatch.setattr(index, "ROWS_PER_BUCKET", 1)
+    monkeypatch.setattr(index, "BUCKETS", 4)
+    few_in_four = {r.row_id: (r.stratum, r.pos) for r in index.dense_position(rows, 4).collect()}
+    assert index.buckets_for(120) == 128
+    assert {r.row_id: (r.stratum, r.pos) for r in index.dense_position(rows).collect()} == few_in_four
+    assert sorted(few.values()) == sorted(few_in_four.values()) == [(s, p) for s in (0, 1) for p in range(60)]
+
+
 def test_all_seeds_share_one_join(spark):
     ex = blobs(spark)
     assigned, _, plan = descent.prepare(ex, 2, 2, 6, StrataConfig("by_class"), AllocationConfig())
