@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import itertools
 import math
+from dataclasses import replace
 
 import numpy as np
 import pytest
@@ -306,6 +307,28 @@ def test_positions_do_not_follow_the_size(spark, monkeypatch):
     assert sorted(few.values()) == sorted(few_in_four.values()) == [(s, p) for s in (0, 1) for p in range(60)]
 
 
+def test_large_runs_move_the_rows_few_times(spark, monkeypatch):
+    """Draws that are too many to broadcast come in chunks of as many as rows; a chain reads its draws as a stream of any pieces."""
+    assert descent.chunk_rows(StratumPlan.single(32_000_000, 10), 3_200_000, 5) == 6_400_000
+    assert descent.chunk_rows(StratumPlan.single(1000, 10), 100, 5) == descent.CHUNK_ROWS
+    ex = blobs(spark)
+    assigned, _, plan = descent.prepare(ex, 2, 2, 6, StrataConfig("by_class"), AllocationConfig())
+    config = DescentConfig(0.1, 6, 9, "constant", 0.2, eval_every=4)
+    runs = [descent.Run(f"s{i}", index.dense_position(assigned), plan, replace(config, seed=i, steps=9 - i), np.zeros((2, 2))) for i in range(3)]
+    key = lambda df: {(r.run_id, r.t, r.cls): r.w for r in df.collect()}
+    whole = key(descent.run_chains(runs))
+    assert {k[:2] for k in whole} == {("s0", 4), ("s0", 8), ("s0", 9), ("s1", 4), ("s1", 8), ("s2", 4), ("s2", 7)}
+    monkeypatch.setattr(descent, "CHUNK_ROWS", 24)
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, "5")
+    try:
+        pieces = key(descent.run_chains(runs))
+    finally:
+        spark.conf.set(name, before)
+    assert whole.keys() == pieces.keys() and all(np.allclose(whole[k], pieces[k], atol=1e-12) for k in whole)
+
+
 def test_all_seeds_share_one_join(spark):
     ex = blobs(spark)
     assigned, _, plan = descent.prepare(ex, 2, 2, 6, StrataConfig("by_class"), AllocationConfig())
