@@ -474,3 +474,23 @@ def test_workloads_run_whole_epochs(spark):
     rows = cluster.train_rows(features.view(spark, "/root/testdata/sf0.001", "f7"))
     smooth = bounds.constants(rows, experiments.WORKLOADS["w6"].lam).first().smoothness
     assert all(r.theory_covered == (r.eta <= 1 / smooth + 1e-15) for r in trace.collect())
+
+
+#: Queries that made their data up, or read next to none.
+READ = ["best_iterate", "exported_trace", "rate_slope", "rollup_trace", "seed_summary", "stability_trace"]
+
+
+def rows_read(spark):
+    """Records that tasks have read from tables so far; bytes of local files are not all counted."""
+    context = spark.sparkContext
+    context._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    lists = context._jvm.java.util.ArrayList
+    found = context._jsc.sc().statusStore().stageList(lists(), False, False, context._gateway.new_array(context._jvm.double, 0), lists())
+    return {found.apply(i).stageId(): found.apply(i).inputRecords() for i in range(found.size())}
+
+
+@pytest.mark.parametrize("name", READ)
+def test_spark_reads_the_table(spark, name):
+    before = rows_read(spark)
+    assert queries.QUERIES[name](spark, "/root/testdata/sf0.01").collect()
+    assert sum(n for stage, n in rows_read(spark).items() if stage not in before) >= 10_000  # rows of events
