@@ -477,7 +477,7 @@ def test_workloads_run_whole_epochs(spark):
 
 
 #: Queries that made their data up, or read next to none.
-READ = ["best_iterate", "exported_trace", "rate_slope", "rollup_trace", "seed_summary", "stability_trace", "asof_epoch_alignment", "epoch_axis", "hash_stream", "lemma1_rhs", "one_step_bound"]
+READ = ["best_iterate", "exported_trace", "rate_slope", "rollup_trace", "seed_summary", "stability_trace", "asof_epoch_alignment", "epoch_axis", "hash_stream", "lemma1_rhs", "one_step_bound", "sql_draws"]
 
 
 def rows_read(spark):
