@@ -329,6 +329,52 @@ def test_large_runs_move_the_rows_few_times(spark, monkeypatch):
     assert whole.keys() == pieces.keys() and all(np.allclose(whole[k], pieces[k], atol=1e-12) for k in whole)
 
 
+def test_positions_are_counted_where_the_ranks_are_written(spark, tmp_path, monkeypatch):
+    """With save the ranked rows are written once, and the positions stay."""
+    rows = cluster.by_class(cluster.train_rows(blobs(spark)))
+    plain = {r.row_id: (r.stratum, r.pos) for r in index.dense_position(rows).collect()}
+    written = []
+
+    def save(df):
+        written.append(df.columns)
+        df.write.parquet(f"{tmp_path}/{len(written)}")
+        return spark.read.parquet(f"{tmp_path}/{len(written)}")
+
+    monkeypatch.setattr(index, "ROWS_PER_BUCKET", 1)
+    for buckets in (None, 64, 256):
+        found = index.dense_position(rows, buckets, save)
+        assert {r.row_id: (r.stratum, r.pos) for r in found.collect()} == plain
+        assert "md5" not in found._jdf.queryExecution().optimizedPlan().toString()
+    assert len(written) == 6
+
+
+def test_rows_are_placed_in_batches(spark):
+    """The least cost to 9 places, ties to the lowest id; rows of a class without centres go."""
+    centres = spark.createDataFrame([(3, 0, 5, [1.0, 0.0], 4.0), (2, 0, 5, [-1.0, 0.0], 1.0), (7, 1, 5, [0.0, 0.0], 1.0)], "stratum int, y int, n_i bigint, mean array<double>, v_i double")
+    rows = spark.createDataFrame([(1, 0, [0.0, 9.0]), (2, 0, [1e-10, 0.0]), (3, 0, [1e-9, 0.0]), (4, 0, [float("nan"), 0.0]), (5, 1, [50.0, 0.0]), (6, 2, [0.0, 0.0]), (7, 0, [-5.0, 0.0])], "row_id bigint, y int, x array<double>")
+    placed = cluster.assign(rows, centres)
+    assert {r.row_id: r.stratum for r in placed.collect()} == {1: 2, 2: 2, 3: 3, 4: 2, 5: 7, 7: 2}
+    assert placed.dtypes == [("row_id", "bigint"), ("y", "int"), ("x", "array<double>"), ("stratum", "int")]
+    assert {r.row_id: r.stratum for r in cluster.assign(rows, centres, "dispersion").collect()} == {1: 3, 2: 2, 3: 2, 4: 2, 5: 7, 7: 2}
+    plan = placed._jdf.queryExecution().optimizedPlan().toString()
+    assert "MapInArrow" in plan and "transform(" not in plan
+    assert cluster.assign(rows, centres.where("y > 5")).count() == 0
+
+
+def test_a_sample_is_hashed_once(spark, tmp_path):
+    """What strata are fitted on is written before it is looked at."""
+    written = []
+
+    def save(df):
+        written.append(df)
+        df.write.parquet(f"{tmp_path}/{len(written)}")
+        return spark.read.schema(df.schema).parquet(f"{tmp_path}/{len(written)}")
+
+    cluster.build(blobs(spark), 2, StrataConfig("kmeans", 4, iters=2, fit_fraction=0.5), save)
+    assert ["md5" in df._jdf.queryExecution().optimizedPlan().toString() for df in written].count(True) == 1
+    assert written[0].columns == ["row_id", "y", "x"]
+
+
 def test_all_seeds_share_one_join(spark):
     ex = blobs(spark)
     assigned, _, plan = descent.prepare(ex, 2, 2, 6, StrataConfig("by_class"), AllocationConfig())
