@@ -43,3 +43,15 @@ def test_fetch_is_a_broadcast_without_cross_product(spark):
     draws = sampling.plan_chunk(spark, queries.f4_plan(spark, DATA), 1, 1, 3)
     plan = sampling.fetch(draws, queries.f4_indexed(spark, DATA), n_draws=60)._jdf.queryExecution().toString()
     assert "BroadcastHashJoin" in plan and "CartesianProduct" not in plan
+
+
+@pytest.mark.parametrize("name", ["mean_average"])
+def test_chain_of_many_rows(spark, db, monkeypatch, name):
+    """A chain draws the rows of its SQL where its strata are ranked in ranges, as at 36 million rows."""
+    from strata_descent.operators import index
+
+    monkeypatch.setattr(index, "ROWS_PER_BUCKET", 20)
+    n = db.sql("select count(*) from lineitem").fetchall()[0][0]
+    assert index.buckets_for(n // 2) > index.BUCKETS
+    got, wanted = queries.QUERIES[name](spark, DATA), db.sql(queries.ORACLES[name])
+    assert rows(got.columns, got.collect()) == rows(wanted.columns, wanted.fetchall())
