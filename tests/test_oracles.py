@@ -45,7 +45,7 @@ def test_fetch_is_a_broadcast_without_cross_product(spark):
     assert "BroadcastHashJoin" in plan and "CartesianProduct" not in plan
 
 
-@pytest.mark.parametrize("name", ["mean_average", "polynomial_average", "sgd_single_5_steps", "sgd_stratified_5_steps"])
+@pytest.mark.parametrize("name", ["mean_average", "polynomial_average", "sgd_single_5_steps", "sgd_stratified_5_steps", "sgd_uniform_5_steps"])
 def test_chain_of_many_rows(spark, db, monkeypatch, name):
     """A chain draws the rows of its SQL where its strata are ranked in ranges, as at 36 million rows."""
     from strata_descent.operators import index
