@@ -5,6 +5,7 @@ from __future__ import annotations
 import itertools
 import math
 from dataclasses import replace
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -348,6 +349,38 @@ def test_positions_are_counted_where_the_ranks_are_written(spark, tmp_path, monk
     assert len(written) == 6
 
 
+def test_ranks_are_written_in_parts(spark, tmp_path, monkeypatch):
+    """Where ranks are written, no shuffle has the rows of more than some ranges, and positions stay; rows without an id are in the first."""
+    rows = cluster.by_class(cluster.train_rows(blobs(spark)))
+    rows = rows.unionByName(rows.limit(1).withColumn("row_id", F.lit(None).cast("bigint")))
+    plain = {r.row_id: (r.stratum, r.pos) for r in index.dense_position(rows).collect()}
+    written = []
+
+    def save(df):
+        df.write.parquet(f"{tmp_path}/{len(written)}")
+        written.append(spark.read.parquet(f"{tmp_path}/{len(written)}"))
+        return written[-1]
+
+    for ranges in (32, 7):
+        written.clear()
+        tmp_path = tmp_path / str(ranges)
+        found = index.dense_position(rows, ranges * index.BUCKETS, save)
+        assert {r.row_id: (r.stratum, r.pos) for r in found.collect()} == plain and found.count() == rows.count()
+        parts = [w for w in written if "row_id" in w.columns]
+        assert sum(w.count() for w in parts) == rows.count() and len(parts) == -(-ranges // 4)
+        assert all(w.select("range_").distinct().count() <= 4 for w in parts)
+
+
+def test_scale_run_keeps_no_tables_of_copies(spark):
+    """All copies and phases are there, and what a turn has written goes with it."""
+    root = Path(spark.conf.get("spark.checkpoint.dir").removeprefix("file:"))
+    before = set(root.glob("cut-*"))
+    got = experiments.scale_run(spark, "/root/testdata/sf0.001", queries.saver(spark), (1, 3), steps=4).collect()
+    rows = {(r.replicas, r.phase): r.rows for r in got}
+    assert len(rows) == 4 and rows[3, "setup"] > 2 * rows[1, "train"] > 0
+    assert len(set(root.glob("cut-*")) - before) == 1  # the view
+
+
 def test_rows_are_placed_in_batches(spark):
     """The least cost to 9 places, ties to the lowest id; rows of a class without centres go."""
     centres = spark.createDataFrame([(3, 0, 5, [1.0, 0.0], 4.0), (2, 0, 5, [-1.0, 0.0], 1.0), (7, 1, 5, [0.0, 0.0], 1.0)], "stratum int, y int, n_i bigint, mean array<double>, v_i double")
